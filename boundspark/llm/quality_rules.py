@@ -12,7 +12,6 @@ long texts are read whole; repeated rows give repeated results; an empty table g
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -32,7 +31,8 @@ COMMON_WORDS = {
 CLASSES = ("lower", "upper", "digit", "space", "stop", "symbol", "other_ascii", "beyond_ascii")
 SCALE = 1000
 MIN_CHARS, MIN_WORDS = 120, 40
-MAX_CLASS_DISTANCE, MAX_WORD_DISTANCE = 0.22, 0.55
+#: Largest distance: a floor plus a share of 1 / sqrt(characters), the spread that short clean texts have by chance.
+MAX_DISTANCE = {"class_distance": (0.15, 2.4), "word_distance": (0.18, 3.6), "class_distance + word_distance": (0.33, 3.7)}
 SYMBOLS = b"#*$%&|<>"
 REPEAT_WINDOW = 8
 
@@ -176,10 +176,10 @@ def quality_rules(docs: DataFrame, **cols) -> DataFrame:
         known = F.col("lang").isin(*refs)
         class_d = F.when(known, class_d).otherwise(least(any_class))
         word_d = F.when(known, word_d).when(F.size("word_share") > 1, least(any_word))
-    judged_c = (F.col("n_chars") >= MIN_CHARS) & (F.col("class_distance") > MAX_CLASS_DISTANCE)
-    judged_w = (F.col("n_words") >= MIN_WORDS) & (F.col("word_distance") > MAX_WORD_DISTANCE)
+    long_enough = {"class_distance": f"n_chars >= {MIN_CHARS}"}
+    far = F.expr(" OR ".join(f"({long_enough.get(d, f'n_words >= {MIN_WORDS}')} AND {d} > {floor} + {spread} / sqrt(n_chars))" for d, (floor, spread) in MAX_DISTANCE.items()))
     out = features.withColumns({"class_distance": class_d, "word_distance": word_d, "base_failed": F.expr(BASE_FAILED)})
-    keep = ~F.col("base_failed") & ~F.coalesce(judged_c, F.lit(False)) & ~F.coalesce(judged_w, F.lit(False))
+    keep = ~F.col("base_failed") & ~F.coalesce(far, F.lit(False))
     return out.select(shown("doc_id"), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", keep.alias("kept"), "class_distance", "word_distance")
 
 
@@ -188,4 +188,3 @@ def op1_divergence_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 ORACLE: dict[str, str] = {}
-WORD = re.compile(rb"[^\x20\x09-\x0D]+")
