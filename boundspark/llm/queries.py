@@ -5,7 +5,7 @@ from __future__ import annotations
 import importlib
 
 #: Modules that register an opN query of their own; each has ORACLE, and functions named op<N>_<name>.
-MODULES = ("quality_rules", "sharding", "exact_dedup")
+MODULES = ("quality_rules", "sharding", "bpe", "exact_dedup", "packing")
 
 
 def queries() -> dict:
