@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -36,10 +37,10 @@ def stage(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint that keeps the physical partitioning, so later joins on its key need no exchange."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+def release(spark: SparkSession) -> None:
+    """Let Spark drop the shuffle files of jobs whose results are staged; it does so when the driver collects garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def fan_out(spark: SparkSession, total_bytes: int, per_task: int) -> int:
