@@ -207,12 +207,12 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     runs = stage(src.mapInArrow(_write_runs(n), RUN_SCHEMA))
     folded = runs.mapInArrow(_fold_runs, "run string, bucket int, digests binary, keep binary, count binary")
     hits = folded.groupBy("bucket").applyInPandas(_compact_bucket, "run string, bucket int, hit_digests binary, hit_keep binary, hit_count binary")
-    rows = stage(runs.join(hits, ["run", "bucket"]).mapInArrow(_answer, "doc_id long, keep_id long, group_size long, digest binary"))
+    rows = stage(runs.join(hits.hint("merge"), ["run", "bucket"]).mapInArrow(_answer, "doc_id long, keep_id long, group_size long, digest binary"))
 
     # Byte verification of hits: equal digests must carry equal normalised bytes; Spark's hash aggregate compares them.
     hit = rows.where("group_size > 1").select(F.col("doc_id").alias("hit_id"))
     norm = F.regexp_replace(F.coalesce("text", F.lit("")), SPACE_CLASS, " ")
-    bytes_of = src.join(hit, F.col("doc_id") == F.col("hit_id"), "left_semi").select("doc_id", norm.alias("norm")).withColumn("digest", F.unhex(F.sha2(F.col("norm").cast("binary"), 256)))
+    bytes_of = src.join(hit.hint("merge"), F.col("doc_id") == F.col("hit_id"), "left_semi").select("doc_id", norm.alias("norm")).withColumn("digest", F.unhex(F.sha2(F.col("norm").cast("binary"), 256)))
     texts = bytes_of.groupBy("digest", "norm").agg(F.min("doc_id").alias("v_keep"), F.count(F.lit(1)).alias("v_size"))
     clash = texts.groupBy("digest").agg(F.count(F.lit(1)).alias("texts")).where("texts > 1").select("digest")
     clash = stage(clash)
