@@ -5,7 +5,7 @@ from __future__ import annotations
 import importlib
 
 #: Modules that register an opN query of their own; each has ORACLE, and functions named op<N>_<name>.
-MODULES = ("quality_rules", "simhash", "sharding", "bpe", "exact_dedup", "chat_template", "packing")
+MODULES = ("quality_rules", "simhash", "suffix_dedup", "substring_dedup", "sharding", "bpe", "exact_dedup", "chat_template", "packing")
 
 
 def queries() -> dict:

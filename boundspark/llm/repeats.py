@@ -375,14 +375,19 @@ def window_hashes(layout: Layout, rows: np.ndarray, offset: int) -> tuple[np.nda
 
 
 def _windows(layout: Layout, c: Chunk, reps: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
-    """(offset, anchors, hash a, hash b) of the windows of representatives."""
+    """(offset, anchors, hash a, hash b) of the windows of representatives.
+
+    Hashes hold the anchor and its offset too, so that one place seen from two anchors makes two different windows.
+    """
     for k in range(0, len(reps), 4096):
         some = reps[k : k + 4096]
         rows = c.contexts(some)
         for o in range(layout.left + 1):
             ok = (c.low[some] <= o) & (o <= c.high[some])
             if ok.any():
-                yield o, some[ok], *window_hashes(layout, rows[ok], o)
+                a, b = window_hashes(layout, rows[ok], o)
+                seen_from = c.hash[some[ok]] ^ U(o)
+                yield o, some[ok], a ^ mix64(seen_from), b ^ mix64(seen_from ^ U(1 << 40))
 
 
 def _send_contexts(layout: Layout, n: int):
