@@ -5,7 +5,7 @@ from __future__ import annotations
 import importlib
 
 #: Modules that register an opN query of their own; each has ORACLE, and functions named op<N>_<name>.
-MODULES = ("quality_rules", "simhash", "suffix_dedup", "substring_dedup", "sharding", "bpe", "exact_dedup", "chat_template", "packing")
+MODULES = ("quality_rules", "simhash", "suffix_dedup", "substring_dedup", "sharding", "weak_label_classifier", "bpe", "exact_dedup", "chat_template", "packing")
 
 
 def queries() -> dict:
@@ -13,7 +13,9 @@ def queries() -> dict:
     for name in MODULES:
         module = importlib.import_module(f"boundspark.llm.{name}")
         out |= {k: v for k, v in vars(module).items() if k.startswith("op") and k[2].isdigit()}
-    return out
+    import corpus_pipeline
+
+    return out | {"pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:
