@@ -99,6 +99,22 @@ def multilevel_plan(kind: str = "linear", size: int = 64) -> list[tuple[int, int
     return plan
 
 
+def _level_indices(pred, s: int):
+    def at(old: Column, i: Column) -> Column:
+        x = F.element_at("xs", (i + 1).cast("int"))
+        k = F.when(F.col("step") == 0, F.lit(0)).otherwise(F.floor((x - pred(i)) / F.col("step") + 0.5)).cast("long")
+        return F.when(F.pmod(i, F.lit(2 * s)) == s, k).otherwise(old)
+
+    return at
+
+
+def _level_values(pred, s: int):
+    def at(old: Column, i: Column) -> Column:
+        return F.when(F.pmod(i, F.lit(2 * s)) == s, pred(i) + F.element_at("ks", (i + 1).cast("int")) * F.col("step")).otherwise(old)
+
+    return at
+
+
 def multilevel_blocks(samples: DataFrame, kind: str = "linear", size: int = 64) -> DataFrame:
     """(series_id, rho, t, k, xhat) by multilevel interpolation inside full blocks of ``size`` ticks.
 
@@ -121,10 +137,7 @@ def multilevel_blocks(samples: DataFrame, kind: str = "linear", size: int = 64)
             lo, hi = F.greatest(i - 3 * s, F.lit(0)), F.least(i + 3 * s, F.lit(size - 1))
             return F.when(far, (-1 * h(lo) + 9 * h(i - s) + 9 * h(F.least(i + s, F.lit(size - 1))) - h(hi)) / 16).otherwise(lin)
 
-        target = lambda i, s=s: F.pmod(i, F.lit(2 * s)) == s
-        k = lambda x, i: F.when(F.col("step") == 0, F.lit(0)).otherwise(F.floor((x - pred(i)) / F.col("step") + 0.5)).cast("long")
-        d = d.withColumn("ks", F.transform("ks", lambda old, i, k=k, target=target: F.when(target(i), k(F.element_at("xs", (i + 1).cast("int")), i)).otherwise(old)))
-        d = d.withColumn("hs", F.transform("hs", lambda old, i, target=target: F.when(target(i), pred(i) + F.element_at("ks", (i + 1).cast("int")) * F.col("step")).otherwise(old)))
+        d = d.withColumn("ks", F.transform("ks", _level_indices(pred, s))).withColumn("hs", F.transform("hs", _level_values(pred, s)))
         stride //= 2
     out = d.select("series_id", "rho", "block", F.posexplode(F.arrays_zip("ks", "hs")).alias("i", "v"))
     return out.select("series_id", "rho", (F.col("block") * size + F.col("i")).alias("t"), F.col("v.ks").alias("k"), F.col("v.hs").alias("xhat"))
