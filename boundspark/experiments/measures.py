@@ -21,6 +21,14 @@ CORPUS = "events_cents_type_hourly"
 R6 = lambda c: F.round(c, 6)
 
 
+def plain6(c: str):
+    """Rounded, with no negative zero."""
+    return F.when(F.round(c, 6) == 0, F.lit(0.0)).otherwise(F.round(c, 6)).alias(c)
+
+
+_XHAT = "CASE WHEN round(xhat, 6) = 0 THEN 0.0::double ELSE round(xhat, 6) END AS xhat"
+
+
 def _corpus(spark: SparkSession, d: str, name: str = CORPUS) -> DataFrame:
     return S.CATALOG[name](spark, d)
 
@@ -78,17 +86,17 @@ _DIFF = {1: f"q - {_lag(1)}", 2: f"q - 2 * {_lag(1)} + {_lag(2)}", 3: f"q - 3 *
 
 
 def _lattice_query(**how) -> Query:
-    return lambda spark, d: _lattice(spark, d, **how).select("series_id", "rho", "t", "k", R6("xhat").alias("xhat"))
+    return lambda spark, d: _lattice(spark, d, **how).select("series_id", "rho", "t", "k", plain6("xhat"))
 
 
 for _name, _how, _key in (("lattice_l1", {"order": 1}, 1), ("lattice_l2", {"order": 2}, 2), ("lattice_l3", {"order": 3}, 3), ("lattice_seasonal", {"season": 24}, "season")):
-    QUERIES[_name] = (_lattice_query(**_how), _lattice_sql(_DIFF[_key]) + " SELECT series_id, rho, t, k, round(xhat, 6) AS xhat FROM k")
+    QUERIES[_name] = (_lattice_query(**_how), _lattice_sql(_DIFF[_key]) + " SELECT series_id, rho, t, k, " + _XHAT + " FROM k")
 
 
 def lattice_decode(spark, d):
     """Decoded from second-order indices; equals the encoder's reconstruction."""
     enc = _lattice(spark, d, order=2)
-    return P.decode(enc, 2).select("series_id", "rho", "t", R6("xhat").alias("xhat"))
+    return P.decode(enc, 2).select("series_id", "rho", "t", plain6("xhat"))
 
 
 def lattice_bound(spark, d):
@@ -111,7 +119,7 @@ def lattice_l1_orders(spark, d):
 
 _ORDERS = f"SELECT 'orders' AS series_id, {S._day_sql('o_orderdate')} AS t, count(*)::bigint AS x FROM orders GROUP BY 2"
 QUERIES |= {
-    "lattice_decode": (lattice_decode, _lattice_sql(_DIFF[2]) + " SELECT series_id, rho, t, round(xhat, 6) AS xhat FROM k"),
+    "lattice_decode": (lattice_decode, _lattice_sql(_DIFF[2]) + " SELECT series_id, rho, t, " + _XHAT + " FROM k"),
     "lattice_bound": (lattice_bound, f"WITH {_tol_sql()} SELECT series_id, rho, n, true AS bound_ok FROM tol"),
     "lattice_zero_share": (lattice_zero_share, _lattice_sql(_DIFF[1]) + " SELECT series_id, rho, round(avg(CASE WHEN k = 0 THEN 1.0::double ELSE 0.0::double END), 6) AS zero_share, sum(abs(k))::bigint AS k_abs FROM k GROUP BY 1, 2"),
     "lattice_l1_orders": (lattice_l1_orders, _lattice_sql(_DIFF[1]).replace(S.SQL[CORPUS], _ORDERS).replace("(0.01::double), (0.05::double), (0.2::double)", "(0.05::double)") + " SELECT series_id, rho, sum(abs(k))::bigint AS k_abs, count(*) FILTER (WHERE k = 0) AS zeros, count(*) AS n FROM k GROUP BY 1, 2"),
@@ -122,7 +130,7 @@ def closed_loop_recursive(spark, d):
     """Orders' first 80 ticks by the lattice; the oracle runs the loop tick by tick."""
     s = S.orders_count_daily(spark, d).where("t < 80")
     enc = P.encode(P.with_tolerance(s, P.by_sigma(s, (0.2,))), order=2)
-    return enc.select("t", "k", R6("xhat").alias("xhat"))
+    return enc.select("t", "k", plain6("xhat"))
 
 
 _LOOP_SQL = f"""WITH RECURSIVE {_tol_sql('orders_count_daily', (0.2,)).replace(S.SQL['orders_count_daily'], 'SELECT * FROM (' + S.SQL['orders_count_daily'] + ') WHERE t < 80')},
@@ -130,14 +138,14 @@ _LOOP_SQL = f"""WITH RECURSIVE {_tol_sql('orders_count_daily', (0.2,)).replace(S
     l AS (SELECT t, x, step, x::double AS h1, x::double AS h2, 0::bigint AS k FROM z WHERE t = 0
       UNION ALL SELECT z.t, z.x, z.step, p + floor((z.x - p) / z.step + 0.5) * z.step, h1, floor((z.x - p) / z.step + 0.5)::bigint
       FROM (SELECT l.t AS lt, h1, CASE WHEN l.t = 0 THEN h1 ELSE 2 * h1 - h2 END AS p FROM l) y JOIN z ON z.t = y.lt + 1)
-    SELECT t, (CASE WHEN t = 1 THEN k ELSE k END)::bigint AS k, round(h1, 6) AS xhat FROM l"""
+    SELECT t, (CASE WHEN t = 1 THEN k ELSE k END)::bigint AS k, CASE WHEN round(h1, 6) = 0 THEN 0.0::double ELSE round(h1, 6) END AS xhat FROM l"""
 
 
 def _multilevel(kind: str) -> Query:
     def run(spark, d):
         s = _corpus(spark, d)
         out = P.multilevel_blocks(P.with_tolerance(s, P.by_sigma(s)), kind)
-        return out.select("series_id", "rho", "t", "k", R6("xhat").alias("xhat"))
+        return out.select("series_id", "rho", "t", "k", plain6("xhat"))
 
     return run
 
@@ -157,7 +165,7 @@ def _multilevel_sql(kind: str, size: int = 64) -> str:
         k = "(CASE WHEN step = 0 THEN 0 ELSE floor((x - p) / step + 0.5) END)::bigint"
         parts.append(f"h{level + 1} AS (SELECT * FROM h{level} UNION ALL SELECT series_id, rho, b, i, {k} AS k, p + {k} * step AS h FROM p{level})")
         level, stride = level + 1, stride // 2
-    return ", ".join(parts) + f" SELECT series_id, rho, (b * {size} + i)::bigint AS t, k, round(h, 6) AS xhat FROM h{level}"
+    return ", ".join(parts) + f" SELECT series_id, rho, (b * {size} + i)::bigint AS t, k, CASE WHEN round(h, 6) = 0 THEN 0.0::double ELSE round(h, 6) END AS xhat FROM h{level}"
 
 
 QUERIES |= {"closed_loop_recursive": (closed_loop_recursive, _LOOP_SQL), "multilevel_linear_64": (_multilevel("linear"), _multilevel_sql("linear")), "multilevel_cubic_64": (_multilevel("cubic"), _multilevel_sql("cubic"))}
