@@ -44,11 +44,17 @@ def arrays(series: DataFrame, chunk: int | None = None) -> DataFrame:
     return rows.select("series_id", "chunk_id", F.size("c").cast("long").alias("n"), F.col("c")[0]["x"].alias("x0"), ok.alias("xs"))
 
 
-def grouped(rows: DataFrame, g: int) -> DataFrame:
-    """Adds group_id and lane. Ids are ranks of series inside hash buckets of the dictionary, so no window is global."""
+def grouped(rows: DataFrame, g: int, buckets: int = 1) -> DataFrame:
+    """Adds group_id and lane: ranks of series among those of the same chunk, length and hash bucket of the dictionary.
+
+    ``buckets`` bounds what one window sorts; series move between groups only if it changes, so it is an argument.
+    """
     w = W.Window.partitionBy("chunk_id", "n", "_bucket").orderBy("series_id")
-    ranked = rows.withColumn("_bucket", F.pmod(F.xxhash64("series_id"), F.lit(1))).withColumn("_r", F.row_number().over(w) - 1)
-    return ranked.withColumn("group_id", F.expr(f"_r div {g}")).withColumn("lane", F.pmod("_r", F.lit(g))).drop("_r", "_bucket")
+    ranked = rows.withColumn("_bucket", F.pmod(F.xxhash64("series_id"), F.lit(buckets))).withColumn("_r", F.row_number().over(w) - 1 + F.col("_bucket") * (1 << 32))
+    out = ranked.withColumn("group_id", F.expr(f"_r div {g}")).withColumn("lane", F.pmod("_r", F.lit(g))).drop("_r", "_bucket")
+    # Groups cost far more time than bytes: a stated number of partitions keeps them from being coalesced into one task.
+    n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return out.repartition(n, "chunk_id", "n", "group_id")
 
 
 def sigma(x: np.ndarray) -> np.ndarray:
@@ -162,7 +168,7 @@ def select_best(bytes_df: DataFrame, keys: tuple[str, ...]) -> DataFrame:
 STUDY = "corpus string, series_id string, rho double, coder string, n long, bytes long, seed_bytes long, side_bytes long, zero_share double, xz_bytes long, zstd_bytes long, ideal_bits double, max_err_ratio double, rel_err_pct double, step double, k_abs double"
 
 
-def study(series: DataFrame, corpus: str, model: Forecaster, c: int = 256, rhos: tuple[float, ...] = (0.01, 0.05, 0.2), lanes: int = 8, extra: bool = True) -> DataFrame:
+def study(series: DataFrame, corpus: str, model: Forecaster, c: int = 256, rhos: tuple[float, ...] = (0.01, 0.05, 0.2), lanes: int = 4, extra: bool = True) -> DataFrame:
     """Every coder's real bytes for each (series, tolerance): the six classical closed loops, the codec, and others.
 
     Samples cross into Python once; a few result rows for each series come back.
