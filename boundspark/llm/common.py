@@ -37,6 +37,14 @@ def stage(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def stage_by(df: DataFrame, key: str, buckets: int) -> DataFrame:
+    """``stage`` as a table bucketed by ``key``: joins and cogroups on the key then move only their other side."""
+    spark, name = df.sparkSession, f"boundspark_{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark).rstrip('/')}/{name}"
+    df.write.bucketBy(buckets, key).option("path", path).option("compression", "zstd").format("parquet").saveAsTable(name)
+    return spark.table(name)
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark drop the shuffle files of jobs whose results are staged; it does so when the driver collects garbage."""
     gc.collect()

@@ -33,7 +33,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from boundspark.llm.common import blocks, fan_out, mix64, release, source, stage, text_bytes
+from boundspark.llm.common import blocks, fan_out, mix64, release, source, stage, stage_by, text_bytes
 
 GROUP_LIMIT = 1000
 BUCKET_BYTES = 12 << 20
@@ -59,8 +59,9 @@ class Layout:
         return self.left + self.length
 
 
-def chunks(docs: DataFrame, **cols) -> DataFrame:
-    """Texts in compressed chunks of about BLOCK_BYTES, staged, so that a chunk's number stands for the same texts."""
+def chunks(docs: DataFrame, buckets: int, **cols) -> DataFrame:
+    """Texts in compressed chunks of about BLOCK_BYTES, staged so that a chunk's number stands for the same texts, and
+    bucketed by it so that the rounds join their answers to the texts without moving the texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pack, base = zstandard.ZstdCompressor(level=3), TaskContext.get().partitionId() << 32
@@ -68,7 +69,7 @@ def chunks(docs: DataFrame, **cols) -> DataFrame:
             sizes = np.fromiter(map(len, texts), np.int64, len(texts))
             yield pa.RecordBatch.from_arrays([pa.array([base + n]), pa.array([np.array(ids, np.int64).tobytes()], pa.binary()), pa.array([sizes.tobytes()], pa.binary()), pa.array([pack.compress(b"".join(texts))], pa.binary())], ["chunk", "ids", "sizes", "blob"])
 
-    return stage(source(docs, **cols).mapInArrow(run, CHUNK_DDL))
+    return stage_by(source(docs, **cols).mapInArrow(run, CHUNK_DDL), "chunk", buckets)
 
 
 class _WordHash(dict):
@@ -538,7 +539,7 @@ def remove_repeats(docs: DataFrame, layout: Layout, kernel: Callable[[Layout, Co
     """Rows that ``finish`` makes of each chunk and its covered elements."""
     spark = docs.sparkSession
     n = fan_out(spark, text_bytes(docs, cols.get("text_col", "text")), BUCKET_BYTES)
-    held = chunks(docs, **cols)
+    held = chunks(docs, n, **cols)
     release(spark)
 
     def rejoin(answers: DataFrame, fn, schema: str) -> DataFrame:
