@@ -23,6 +23,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -74,7 +75,7 @@ def chunks(docs: DataFrame, buckets: int, **cols) -> DataFrame:
 
 class _WordHash(dict):
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 200_000:
+        if len(self) > 400_000:
             self.clear()
         got = self[word] = xxhash.xxh64_intdigest(word, 7)
         return got
@@ -100,7 +101,7 @@ class Chunk:
             self.words = [t.split() for t in self.texts]
             self.ends = np.cumsum(np.fromiter(map(len, self.words), np.int64, len(self.words)))
             n = int(self.ends[-1]) if len(self.ends) else 0
-            self.elements = np.fromiter((_WORDS[w] for ws in self.words for w in ws), U, n)
+            self.elements = np.fromiter(map(_WORDS.__getitem__, chain.from_iterable(self.words)), U, n)
         self.starts = np.r_[0, self.ends[:-1]].astype(np.int64)
 
     def anchors(self) -> None:
@@ -133,9 +134,15 @@ class Chunk:
         return np.where(inside, out, U(0))
 
     def context_hashes(self) -> np.ndarray:
-        out = np.empty(len(self.pos), U)
-        for a in range(0, len(self.pos), 8192):
-            out[a : a + 8192] = linear_hash(self.contexts(slice(a, a + 8192)), 1)
+        """A 64-bit hash of each anchor's context; elements are mixed once, not once for each context they lie in."""
+        lay, mixed, beyond = self.layout, mix64(self.elements + U(2)), mix64(np.array([1], U))[0]
+        out, weight = np.empty(len(self.pos), U), _weights(lay.span, 1)
+        for a in range(0, len(self.pos), 4096):
+            pos, doc = self.pos[a : a + 4096], self.doc[a : a + 4096]
+            idx = pos[:, None] + np.arange(-lay.left, lay.length)
+            inside = (idx >= self.starts[doc][:, None]) & (idx < self.ends[doc][:, None])
+            cells = np.where(inside, mixed[np.clip(idx, 0, len(mixed) - 1)], beyond)
+            out[a : a + 4096] = mix64((cells * weight).sum(axis=1, dtype=U))
         return out
 
 
@@ -166,8 +173,12 @@ def _sweep(x: np.ndarray, width: int, pick: Callable) -> np.ndarray:
 def linear_hash(rows: np.ndarray, seed: int) -> np.ndarray:
     """A 64-bit hash of each row: a random linear form over mixed elements."""
     with np.errstate(over="ignore"):
-        weight = mix64(np.arange(1, rows.shape[1] + 1, dtype=U) * U(0xA24BAED4963EE407) + U(seed)) | U(1)
-        return mix64((mix64(rows + U(seed)) * weight).sum(axis=1, dtype=U))
+        return mix64((mix64(rows + U(seed)) * _weights(rows.shape[1], seed)).sum(axis=1, dtype=U))
+
+
+def _weights(n: int, seed: int) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        return mix64(np.arange(1, n + 1, dtype=U) * U(0xA24BAED4963EE407) + U(seed)) | U(1)
 
 
 # --- five-byte keys --------------------------------------------------------------------------------------------
