@@ -23,7 +23,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 
 from boundspark.llm.common import mix64, shown, table
-from boundspark.llm.repeats import Chunk, Contexts, Layout, remove_repeats
+from boundspark.llm.repeats import Chunk, Contexts, Layout, linear_hash, remove_repeats
 
 LENGTH = 35
 
@@ -105,27 +105,71 @@ class SuffixAutomaton:
         return out
 
 
+def _extents(lay: Layout, ctx: Contexts, group: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Columns [from, to) around the anchor that each context shares with another of its group, and a hash for each side.
+
+    Every window holds the anchor, so a window that another context holds too lies within what is shared to the left
+    and to the right of it. Hashes only ever let too much through; the automaton decides.
+    """
+    n = len(group)
+    anchor = linear_hash(ctx.rows[:, lay.left : lay.left + lay.k], 21) ^ mix64(group.astype(np.uint64))
+    edges, sides = [np.full(n, lay.left), np.full(n, lay.left + lay.k)], [anchor, anchor.copy()]
+    # A context's elements are known from lay.left - high to lay.left + length - low.
+    known = [ctx.high.astype(np.int64), lay.length - ctx.low.astype(np.int64) - lay.k]
+    for side, (columns, step) in enumerate(((range(lay.left - 1, -1, -1), -1), (range(lay.left + lay.k, lay.span), 1))):
+        active = np.arange(n)
+        for done, j in enumerate(columns):
+            active = active[known[side][active] > done]
+            with np.errstate(over="ignore"):
+                h = mix64(sides[side][active] * np.uint64(0x9E3779B97F4A7C15) + ctx.rows[active, j])
+            order = np.argsort(h)
+            same = h[order][1:] == h[order][:-1]
+            both = order[np.r_[False, same] | np.r_[same, False]] if len(h) else order
+            active = active[both]
+            if not len(active):
+                break
+            sides[side][active] = h[both]
+            edges[side][active] += step
+    return edges[0], edges[1], sides[0], sides[1]
+
+
 def shard_automata(lay: Layout, ctx: Contexts) -> np.ndarray:
-    """For each context the set of its windows (bit: offset) that occur twice or more."""
+    """For each context the set of its windows (bit: offset) that other contexts hold too.
+
+    What reaches the automata is the shared part of each context; equal parts are one sequence with their total weight.
+    """
     out = np.zeros(len(ctx.h), np.uint64)
-    edges = np.r_[np.flatnonzero(np.r_[True, ctx.h[1:] != ctx.h[:-1]]), len(ctx.h)]
+    group = np.cumsum(np.r_[False, ctx.h[1:] != ctx.h[:-1]])
+    start, stop, left, right = _extents(lay, ctx, group)
+    order = np.lexsort((stop, start, right, left, group))
+    order = order[(stop - start)[order] >= lay.length]
+    if not len(order):
+        return out
+    keys = [x[order] for x in (group, left, right, start, stop)]
+    change = np.zeros(len(order), bool)
+    for x in keys:
+        change[1:] |= x[1:] != x[:-1]
+    first, part = np.flatnonzero(np.r_[True, change[1:]]), np.cumsum(change)
+    weight = np.add.reduceat(ctx.v[order], first).tolist()
+    one = order[first]
     with np.errstate(over="ignore"):
         column = mix64(np.arange(1, lay.span + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-        symbols = ctx.rows ^ column
-    # A context's elements are known from lay.left - high to lay.left + length - low.
-    first, stop = lay.left - ctx.high.astype(np.int64), lay.left + lay.length - ctx.low.astype(np.int64)
-    for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+    begins, ends, masks = start[one].tolist(), stop[one].tolist(), np.zeros(len(one), np.uint64)
+    edges = np.r_[np.flatnonzero(np.r_[True, group[one][1:] != group[one][:-1]]), len(one)].tolist()
+    for a, b in zip(edges[:-1], edges[1:], strict=True):
         automaton, texts = SuffixAutomaton(), []
+        symbols = ctx.rows[one[a:b]] ^ column
         for k in range(a, b):
-            texts.append(symbols[k, first[k] : stop[k]].tolist())
-            automaton.add(texts[-1], int(ctx.v[k]))
+            texts.append(symbols[k - a, begins[k] : ends[k]].tolist())
+            automaton.add(texts[-1], weight[k])
         automaton.finish()
         for k, text in zip(range(a, b), texts, strict=True):
             seen, mask = automaton.stream(text, lay.length), 0
             for end in range(lay.length - 1, len(text)):
                 if seen[end] > 1:
-                    mask |= 1 << (lay.left - (int(first[k]) + end - lay.length + 1))
-            out[k] = mask
+                    mask |= 1 << (lay.left - (begins[k] + end - lay.length + 1))
+            masks[k] = mask
+    out[order] = masks[part]
     return out
 
 
