@@ -23,7 +23,6 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
-from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -34,7 +33,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from boundspark.llm.common import blocks, fan_out, mix64, release, source, stage, stage_by, text_bytes
+from boundspark.llm.common import ASCII_SPACE, BLOCK_BYTES, blocks, fan_out, mix64, release, source, stage, stage_by, text_bytes
 
 GROUP_LIMIT = 1000
 BUCKET_BYTES = 12 << 20
@@ -84,6 +83,47 @@ class _WordHash(dict):
 _WORDS = _WordHash()
 
 
+def word_hashes(raw: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First bytes and 64-bit hashes of all words of texts that lie end to end; no word crosses the end of a text.
+
+    A word's hash is a polynomial in a random value for each byte, read off running sums, mixed with its length.
+    """
+    n = len(raw)
+    edge = np.zeros(n + 1, bool)
+    edge[np.r_[0, ends]] = True
+    blank = _BLANK[raw]
+    begin = np.flatnonzero(~blank & (np.r_[True, blank[:-1]] | edge[:n])) if n else np.zeros(0, np.int64)
+    stop = np.flatnonzero(~blank & (np.r_[blank[1:], True] | edge[1:])) + 1 if n else begin
+    with np.errstate(over="ignore"):
+        total = np.r_[U(0), np.cumsum(_BYTE[raw] * _powers(_POWER, n), dtype=U)]
+        h = (total[stop] - total[begin]) * _powers(_INVERSE, n)[begin]
+    return begin, mix64(h ^ mix64((stop - begin).astype(U)))
+
+
+_BLANK = np.isin(np.arange(256), list(ASCII_SPACE))
+_BYTE = mix64(mix64(np.arange(1, 257, dtype=U) * U(0x9E3779B97F4A7C15)))
+_POWER = 0x9E3779B97F4A7C15
+_INVERSE = pow(_POWER, -1, 1 << 64)
+_KEPT: dict[int, np.ndarray] = {}
+
+
+def _powers(base: int, n: int) -> np.ndarray:
+    """The first n powers; those for chunks of common size are kept."""
+    usual = 2 * BLOCK_BYTES
+    if n > usual:
+        return _power_run(base, n)
+    if base not in _KEPT:
+        _KEPT[base] = _power_run(base, usual)
+    return _KEPT[base][:n]
+
+
+def _power_run(base: int, n: int) -> np.ndarray:
+    run = np.full(n, base, U)
+    run[:1] = 1
+    with np.errstate(over="ignore"):
+        return np.cumprod(run, dtype=U)
+
+
 class Chunk:
     """A chunk unpacked: texts, elements, and the element range of each document."""
 
@@ -98,12 +138,14 @@ class Chunk:
             self.elements = np.frombuffer(raw, np.uint8).astype(U)
             self.ends = ends
         else:
-            self.words = [t.split() for t in self.texts]
-            self.ends = np.cumsum(np.fromiter(map(len, self.words), np.int64, len(self.words)))
-            n = int(self.ends[-1]) if len(self.ends) else 0
-            self.elements = np.fromiter(map(_WORDS.__getitem__, chain.from_iterable(self.words)), U, n)
+            begin, self.elements = word_hashes(np.frombuffer(raw, np.uint8), ends)
+            self.ends = np.searchsorted(begin, ends)
         self.starts = np.r_[0, self.ends[:-1]].astype(np.int64)
 
+    @property
+    def words(self) -> list[list[bytes]]:
+        return [t.split() for t in self.texts]
+
     def anchors(self) -> None:
         """pos, hash and document of every anchor whose windows lie within a document."""
         lay, n = self.layout, len(self.elements)

@@ -153,6 +153,36 @@ def test_substring_dedup(docs, limit, monkeypatch):
     same(substring_dedup.substring_dedup(docs).collect(), want)
 
 
+def test_word_hashes_follow_split():
+    texts = [b"", b"one two  one", b"two", b" \t\x0bone\n", "żółw \u00a0 two".encode(), b"x" * 100_000, b"   ", b"on eo ne noe"]
+    begin, h = repeats.word_hashes(np.frombuffer(b"".join(texts), np.uint8), np.cumsum([len(t) for t in texts]))
+    words = [w for t in texts for w in t.split()]
+    assert len(words) == len(h) == len(begin)
+    assert len(set(zip(words, h.tolist(), strict=True))) == len(set(words)) == len(set(h.tolist()))
+    assert len(repeats.word_hashes(np.zeros(0, np.uint8), np.zeros(2, np.int64))[1]) == 0
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_trimmed_contexts_leave_the_same_windows(seed):
+    lay, r = repeats.Layout(length=6, k=2, kind="words", rule="again"), np.random.default_rng(seed)
+    n = 60
+    h = np.sort(r.integers(0, 5, n)).astype(np.uint64)
+    rows = np.unique(np.column_stack([h, r.integers(0, 2, (n, lay.span)).astype(np.uint64)]), axis=0)
+    h, rows, n = rows[:, 0], rows[:, 1:].copy(), len(rows)
+    rows[:, lay.left : lay.left + lay.k] = h[:, None]
+    low, high = r.integers(0, 2, n).astype(np.uint8), r.integers(lay.left - 1, lay.left + 1, n).astype(np.uint8)
+    ctx = repeats.Contexts(h, np.arange(n, dtype=np.uint64), np.ones(n, np.int64), low, high, rows, np.zeros(n, np.int64))
+    seen = collections.defaultdict(list)
+    for i in range(n):
+        for o in range(int(low[i]), int(high[i]) + 1):
+            seen[int(h[i]), o, rows[i, lay.left - o : lay.left - o + lay.length].tobytes()].append(i)
+    want = [0] * n
+    for (_, o, _), who in seen.items():
+        for i in who:
+            want[i] |= (len(who) > 1) << o
+    assert substring_dedup.shard_automata(lay, ctx).tolist() == want and any(want) and not all(want)
+
+
 def test_suffix_automaton_counts():
     a = substring_dedup.SuffixAutomaton()
     a.add([1, 2, 3, 1, 2], 1)
