@@ -2,8 +2,10 @@
 
 The Gray-order index links fingerprints within two bits. Texts whose sets of five-word shingles are 0.8 similar
 often differ in more bits than any exact index of 64-bit fingerprints can serve, so each text also files the bands of
-a one-permutation sketch of those sets. Whatever links is only a candidate: a pair counts when its sketches show the
-similarity. Members of a band are paired with its first text and with the text before, never all with all.
+a one-permutation sketch of those sets. Members of a band, and of two neighbouring bands together, are paired with
+the first text, and in a band with the text before, never all with all. Whatever links is only a candidate: sketches
+settle pairs whose estimate is over four standard errors away from the limit, and for the pairs between, the sets of
+shingles of both texts are compared.
 
 Defined cases: texts without words have no sketch and are near-duplicates of nothing here (exact dedup has merged
 them); of a group the row with the smallest doc_id stays; rows with a null doc_id stay; empty tables stay empty.
@@ -25,28 +27,39 @@ from boundspark.llm.simhash import LOWER, components, fingerprint, links
 
 BINS, BANDS, WIDTH, SIMILARITY = 128, 32, 5, 0.8
 EMPTY = 0xFFFFFFFF
-DDL = "doc_id long, fp long, sketch binary, bands array<long>"
+DDL = "doc_id long, fp long, sketch binary, bands array<long>, twins array<long>"
+
+
+def shingles(text: bytes) -> np.ndarray:
+    """Sorted distinct hashes of the runs of WIDTH lower-cased words; of all words where there are fewer."""
+    words = text.translate(LOWER).split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    x = np.fromiter(map(_WORDS.__getitem__, words), np.uint64, len(words))
+    with np.errstate(over="ignore"):
+        return np.unique(mix64(_gram_hash(mix64(x), min(WIDTH, len(words)))))
 
 
 def sketch(text: bytes) -> np.ndarray:
     """The smallest shingle hash in each of BINS equal parts of the hash range, in 32 bits; EMPTY where there is none."""
-    out = np.full(BINS, EMPTY, np.uint32)
-    words = text.translate(LOWER).split()
-    if words:
-        x = np.fromiter(map(_WORDS.__getitem__, words), np.uint64, len(words))
-        width = min(WIDTH, len(words))
-        with np.errstate(over="ignore"):
-            h = np.sort(mix64(_gram_hash(mix64(x), width)))
-        part = (h >> np.uint64(57)).astype(np.int64)
-        first = np.flatnonzero(np.r_[True, part[1:] != part[:-1]])
-        out[part[first]] = (h[first] >> np.uint64(20)).astype(np.uint32) & np.uint32(0xFFFFFFFE)
+    out, h = np.full(BINS, EMPTY, np.uint32), shingles(text)
+    part = (h >> np.uint64(57)).astype(np.int64)
+    first = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(h) else part
+    out[part[first]] = (h[first] >> np.uint64(20)).astype(np.uint32) & np.uint32(0xFFFFFFFE)
     return out
 
 
+def alike(a: bytes, b: bytes) -> bool:
+    """Whether two texts share SIMILARITY of their shingles."""
+    x, y = shingles(a), shingles(b)
+    both = len(np.intersect1d(x, y, assume_unique=True))
+    return both > 0 and both >= SIMILARITY * (len(x) + len(y) - both) - 1e-9
+
+
 def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     step = BINS // BANDS
     for b in batches:
-        fps, sketches, bands = [], [], []
+        fps, sketches, bands, twins = [], [], [], []
         for t in as_bytes(b.column(1)):
             s = sketch(t)
             fps.append(fingerprint(t, WIDTH))
@@ -56,24 +69,42 @@ def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 key = np.arange(1, BANDS + 1, dtype=np.uint64)
                 for k in range(step):
                     key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + parts[:, k])
-            bands.append(key[(parts != EMPTY).any(axis=1)].view(np.int64).tolist())
-        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sketches, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "fp", "sketch", "bands"])
+                key = key[(parts != EMPTY).any(axis=1)]
+                twins.append(mix64(key[:-1] * np.uint64(3) + key[1:]).view(np.int64).tolist())
+            bands.append(key.view(np.int64).tolist())
+        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sketches, pa.binary()), pa.array(bands, pa.list_(pa.int64())), pa.array(twins, pa.list_(pa.int64()))], ["doc_id", "fp", "sketch", "bands", "twins"])
 
 
-def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pairs that their sketches do not rule out; ``doubt`` where the sketches do not prove them either."""
     for batch in batches:
         read = lambda c, b=batch: np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint32).reshape(-1, BINS)
         x, y = read("sa"), read("sb")
-        full = (x != EMPTY) | (y != EMPTY)
-        ok = ((x == y) & full).sum(axis=1) >= SIMILARITY * np.maximum(full.sum(axis=1), 1) - 1e-9
-        yield pa.RecordBatch.from_arrays([batch.column("a").filter(pa.array(ok)), batch.column("b").filter(pa.array(ok))], ["a", "b"])
+        full = ((x != EMPTY) | (y != EMPTY)).sum(axis=1)
+        above = ((x == y) & (x != EMPTY)).sum(axis=1) / np.maximum(full, 1) - SIMILARITY
+        margin = 4 * np.sqrt(SIMILARITY * (1 - SIMILARITY) / np.maximum(full, 1))
+        keep = pa.array((full > 0) & (above > -margin))
+        yield pa.RecordBatch.from_arrays([batch.column("a").filter(keep), batch.column("b").filter(keep), pa.array(above < margin).filter(keep)], ["a", "b", "doubt"])
+
+
+def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        ok = pa.array([alike(x, y) for x, y in zip(as_bytes(batch.column("ta")), as_bytes(batch.column("tb")), strict=True)], pa.bool_())
+        yield pa.RecordBatch.from_arrays([batch.column("a").filter(ok), batch.column("b").filter(ok)], ["a", "b"])
+
+
+def _confirm(docs: DataFrame, pairs: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose texts are alike. Texts are dealt once by doc_id; only those of ``pairs`` go on."""
+    ends = pairs.select(F.explode(F.array("a", "b")).alias("doc_id"), "a", "b").hint("merge")
+    text = lambda end: F.max(F.when(F.col("doc_id") == F.col(end), F.col("text"))).alias(f"t{end}")
+    return source(docs).join(ends, "doc_id").groupBy("a", "b").agg(text("a"), text("b")).mapInArrow(_compare, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """(node, root): documents that have a near-duplicate with a smaller doc_id, and the smallest of their group."""
     rows = stage(source(docs).where(F.col("doc_id") != NO_ID).mapInArrow(_rows, DDL))
     release(docs.sparkSession)
-    pairs = _pair_up(rows.select("doc_id", F.explode("bands").alias("key")), "key")
+    pairs = _pair_up(rows.select("doc_id", F.explode("bands").alias("key")), "key").union(_star(rows.select("doc_id", F.explode("twins").alias("key")), "key"))
     same_fp = rows.select("doc_id", "fp")
     firsts = same_fp.groupBy("fp").agg(F.min("doc_id").alias("first"))
     close = links(firsts.select("fp"), 2)
@@ -81,19 +112,27 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     linked = close.join(f("a"), F.col("a") == F.col("fp_a")).join(f("b"), F.col("b") == F.col("fp_b")).select(F.least("id_a", "id_b").alias("a"), F.greatest("id_a", "id_b").alias("b"))
     wanted = stage(pairs.union(_pair_up(same_fp, "fp")).union(linked).where("a < b").distinct())
     side = lambda name: rows.select(F.col("doc_id").alias(name), F.col("sketch").alias(f"s{name}")).hint("merge")
-    true = wanted.join(side("a"), "a").join(side("b"), "b").mapInArrow(_similar, "a long, b long")
-    return components(true)
+    judged = stage(wanted.join(side("a"), "a").join(side("b"), "b").mapInArrow(_judge, "a long, b long, doubt boolean"))
+    release(docs.sparkSession)
+    return components(judged.where("NOT doubt").select("a", "b").union(_confirm(docs, judged.where("doubt").select("a", "b"))))
+
+
+def _first(rows: DataFrame, key: str) -> DataFrame:
+    return rows.groupBy(key).agg(F.min("doc_id").alias("a"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
+
+
+def _star(rows: DataFrame, key: str) -> DataFrame:
+    """(a, b): each row with the first of its key."""
+    return rows.join(_first(rows, key).hint("merge"), key).select("a", F.col("doc_id").alias("b")).where("a < b")
 
 
 def _pair_up(rows: DataFrame, key: str) -> DataFrame:
     """(a, b): each row with the first of its key, and with the row before it in its part of the key."""
-    least = rows.groupBy(key).agg(F.min("doc_id").alias("a"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
-    star = rows.join(least.hint("merge"), key).select("a", F.col("doc_id").alias("b"))
     # A key may hold a third of all rows: neighbours are taken within 64 parts of it, by hash.
     part: Column = F.pmod(F.xxhash64("doc_id"), F.lit(64))
-    chain = rows.join(least.select(key).hint("merge"), key, "left_semi").withColumn("part", part)
+    chain = rows.join(_first(rows, key).select(key).hint("merge"), key, "left_semi").withColumn("part", part)
     before = F.lag("doc_id").over(W.Window.partitionBy(key, "part").orderBy("doc_id"))
-    return star.union(chain.select(before.alias("a"), F.col("doc_id").alias("b")).where("a IS NOT NULL")).where("a < b")
+    return _star(rows, key).union(chain.select(before.alias("a"), F.col("doc_id").alias("b")).where("a IS NOT NULL AND a < b"))
 
 
 def near_dedup(docs: DataFrame) -> DataFrame:

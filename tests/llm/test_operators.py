@@ -290,6 +290,22 @@ def test_weak_labels(spark, sf):
     assert p[0] > 0.9 > 0.5 > p[1]
 
 
+@pytest.mark.parametrize("words", [40, 400])
+def test_near_duplicates_follow_exact_similarity(spark, words):
+    """Pairs a little below and above 0.8; groups are by exact Jaccard similarity of five-word shingles."""
+    r, rows, want = random.Random(words), [], {}
+    sets = lambda t: {tuple(t[k : k + 5]) for k in range(len(t) - 4)}
+    for k in range(60):
+        a = [f"v{k}x{j}" for j in range(words)]
+        b = a[: round(words * r.uniform(0.7, 1.0))] + [f"u{k}"]
+        x, y = sets(a), sets(b)
+        rows += [(2 * k, " ".join(a)), (2 * k + 1, " ".join(b).upper())]
+        if 10 * len(x & y) >= 8 * len(x | y):
+            want[2 * k + 1] = 2 * k
+    got = near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert {x["node"]: x["root"] for x in got.collect()} == want and 0 < len(want) < 60
+
+
 def test_near_dedup(spark):
     r = random.Random(8)
     base = [[f"v{r.randint(0, 5000)}" for _ in range(300)] for _ in range(12)]
