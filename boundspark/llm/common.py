@@ -93,11 +93,12 @@ _SPACES = frozenset(bytes([c]) for c in ASCII_SPACE)
 
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective 64-bit finaliser on uint64 arrays."""
-    x = x ^ (x >> np.uint64(32))
-    x = x * np.uint64(0xD6E8FEB86659FD93)
-    x = x ^ (x >> np.uint64(32))
-    x = x * np.uint64(0xD6E8FEB86659FD93)
-    return x ^ (x >> np.uint64(32))
+    y = x >> np.uint64(32)
+    y ^= x
+    for _ in range(2):
+        y *= np.uint64(0xD6E8FEB86659FD93)
+        y ^= y >> np.uint64(32)
+    return y
 
 
 #: Stands for a null identifier inside kernels; results show null again.

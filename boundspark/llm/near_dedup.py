@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
 from boundspark.llm.common import NO_ID, as_bytes, mix64, release, source, stage
-from boundspark.llm.repeats import _WORDS, _gram_hash
+from boundspark.llm.repeats import _gram_hash, word_hashes
 from boundspark.llm.simhash import LOWER, components, fingerprint, links
 
 BINS, BANDS, WIDTH, SIMILARITY = 128, 32, 5, 0.8
@@ -32,12 +32,12 @@ DDL = "doc_id long, fp long, sketch binary, bands array<long>, twins array<long>
 
 def shingles(text: bytes) -> np.ndarray:
     """Sorted distinct hashes of the runs of WIDTH lower-cased words; of all words where there are fewer."""
-    words = text.translate(LOWER).split()
-    if not words:
-        return np.zeros(0, np.uint64)
-    x = np.fromiter(map(_WORDS.__getitem__, words), np.uint64, len(words))
+    raw = np.frombuffer(text.translate(LOWER), np.uint8)
+    _, x = word_hashes(raw, np.array([len(raw)]))
+    if not len(x):
+        return x
     with np.errstate(over="ignore"):
-        return np.unique(mix64(_gram_hash(mix64(x), min(WIDTH, len(words)))))
+        return np.unique(mix64(_gram_hash(mix64(x), min(WIDTH, len(x)))))
 
 
 def sketch(text: bytes) -> np.ndarray:

@@ -27,7 +27,6 @@ from dataclasses import dataclass
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-import xxhash
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
@@ -72,17 +71,6 @@ def chunks(docs: DataFrame, buckets: int, **cols) -> DataFrame:
     return stage_by(source(docs, **cols).mapInArrow(run, CHUNK_DDL), "chunk", buckets)
 
 
-class _WordHash(dict):
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > 400_000:
-            self.clear()
-        got = self[word] = xxhash.xxh64_intdigest(word, 7)
-        return got
-
-
-_WORDS = _WordHash()
-
-
 def word_hashes(raw: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """First bytes and 64-bit hashes of all words of texts that lie end to end; no word crosses the end of a text.
 
@@ -95,33 +83,36 @@ def word_hashes(raw: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarr
     begin = np.flatnonzero(~blank & (np.r_[True, blank[:-1]] | edge[:n])) if n else np.zeros(0, np.int64)
     stop = np.flatnonzero(~blank & (np.r_[blank[1:], True] | edge[1:])) + 1 if n else begin
     with np.errstate(over="ignore"):
-        total = np.r_[U(0), np.cumsum(_BYTE[raw] * _powers(_POWER, n), dtype=U)]
-        h = (total[stop] - total[begin]) * _powers(_INVERSE, n)[begin]
+        power, terms = _powers(n + 1), _BYTE[raw]
+        terms *= power[:n]
+        total = np.zeros(n + 1, U)
+        np.cumsum(terms, dtype=U, out=total[1:])
+        # The power of the first byte is divided out: up to that of byte n, and then back at once.
+        h = (total[stop] - total[begin]) * power[n - begin] * U(pow(_POWER, -n, 1 << 64))
     return begin, mix64(h ^ mix64((stop - begin).astype(U)))
 
 
 _BLANK = np.isin(np.arange(256), list(ASCII_SPACE))
 _BYTE = mix64(mix64(np.arange(1, 257, dtype=U) * U(0x9E3779B97F4A7C15)))
 _POWER = 0x9E3779B97F4A7C15
-_INVERSE = pow(_POWER, -1, 1 << 64)
-_KEPT: dict[int, np.ndarray] = {}
+_KEPT: list[np.ndarray] = []
 
 
-def _powers(base: int, n: int) -> np.ndarray:
+def _powers(n: int) -> np.ndarray:
     """The first n powers; those for chunks of common size are kept."""
-    usual = 2 * BLOCK_BYTES
+    usual = BLOCK_BYTES + (1 << 18)
     if n > usual:
-        return _power_run(base, n)
-    if base not in _KEPT:
-        _KEPT[base] = _power_run(base, usual)
-    return _KEPT[base][:n]
+        return _power_run(n)
+    if not _KEPT:
+        _KEPT.append(_power_run(usual))
+    return _KEPT[0][:n]
 
 
-def _power_run(base: int, n: int) -> np.ndarray:
-    run = np.full(n, base, U)
+def _power_run(n: int) -> np.ndarray:
+    run = np.full(n, _POWER, U)
     run[:1] = 1
     with np.errstate(over="ignore"):
-        return np.cumprod(run, dtype=U)
+        return np.cumprod(run, dtype=U, out=run)
 
 
 class Chunk:
