@@ -192,10 +192,11 @@ def components(edges: DataFrame) -> DataFrame:
         small_least = down.groupBy("a").agg(F.min("b").alias("m"))
         small = down.join(small_least.hint("merge"), "a").select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         nxt = stage(small)
-        # done when every node has one tie and ties end in roots
+        # done when every node has one tie and ties end in roots; a node tied to two roots still has to join them
         tops = nxt.select(F.col("b").alias("a")).distinct()
-        if nxt.join(tops.hint("merge"), "a", "left_semi").isEmpty():
-            return nxt.groupBy("a").agg(F.min("b").alias("root")).select(F.col("a").alias("node"), "root")
+        split = nxt.groupBy("a").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+        if nxt.join(tops.hint("merge"), "a", "left_semi").isEmpty() and split.isEmpty():
+            return nxt.select(F.col("a").alias("node"), F.col("b").alias("root"))
         e = nxt
 
 

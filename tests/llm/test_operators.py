@@ -116,6 +116,21 @@ def test_components_of_a_long_chain(spark):
     assert {(r["node"], r["root"]) for r in simhash.components(edges).collect()} == {(k, 0) for k in range(1, 41)} | {(101, 100)}
 
 
+@pytest.mark.parametrize("seed", [0, 1, 2, 3])
+def test_components_of_randomly_numbered_graphs(spark, seed):
+    """The first is a graph whose nodes meet two tops before they meet one; then paths and trees, numbered at random."""
+    r, edges = random.Random(seed), [(1, 5), (5, 6), (6, 7), (2, 7)]
+    if seed:
+        nodes = r.sample(range(1, 9), 8)
+        edges = [(nodes[k], nodes[k - 1 if seed < 3 else r.randrange(k)]) for k in range(1, 8)]
+    label = {n: n for e in edges for n in e}
+    for _ in label:
+        for a, b in edges:
+            label[a] = label[b] = min(label[a], label[b])
+    got = {(x["node"], x["root"]) for x in simhash.components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert got == {(n, root) for n, root in label.items() if n != root}
+
+
 def byte_spans(d, length=50):
     first: dict = {}
     for i, t in sorted(d):
