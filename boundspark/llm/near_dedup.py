@@ -16,6 +16,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -23,11 +24,13 @@ from pyspark.sql import window as W
 
 from boundspark.llm.common import NO_ID, as_bytes, mix64, release, source, stage
 from boundspark.llm.repeats import _gram_hash, word_hashes
-from boundspark.llm.simhash import LOWER, components, fingerprint, links
+from boundspark.llm.simhash import LOWER, Forest, components, fingerprint, links, routes
 
 BINS, BANDS, WIDTH, SIMILARITY = 128, 32, 5, 0.8
 EMPTY = 0xFFFFFFFF
-DDL = "doc_id long, fp long, sketch binary, bands array<long>, twins array<long>"
+#: Rows of one band or route that the second pass holds at a time; larger ones are judged block against block.
+BLOCK = 512
+DDL = "doc_id long, fp long, sketch binary, bands array<long>, twins array<long>, size int"
 
 
 def shingles(text: bytes) -> np.ndarray:
@@ -40,9 +43,9 @@ def shingles(text: bytes) -> np.ndarray:
         return np.unique(mix64(_gram_hash(mix64(x), min(WIDTH, len(x)))))
 
 
-def sketch(text: bytes) -> np.ndarray:
+def sketch(h: np.ndarray) -> np.ndarray:
     """The smallest shingle hash in each of BINS equal parts of the hash range, in 32 bits; EMPTY where there is none."""
-    out, h = np.full(BINS, EMPTY, np.uint32), shingles(text)
+    out = np.full(BINS, EMPTY, np.uint32)
     part = (h >> np.uint64(57)).astype(np.int64)
     first = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(h) else part
     out[part[first]] = (h[first] >> np.uint64(20)).astype(np.uint32) & np.uint32(0xFFFFFFFE)
@@ -51,40 +54,55 @@ def sketch(text: bytes) -> np.ndarray:
 
 def alike(a: bytes, b: bytes) -> bool:
     """Whether two texts share SIMILARITY of their shingles."""
-    x, y = shingles(a), shingles(b)
+    return _alike(shingles(a), shingles(b))
+
+
+def _alike(x: np.ndarray, y: np.ndarray) -> bool:
     both = len(np.intersect1d(x, y, assume_unique=True))
     return both > 0 and both >= SIMILARITY * (len(x) + len(y) - both) - 1e-9
 
 
+def band_keys(sketches: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each sketch the keys of its bands, and which of the bands are not empty."""
+    parts = sketches.reshape(-1, BANDS, BINS // BANDS).astype(np.uint64)
+    with np.errstate(over="ignore"):
+        key = np.arange(1, BANDS + 1, dtype=np.uint64) + np.zeros((len(parts), 1), np.uint64)
+        for k in range(parts.shape[2]):
+            key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + parts[:, :, k])
+    return key, (parts != EMPTY).any(axis=2)
+
+
 def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    step = BINS // BANDS
     for b in batches:
-        fps, sketches, bands, twins = [], [], [], []
+        fps, sketches, bands, twins, sizes = [], [], [], [], []
         for t in as_bytes(b.column(1)):
-            s = sketch(t)
+            h = shingles(t)
+            s = sketch(h)
+            sizes.append(len(h))
             fps.append(fingerprint(t, WIDTH))
             sketches.append(s.tobytes())
-            parts = s.reshape(BANDS, step).astype(np.uint64)
+            key, full = band_keys(s)
+            key = key[full]
             with np.errstate(over="ignore"):
-                key = np.arange(1, BANDS + 1, dtype=np.uint64)
-                for k in range(step):
-                    key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + parts[:, k])
-                key = key[(parts != EMPTY).any(axis=1)]
                 twins.append(mix64(key[:-1] * np.uint64(3) + key[1:]).view(np.int64).tolist())
             bands.append(key.view(np.int64).tolist())
-        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sketches, pa.binary()), pa.array(bands, pa.list_(pa.int64())), pa.array(twins, pa.list_(pa.int64()))], ["doc_id", "fp", "sketch", "bands", "twins"])
+        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(sketches, pa.binary()), pa.array(bands, pa.list_(pa.int64())), pa.array(twins, pa.list_(pa.int64())), pa.array(sizes, pa.int32())], ["doc_id", "fp", "sketch", "bands", "twins", "size"])
+
+
+def _verdict(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For rows of two arrays of sketches: whether they are not ruled out, and whether they are not proven."""
+    full = ((x != EMPTY) | (y != EMPTY)).sum(axis=1)
+    above = ((x == y) & (x != EMPTY)).sum(axis=1) / np.maximum(full, 1) - SIMILARITY
+    margin = 4 * np.sqrt(SIMILARITY * (1 - SIMILARITY) / np.maximum(full, 1))
+    return (full > 0) & (above > -margin), above < margin
 
 
 def _judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Pairs that their sketches do not rule out; ``doubt`` where the sketches do not prove them either."""
     for batch in batches:
         read = lambda c, b=batch: np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint32).reshape(-1, BINS)
-        x, y = read("sa"), read("sb")
-        full = ((x != EMPTY) | (y != EMPTY)).sum(axis=1)
-        above = ((x == y) & (x != EMPTY)).sum(axis=1) / np.maximum(full, 1) - SIMILARITY
-        margin = 4 * np.sqrt(SIMILARITY * (1 - SIMILARITY) / np.maximum(full, 1))
-        keep = pa.array((full > 0) & (above > -margin))
-        yield pa.RecordBatch.from_arrays([batch.column("a").filter(keep), batch.column("b").filter(keep), pa.array(above < margin).filter(keep)], ["a", "b", "doubt"])
+        keep, doubt = map(pa.array, _verdict(read("sa"), read("sb")))
+        yield pa.RecordBatch.from_arrays([batch.column("a").filter(keep), batch.column("b").filter(keep), doubt.filter(keep)], ["a", "b", "doubt"])
 
 
 def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -114,7 +132,75 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     side = lambda name: rows.select(F.col("doc_id").alias(name), F.col("sketch").alias(f"s{name}")).hint("merge")
     judged = stage(wanted.join(side("a"), "a").join(side("b"), "b").mapInArrow(_judge, "a long, b long, doubt boolean"))
     release(docs.sparkSession)
-    return components(judged.where("NOT doubt").select("a", "b").union(_confirm(docs, judged.where("doubt").select("a", "b"))))
+    found = stage(judged.where("NOT doubt").select("a", "b").union(_confirm(docs, judged.where("doubt").select("a", "b"))))
+    known = stage(components(found))
+    rest = stage(_between_classes(docs, rows, known))
+    release(docs.sparkSession)
+    return known if rest.isEmpty() else components(found.union(rest))
+
+
+def _between_classes(docs: DataFrame, rows: DataFrame, known: DataFrame) -> DataFrame:
+    """(a, b): smallest ids of classes that a pair of near-duplicates under one band or route joins, enough to join all."""
+    classed = rows.where(F.size("bands") > 0).join(known.hint("merge"), F.col("doc_id") == F.col("node"), "left").withColumn("root", F.coalesce("root", "doc_id"))
+    band = F.transform("bands", lambda k: F.struct(k.alias("key"), F.lit(False).alias("route")))
+    route = F.transform(routes(2), lambda k: F.struct(k.alias("key"), F.lit(True).alias("route")))
+    keyed = classed.select("doc_id", "root", F.explode(F.concat(band, route)).alias("k")).select("doc_id", "root", "k.*")
+    mixed = keyed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count(F.lit(1)).alias("n")).where("low < high")
+    mixed = mixed.select("key", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
+    members = keyed.join(mixed.hint("merge"), "key").withColumn("block", F.pmod(F.xxhash64("doc_id"), "blocks").cast("int"))
+    # A row meets every block of its key once; a cell of two blocks is named by both.
+    met = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("cell", F.xxhash64("key", F.least("block", "other"), F.greatest("block", "other")))
+    met = met.select("doc_id", "root", "key", "route", "cell", "block", (F.col("block") == F.col("other")).alias("within"))
+    n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    whole = met.hint("merge").join(rows.select("doc_id", "sketch", "size"), "doc_id").join(source(docs), "doc_id").withColumn("part", F.pmod("cell", F.lit(16 * n)))
+    return whole.groupBy("part").applyInPandas(_judge_cells, "a long, b long")
+
+
+def _judge_cells(pdf: pd.DataFrame) -> pd.DataFrame:
+    pdf = pdf.sort_values(["cell", "root", "doc_id"], ignore_index=True)
+    cell, root, key, route, block, within, size = (pdf[c].to_numpy() for c in ("cell", "root", "key", "route", "block", "within", "size"))
+    sketches = np.frombuffer(b"".join(pdf["sketch"]), np.uint32).reshape(-1, BINS)
+    keys, full = band_keys(sketches)
+    live, ahead, found = np.arange(len(pdf)), 0, [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, bool))]
+    while len(live):  # each row with the row so many places ahead, while that is in its cell
+        ahead += 1
+        live = live[live + ahead < len(pdf)]
+        live = live[cell[live] == cell[live + ahead]]
+        pick = live[(root[live] != root[live + ahead]) & (within[live] | (block[live] != block[live + ahead]))]
+        # sets that are alike are alike in size
+        pick = pick[np.minimum(size[pick], size[pick + ahead]) >= SIMILARITY * np.maximum(size[pick], size[pick + ahead]) - 1e-9]
+        for at in range(0, len(pick), 1 << 13):
+            a = pick[at : at + (1 << 13)]
+            keep, doubt = _verdict(sketches[a], sketches[a + ahead])
+            a, doubt = a[keep], doubt[keep]
+            # a pair is judged under the first band it shares, and under routes only where it shares none
+            shared = (keys[a] == keys[a + ahead]) & full[a] & full[a + ahead]
+            first = keys[a, shared.argmax(axis=1)].view(np.int64)
+            here = np.where(shared.any(axis=1), ~route[a] & (first == key[a]), route[a])
+            found.append((a[here], a[here] + ahead, doubt[here]))
+    a, b, doubt = (np.concatenate([f[k] for f in found]) for k in range(3))
+    classes, of = np.unique(root, return_inverse=True)
+    forest = Forest(len(classes))
+    forest.union(of[a[~doubt]], of[b[~doubt]])
+    sets: dict[int, np.ndarray] = {}
+    parent = forest.roots().tolist()
+
+    def top(x: int) -> int:
+        while parent[x] != x:
+            parent[x] = x = parent[parent[x]]
+        return x
+
+    def held(i: int) -> np.ndarray:
+        if i not in sets:
+            sets[i] = shingles(pdf["text"][i].encode())
+        return sets[i]
+
+    for i, k in zip(a[doubt].tolist(), b[doubt].tolist(), strict=True):
+        x, y = top(of[i]), top(of[k])
+        if x != y and _alike(held(i), held(k)):
+            parent[max(x, y)] = min(x, y)
+    tied = [k for k in range(len(classes)) if parent[k] != k]
+    return pd.DataFrame({"a": classes[[top(k) for k in tied]], "b": classes[tied]}, dtype=np.int64)
 
 
 def _first(rows: DataFrame, key: str) -> DataFrame:

@@ -22,7 +22,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from boundspark.llm.common import NO_ID, as_bytes, shown, source, stage, table
@@ -164,14 +164,19 @@ def _route_links(radius: int):
     return run
 
 
-def links(distinct: DataFrame, radius: int = 2) -> DataFrame:
-    """(a, b) fingerprint links whose closure is the closure of all links within ``radius`` bits."""
-    edges, routes = block_edges(radius), []
+def routes(radius: int = 2) -> Column:
+    """The routes of a row's fp; rows whose fps differ in at most ``radius`` bits share one."""
+    edges, out = block_edges(radius), []
     for no, (i, j) in enumerate(combinations(range(radius + 2), 2)):
         mask = sum(((1 << edges[k + 1]) - 1) ^ ((1 << edges[k]) - 1) for k in (i, j))
         mask = mask - (1 << 64) if mask >> 63 else mask
-        routes.append(F.xxhash64(F.lit(no), F.col("fp").bitwiseAND(F.lit(mask).cast("long"))))
-    routed = distinct.select("fp", F.explode(F.array(*routes)).alias("route"))
+        out.append(F.xxhash64(F.lit(no), F.col("fp").bitwiseAND(F.lit(mask).cast("long"))))
+    return F.array(*out)
+
+
+def links(distinct: DataFrame, radius: int = 2) -> DataFrame:
+    """(a, b) fingerprint links whose closure is the closure of all links within ``radius`` bits."""
+    routed = distinct.select("fp", F.explode(routes(radius)).alias("route"))
     # A route alone links nothing; counting routes first spares the kernel and most of the exchange.
     busy = routed.groupBy("route").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("route")
     n = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))

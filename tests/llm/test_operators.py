@@ -337,6 +337,22 @@ def test_near_dedup(spark):
     assert kept == {10 * k for k in range(12)} | {500, 501, 502}
 
 
+@pytest.mark.parametrize("block", [512, 8])
+def test_near_duplicates_among_unlike_neighbours(spark, block, monkeypatch):
+    """Texts that share a template and little else fill the same bands; planted pairs meet neither first nor previous rows."""
+    monkeypatch.setattr(near_dedup, "BLOCK", block)
+    r, texts, want = random.Random(5), {}, {}
+    template = [f"t{k}" for k in range(300)]
+    for k in range(150):
+        texts[k] = template + [f"v{k}x{j}" for j in range(150)]
+    for k in range(40):
+        a, b = 2 * k + 1, 1000 + r.randrange(1000) * 40 + k
+        texts[b] = texts[a][:430] + [f"u{k}x{j}" for j in range(20)]
+        want[b] = a
+    got = near_dedup.near_duplicates(spark.createDataFrame([(k, " ".join(v)) for k, v in texts.items()], "doc_id long, text string"))
+    assert {x["node"]: x["root"] for x in got.collect()} == want
+
+
 def test_empty_tables(spark, empty):
     for fn in (exact_dedup.exact_dedup, sharding.external_shuffle, simhash.simhash_dedup, suffix_dedup.suffix_dedup, substring_dedup.substring_dedup, bpe.encode_decode, packing.pack, quality_rules.quality_rules, near_dedup.near_dedup, weak_label_classifier.quality_classifier):
         assert fn(empty).count() == 0, fn.__name__
