@@ -42,7 +42,10 @@ def stage_by(df: DataFrame, key: str, buckets: int) -> DataFrame:
     spark, name = df.sparkSession, f"boundspark_{uuid.uuid4().hex}"
     path = f"{shared_dir(spark).rstrip('/')}/{name}"
     df.write.bucketBy(buckets, key).option("path", path).option("compression", "zstd").format("parquet").saveAsTable(name)
-    return spark.table(name)
+    held = spark.table(name)
+    held.schema  # resolved while the name exists; the files outlive it
+    spark.sql(f"DROP TABLE {name}")
+    return held
 
 
 def release(spark: SparkSession) -> None:

@@ -3,26 +3,32 @@
 The search is for windows of ``length`` elements (bytes or words) that occur elsewhere. Every window holds an anchor:
 the k-gram with the smallest hash in it, so equal windows have equal anchors at equal offsets. Rounds:
 
-1. Each chunk of texts sends its distinct anchor hashes (five bytes each) to buckets, which answer with those that
+1. Each pack of texts sends its distinct anchor hashes (five bytes each) to buckets, which answer with those that
    occur again. The rest of the corpus takes no further part.
 2. Anchors that recur send a hash of their context, all the elements that windows around the anchor can cover. Equal
-   contexts form a class and are settled at once; of each class one representative goes on, if its anchor has
-   other classes.
+   contexts are folded into a class; of each class one representative goes on, if its anchor has other classes.
 3. Representatives send their contexts to their anchor's bucket, where an index kernel (a suffix array or a suffix
-   automaton) compares the windows of different classes. Anchors with more than GROUP_LIMIT classes, such as the edge
-   of a passage in very many documents, are not gathered: their windows are dealt out one by one under a 128-bit
-   hash, folded in each chunk before they travel.
-4. Each chunk marks its matched windows, and the operator reads off what they cover.
+   automaton) compares the windows of different classes. The group of an anchor with more than SPLIT_CLASSES classes,
+   such as the edge of a passage in very many documents, is split: its windows travel one by one, folded in each pack,
+   to the buckets that their hashes name, and the same kernel compares them there.
+4. Each pack marks its matched windows, and the operator reads off what they cover.
 
 Two rules decide what counts as elsewhere: ``earlier`` (a document with a smaller id) and ``again`` (any other place).
 Nothing is capped or sampled, a task holds one bucket at a time, and a hot anchor, context or window costs one entry
-in each chunk.
+in each pack.
+
+Texts lie in chunks of about BLOCK_BYTES, chunks in packs. A longer text is cut into pieces that overlap by a window
+less one element, so that each of its windows lies in one piece; to the rounds a piece is a document, and the last
+round joins them again. Buckets are hash shards sized by what they receive, at most MAX_BUCKETS of them; packs grow
+with the corpus, so that a message from a pack to a bucket holds many anchors; the chunk table has a layout of its own.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
+from itertools import islice
 
 import numpy as np
 import pandas as pd
@@ -30,14 +36,18 @@ import pyarrow as pa
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from boundspark.llm.common import ASCII_SPACE, BLOCK_BYTES, blocks, fan_out, mix64, release, source, stage, stage_by, text_bytes
+from boundspark.llm.common import ASCII_SPACE, BLOCK_BYTES, NO_ID, blocks, mix64, release, source, stage, stage_by, text_bytes
 
-GROUP_LIMIT = 1000
+SPLIT_CLASSES = 4096
 BUCKET_BYTES = 12 << 20
+MAX_BUCKETS = 1 << 18
+#: Spark allows 100,000 buckets in a table.
+MAX_LAYOUT = 50_000
+PACK_CHUNKS = 32
 U = np.uint64
-CHUNK_DDL = "chunk long, ids binary, sizes binary, blob binary"
+CHUNK_DDL = "pack long, chunk int, piece int, last boolean, core long, ids binary, sizes binary, blob binary"
+CHUNK = pa.schema([("pack", pa.int64()), ("chunk", pa.int32()), ("piece", pa.int32()), ("last", pa.bool_()), ("core", pa.int64()), ("ids", pa.binary()), ("sizes", pa.binary()), ("blob", pa.binary())])
 
 
 @dataclass(frozen=True)
@@ -49,6 +59,10 @@ class Layout:
     kind: str
     rule: str
 
+    def __post_init__(self) -> None:
+        if not 0 < self.k <= self.length or self.left > 63:
+            raise ValueError("a window may reach at most 63 elements beyond its anchor")
+
     @property
     def left(self) -> int:
         return self.length - self.k
@@ -58,17 +72,66 @@ class Layout:
         return self.left + self.length
 
 
-def chunks(docs: DataFrame, buckets: int, **cols) -> DataFrame:
-    """Texts in compressed chunks of about BLOCK_BYTES, staged so that a chunk's number stands for the same texts, and
+def fan(total: int, partitions: int) -> tuple[int, int, int]:
+    """Buckets of the rounds, buckets of the chunk table, and chunks in a pack, for ``total`` bytes of text."""
+    n = min(max(partitions, -(-total // BUCKET_BYTES), 1), MAX_BUCKETS)
+    # A message holds some 32 anchors or more while packs may grow: there is about one anchor in 14 bytes.
+    return n, min(n, MAX_LAYOUT), min(max(1, 448 * n // BLOCK_BYTES), PACK_CHUNKS)
+
+
+_WORD, _GAP = re.compile(rb"[^\x20\x09-\x0D]+"), re.compile(rb"[\x20\x09-\x0D]")
+
+
+def pieces(text: bytes, layout: Layout, size: int) -> Iterator[tuple[bytes, int]]:
+    """(piece, bytes of it that no later piece repeats). Cuts fall between characters, or between words."""
+    a = 0
+    while a < len(text):
+        b = min(a + size, len(text))
+        if layout.kind == "bytes":
+            while b < len(text) and text[b] & 0xC0 == 0x80:
+                b += 1
+            end = b + layout.length - 1
+        else:
+            gap = _GAP.search(text, b) if b < len(text) else None
+            b = gap.end() if gap else len(text)
+            end = b
+            for m in islice(_WORD.finditer(text, b), layout.length - 1):
+                end = m.end()
+        yield text[a:end], b - a
+        a = b
+
+
+def chunks(docs: DataFrame, layout: Layout, buckets: int, per_pack: int, **cols) -> DataFrame:
+    """Texts in compressed chunks of about BLOCK_BYTES, staged so that a pack's number stands for the same texts, and
     bucketed by it so that the rounds join their answers to the texts without moving the texts."""
+    size = BLOCK_BYTES
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pack, base = zstandard.ZstdCompressor(level=3), TaskContext.get().partitionId() << 32
-        for n, (ids, texts) in enumerate(blocks(batches)):
+        press, base, pack, held = zstandard.ZstdCompressor(level=3), TaskContext.get().partitionId() << 32, 0, 0
+
+        def row(ids: list[int], texts: list[bytes], piece: int, last: bool, core: int) -> pa.RecordBatch:
             sizes = np.fromiter(map(len, texts), np.int64, len(texts))
-            yield pa.RecordBatch.from_arrays([pa.array([base + n]), pa.array([np.array(ids, np.int64).tobytes()], pa.binary()), pa.array([sizes.tobytes()], pa.binary()), pa.array([pack.compress(b"".join(texts))], pa.binary())], ["chunk", "ids", "sizes", "blob"])
+            cells = base + pack, held, piece, last, core, np.array(ids, np.int64).tobytes(), sizes.tobytes(), press.compress(b"".join(texts))
+            return pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip(cells, CHUNK, strict=True)], schema=CHUNK)
+
+        for ids, texts in blocks(batches, size):
+            # only the last text of a block can be longer than a block
+            cut = list(pieces(texts[-1], layout, size)) if len(texts[-1]) > size else []
+            whole = len(texts) - bool(cut)
+            if whole:
+                yield row(ids[:whole], texts[:whole], -1, True, 0)
+                held += 1
+            for k, (part, core) in enumerate(cut):
+                yield row(ids[-1:], [part], k, k == len(cut) - 1, core)
+                held += 1
+            if held >= per_pack:
+                pack, held = pack + 1, 0
+
+    return stage_by(source(docs, **cols).mapInArrow(run, CHUNK_DDL), "pack", buckets)
 
-    return stage_by(source(docs, **cols).mapInArrow(run, CHUNK_DDL), "chunk", buckets)
+
+def _in_order(pdf: pd.DataFrame) -> list[dict]:
+    return pdf.sort_values("chunk").to_dict("records")
 
 
 def word_hashes(raw: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -118,11 +181,11 @@ def _power_run(n: int) -> np.ndarray:
 class Chunk:
     """A chunk unpacked: texts, elements, and the element range of each document."""
 
-    def __init__(self, layout: Layout, ids: bytes, sizes: bytes, blob: bytes):
-        self.layout = layout
-        self.ids = np.frombuffer(ids, np.int64)
-        ends = np.cumsum(np.frombuffer(sizes, np.int64))
-        raw = zstandard.ZstdDecompressor().decompress(blob) if blob else b""
+    def __init__(self, layout: Layout, row: dict):
+        self.layout, self.piece, self.last, self.core = layout, row["piece"], row["last"], row["core"]
+        self.ids = np.frombuffer(row["ids"], np.int64)
+        ends = np.cumsum(np.frombuffer(row["sizes"], np.int64))
+        raw = zstandard.ZstdDecompressor().decompress(row["blob"]) if row["blob"] else b""
         cuts = list(zip([0, *ends[:-1].tolist()], ends.tolist(), strict=True))
         self.texts = [raw[a:b] for a, b in cuts]
         if layout.kind == "bytes":
@@ -132,15 +195,13 @@ class Chunk:
             begin, self.elements = word_hashes(np.frombuffer(raw, np.uint8), ends)
             self.ends = np.searchsorted(begin, ends)
         self.starts = np.r_[0, self.ends[:-1]].astype(np.int64)
-
-    @property
-    def words(self) -> list[list[bytes]]:
-        return [t.split() for t in self.texts]
+        # Of a piece, the elements that are its own: the rest is the next piece's.
+        self.own = len(self.elements) if self.piece < 0 else self.core if layout.kind == "bytes" else int(np.searchsorted(begin, self.core))
 
     def anchors(self) -> None:
         """pos, hash and document of every anchor whose windows lie within a document."""
         lay, n = self.layout, len(self.elements)
-        self.pos, self.hash, self.doc = np.zeros(0, np.int64), np.zeros(0, U), np.zeros(0, np.int64)
+        self.pos, self.hash, self.doc, self.low, self.high = np.zeros(0, np.int64), np.zeros(0, U), *(np.zeros(0, np.int64) for _ in range(3))
         if n < lay.length:
             return
         h = mix64(_gram_hash(mix64(self.elements + U(1)), lay.k))
@@ -260,20 +321,41 @@ def _runs(*keys: np.ndarray) -> np.ndarray:
 # --- round 1: which anchors recur ------------------------------------------------------------------------------
 
 
+def _folded(keys: list[np.ndarray], low: np.ndarray, high: np.ndarray, n: np.ndarray) -> tuple[list[np.ndarray], np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct keys with their smallest and largest document and their number of places."""
+    order = np.lexsort(keys[::-1])
+    keys = [k[order] for k in keys]
+    first = _runs(*keys)
+    if not len(first):
+        return keys, low, high, n
+    return [k[first] for k in keys], np.minimum.reduceat(low[order], first), np.maximum.reduceat(high[order], first), np.add.reduceat(n[order], first)
+
+
+def _places(layout: Layout, rows: list[dict], see: Callable[[dict], tuple[Chunk, list[np.ndarray]]]) -> tuple[list[np.ndarray], np.ndarray, np.ndarray, np.ndarray]:
+    """``_folded`` over the chunks of a pack, each of which ``see`` opens and gives keys for."""
+    got = []
+    for row in rows:
+        c, keys = see(row)
+        who = c.ids[c.doc]
+        got.append(_folded(keys, who, who, np.ones(len(who), np.int64)))
+    if len(got) == 1:
+        return got[0]
+    join = lambda k: np.concatenate([g[k] for g in got])
+    return _folded([np.concatenate(k) for k in zip(*(g[0] for g in got), strict=True)], join(1), join(2), join(3))
+
+
 def _send_anchors(layout: Layout, n: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for row in batch.to_pylist():
-                c = Chunk(layout, row["ids"], row["sizes"], row["blob"])
-                c.anchors()
-                order = np.lexsort((c.ids[c.doc], c.hash))
-                h, who = c.hash[order], c.ids[c.doc[order]]
-                first = _runs(h)
-                last = np.r_[first[1:], len(h)] - 1
-                again = who[first] != who[last] if layout.rule == "earlier" else first != last
-                keys = key_of(h[first]) | again.astype(U)
-                got = [(b, pack5(k)) for b, (k,) in _split(bucket_of(h[first], n), keys)]
-                yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in got], pa.int32()), pa.array([row["chunk"]] * len(got), pa.int64()), pa.array([k for _, k in got], pa.binary())], ["bucket", "chunk", "keys"])
+    def see(row: dict) -> tuple[Chunk, list[np.ndarray]]:
+        c = Chunk(layout, row)
+        c.anchors()
+        return c, [c.hash]
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        (h,), low, high, many = _places(layout, _in_order(pdf), see)
+        again = low != high if layout.rule == "earlier" else many > 1
+        pack = pdf["pack"].iloc[0]
+        out = [(b, pack, pack5(k)) for b, (k,) in _split(bucket_of(h, n), key_of(h) | again.astype(U))]
+        return pd.DataFrame(out, columns=["bucket", "pack", "keys"])
 
     return run
 
@@ -287,15 +369,15 @@ def _recurring(pdf: pd.DataFrame) -> pd.DataFrame:
     flagged = np.bitwise_or.reduceat(every & U(1), first) > 0
     hot = plain[first][(size > 1) | flagged]
     out = []
-    for bucket, chunk, p in zip(pdf["bucket"], pdf["chunk"], parts, strict=True):
+    for bucket, pack, p in zip(pdf["bucket"], pdf["pack"], parts, strict=True):
         mine = p & _LOW
         mine = mine[_member(mine, hot)]
         if len(mine):
-            out.append((chunk, "keys", np.int64(bucket).tobytes() + pack5(mine)))
-    return pd.DataFrame(out, columns=["chunk", "what", "data"])
+            out.append((pack, "keys", np.int64(bucket).tobytes() + pack5(mine)))
+    return pd.DataFrame(out, columns=["pack", "what", "data"])
 
 
-ANSWER_DDL = "chunk long, what string, data binary"
+ANSWER_DDL = "pack long, what string, data binary"
 
 
 def _member(x: np.ndarray, sorted_set: np.ndarray) -> np.ndarray:
@@ -308,67 +390,73 @@ def _member(x: np.ndarray, sorted_set: np.ndarray) -> np.ndarray:
 
 ENTRY = np.dtype([("h", "<u8"), ("e", "<u8"), ("v", "<i8"), ("more", "u1")])
 VERDICT = np.dtype([("h", "<u8"), ("e", "<u8"), ("v", "<i8"), ("code", "u1")])
-#: Codes: settled only; representative that goes to the kernel; representative whose windows are dealt out.
+#: Codes: nothing to send; the class's representative goes to the kernel; its windows do.
 SETTLED, GATHER, DEAL = 0, 1, 2
 
 
-def _recurring_anchors(layout: Layout, row: dict, answers: list[bytes], n: int) -> Chunk:
-    c = Chunk(layout, row["ids"], row["sizes"], row["blob"])
-    c.anchors()
-    bucket, mask = bucket_of(c.hash, n), np.zeros(len(c.hash), bool)
-    keys = key_of(c.hash)
-    for data in answers:
-        mine = np.flatnonzero(bucket == int(np.frombuffer(data[:8], np.int64)[0]))
-        mask[mine] = _member(keys[mine], np.sort(unpack5(data[8:])))
-    c.keep(mask)
-    return c
-
-
 def _send_classes(layout: Layout, n: int):
     def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         out = []
-        if len(right):
-            for row in left.to_dict("records"):
-                c = _recurring_anchors(layout, row, list(right["data"]), n)
-                e, who = c.context_hashes(), c.ids[c.doc]
-                order = np.lexsort((who, e, c.hash))
-                h, e, who = c.hash[order], e[order], who[order]
-                first = _runs(h, e)
-                last = np.r_[first[1:], len(h)] - 1
-                entry = np.zeros(len(first), ENTRY)
-                entry["h"], entry["e"] = h[first], e[first]
-                if layout.rule == "earlier":
-                    entry["v"], entry["more"] = who[first], who[first] != who[last]
-                else:
-                    entry["v"] = last - first + 1
-                out += [(b, row["chunk"], x.tobytes()) for b, (x,) in _split(bucket_of(entry["h"], n), entry)]
-        return pd.DataFrame(out, columns=["bucket", "chunk", "data"])
+        if len(right) and len(left):
+            hot = {int(np.frombuffer(d[:8], np.int64)[0]): np.sort(unpack5(d[8:])) for d in right["data"]}
+
+            def see(row: dict) -> tuple[Chunk, list[np.ndarray]]:
+                c = Chunk(layout, row)
+                c.anchors()
+                c.keep(_hot(c.hash, hot, n))
+                return c, [c.hash, c.context_hashes()]
+
+            (h, e), low, high, many = _places(layout, _in_order(left), see)
+            entry = np.zeros(len(h), ENTRY)
+            entry["h"], entry["e"] = h, e
+            if layout.rule == "earlier":
+                entry["v"], entry["more"] = low, low != high
+            else:
+                entry["v"] = many
+            out = [(b, left["pack"].iloc[0], x.tobytes()) for b, (x,) in _split(bucket_of(h, n), entry)]
+        return pd.DataFrame(out, columns=["bucket", "pack", "data"])
 
     return run
 
 
+def _hot(h: np.ndarray, hot: dict[int, np.ndarray], n: int) -> np.ndarray:
+    """Which anchors are in the set of their bucket."""
+    # Bucket and key together name an anchor; both are read off its hash.
+    order = np.argsort(bucket_of(h, n), kind="stable")
+    mask, keys = np.zeros(len(h), bool), key_of(h)
+    for b, (at,) in _split(bucket_of(h, n)[order], order):
+        if b in hot:
+            mask[at] = _member(keys[at], hot[b])
+    return mask
+
+
 def _judge_classes(layout: Layout):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         parts = [np.frombuffer(d, ENTRY) for d in pdf["data"]]
         every = np.concatenate(parts)
-        chunk = np.repeat(pdf["chunk"].to_numpy(np.int64), list(map(len, parts)))
-        order = np.lexsort((chunk, every["v"], every["e"], every["h"])) if layout.rule == "earlier" else np.lexsort((chunk, every["e"], every["h"]))
-        every, chunk = every[order], chunk[order]
+        pack = np.repeat(pdf["pack"].to_numpy(np.int64), list(map(len, parts)))
+        order = np.lexsort((pack, every["v"], every["e"], every["h"])) if layout.rule == "earlier" else np.lexsort((pack, every["e"], every["h"]))
+        every, pack = every[order], pack[order]
         first = _runs(every["h"], every["e"])
         cls = np.repeat(np.arange(len(first)), np.diff(np.r_[first, len(every)]))
         value = every["v"][first] if layout.rule == "earlier" else np.add.reduceat(every["v"], first)
         group = _runs(every["h"][first])
         classes = np.repeat(np.diff(np.r_[group, len(first)]), np.diff(np.r_[group, len(first)]))
+        kind = np.where(classes == 1, SETTLED, np.where(classes <= SPLIT_CLASSES, GATHER, DEAL)).astype(np.uint8)
         code = np.zeros(len(every), np.uint8)
-        code[first] = np.where(classes == 1, SETTLED, np.where(classes <= GROUP_LIMIT, GATHER, DEAL))
+        code[first] = kind
         out = np.zeros(len(every), VERDICT)
-        out["h"], out["e"], out["v"], out["code"] = every["h"], every["e"], value[cls], code
+        out["h"], out["e"], out["v"] = every["h"], every["e"], value[cls]
         if layout.rule == "earlier":
+            # Rows that share the smallest id may lie in several packs: each asks for itself. None is earlier than no id.
+            tied = (every["v"] == out["v"]) & (out["v"] != NO_ID)
+            code[tied] = kind[cls[tied]]
             tell = (every["v"] > out["v"]) | (every["more"] > 0) | (code > 0)
         else:
             tell = (out["v"] > 1) | (code > 0)
-        rows = [(c, "classes", x.tobytes()) for c, (x,) in _split(chunk[tell], out[tell])]
-        return pd.DataFrame(rows, columns=["chunk", "what", "data"])
+        out["code"] = code
+        rows = [(c, "classes", x.tobytes()) for c, (x,) in _split(pack[tell], out[tell])]
+        return pd.DataFrame(rows, columns=["pack", "what", "data"])
 
     return run
 
@@ -396,7 +484,7 @@ def _look_up(c: Chunk, e: np.ndarray, verdicts: np.ndarray) -> np.ndarray:
 
 def _reopen(layout: Layout, row: dict, verdicts: np.ndarray) -> tuple[Chunk, np.ndarray, np.ndarray]:
     """The chunk's anchors that verdicts speak of, their verdict's index and their context hash."""
-    c = Chunk(layout, row["ids"], row["sizes"], row["blob"])
+    c = Chunk(layout, row)
     c.anchors()
     c.keep(_member(c.hash, np.unique(verdicts["h"])))
     e = c.context_hashes()
@@ -405,13 +493,20 @@ def _reopen(layout: Layout, row: dict, verdicts: np.ndarray) -> tuple[Chunk, np.
     return c, at[at >= 0], e[at >= 0]
 
 
-def _representatives(layout: Layout, c: Chunk, at: np.ndarray, verdicts: np.ndarray, code: int) -> np.ndarray:
-    """One anchor for each class that this chunk speaks for."""
+def _speakers(layout: Layout, c: Chunk, at: np.ndarray, verdicts: np.ndarray, code: int) -> np.ndarray:
+    """Anchors whose context stands for their class."""
     mine = verdicts["code"][at] == code
     if layout.rule == "earlier":
         mine &= c.ids[c.doc] == verdicts["v"][at]
-    mine = np.flatnonzero(mine)
-    return mine[np.unique(at[mine], return_index=True)[1]]
+    return np.flatnonzero(mine)
+
+
+def _one_each(mine: np.ndarray, at: np.ndarray, used: np.ndarray) -> np.ndarray:
+    """One of the anchors for each verdict that no chunk before has spoken for."""
+    mine = mine[np.unique(at[mine], return_index=True)[1]]
+    mine = mine[~used[at[mine]]]
+    used[at[mine]] = True
+    return mine
 
 
 def window_hashes(layout: Layout, rows: np.ndarray, offset: int) -> tuple[np.ndarray, np.ndarray]:
@@ -436,42 +531,54 @@ def _windows(layout: Layout, c: Chunk, reps: np.ndarray) -> Iterator[tuple[int,
 
 
 def _send_contexts(layout: Layout, n: int):
-    dtype = np.uint8 if layout.kind == "bytes" else U
+    dtype = _dtype(layout)
 
     def run(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        out = []
+        out, wins = [], []
         verdicts = _verdicts(right, "classes", VERDICT)
         verdicts = verdicts[verdicts["code"] > 0]
-        if len(verdicts):
-            for row in left.to_dict("records"):
+        if len(verdicts) and len(left):
+            pack, used = left["pack"].iloc[0], np.zeros(len(verdicts), bool)
+            for row in _in_order(left):
                 c, at, _ = _reopen(layout, row, verdicts)
-                reps = _representatives(layout, c, at, verdicts, GATHER)
+                reps = _one_each(_speakers(layout, c, at, verdicts, GATHER), at, used)
                 for b, (some,) in _split(bucket_of(c.hash[reps], n), reps):
-                    rows = c.contexts(some)
-                    body = (np.maximum(rows, U(1)) - U(1)).astype(dtype)
+                    body = (np.maximum(c.contexts(some), U(1)) - U(1)).astype(dtype)
                     low, high, v = c.low[some].astype(np.uint8), c.high[some].astype(np.uint8), verdicts["v"][at[some]]
                     head = np.stack([c.hash[some], verdicts["e"][at[some]], v.view(U)], 1)
-                    out.append((b, row["chunk"], "contexts", len(some), head.tobytes() + low.tobytes() + high.tobytes() + body.tobytes()))
-                wins = []
-                for _, who, a, b in _windows(layout, c, _representatives(layout, c, at, verdicts, DEAL)):
-                    w = np.zeros(len(a), WINDOW)
-                    w["a"], w["b"] = a, b
+                    out.append((b, pack, "contexts", len(some), head.tobytes() + low.tobytes() + high.tobytes() + body.tobytes()))
+                reps = _one_each(_speakers(layout, c, at, verdicts, DEAL), at, used)
+                for o, who, a, b in _windows(layout, c, reps):
+                    w = np.zeros(len(a), _window_type(layout))
+                    w["a"], w["b"], w["o"] = a, b, o
                     w["v"] = c.ids[c.doc[who]] if layout.rule == "earlier" else verdicts["v"][at[who]]
+                    w["body"] = (c.contexts(who)[:, layout.left - o : layout.left - o + layout.length] - U(1)).astype(dtype)
                     wins.append(w)
-                if wins:
-                    w = _fold_windows(layout, np.concatenate(wins))
-                    out += [(b, row["chunk"], "windows", len(x), x.tobytes()) for b, (x,) in _split(bucket_of(w["a"], n), w)]
-        return pd.DataFrame(out, columns=["bucket", "chunk", "what", "n", "data"])
+            if wins:
+                w = _fold_windows(layout, np.concatenate(wins))
+                out += [(b, pack, "windows", len(x), x.tobytes()) for b, (x,) in _split(bucket_of(w["a"], n), w)]
+        return pd.DataFrame(out, columns=["bucket", "pack", "what", "n", "data"])
 
     return run
 
 
+def _dtype(layout: Layout):
+    return np.uint8 if layout.kind == "bytes" else U
+
+
+def _window_type(layout: Layout) -> np.dtype:
+    return np.dtype([("a", "<u8"), ("b", "<u8"), ("v", "<i8"), ("more", "u1"), ("o", "u1"), ("body", _dtype(layout), (layout.length,))])
+
+
 def _fold_windows(layout: Layout, w: np.ndarray) -> np.ndarray:
+    """Equal windows of a pack as one: the smallest id or the number of places; ``more`` where it had several ids."""
     w = w[np.lexsort((w["v"], w["b"], w["a"]))]
     first = _runs(w["a"], w["b"])
     out = w[first].copy()
-    if layout.rule == "again" and len(first):
+    if layout.rule == "again":
         out["v"] = np.add.reduceat(w["v"], first)
+    else:
+        out["more"] = out["v"] != w["v"][np.r_[first[1:], len(w)] - 1]
     return out
 
 
@@ -485,56 +592,64 @@ class Contexts:
     low: np.ndarray
     high: np.ndarray
     rows: np.ndarray
-    chunk: np.ndarray
+    pack: np.ndarray
+
+    def by_anchor(self) -> Contexts:
+        order = np.argsort(self.h, kind="stable")
+        return Contexts(*(getattr(self, f)[order] for f in ("h", "e", "v", "low", "high", "rows", "pack")))
 
 
 def _read_contexts(layout: Layout, pdf: pd.DataFrame) -> Contexts:
-    dtype = np.uint8 if layout.kind == "bytes" else U
+    dtype = _dtype(layout)
     parts: list[list[np.ndarray]] = [[] for _ in range(7)]
-    for chunk, n, d in zip(pdf["chunk"], pdf["n"], pdf["data"], strict=True):
+    for pack, n, d in zip(pdf["pack"], pdf["n"], pdf["data"], strict=True):
         head = np.frombuffer(d, U, 3 * n).reshape(n, 3)
         low, high = np.frombuffer(d, np.uint8, n, 24 * n), np.frombuffer(d, np.uint8, n, 25 * n)
         rows = np.frombuffer(d, dtype, n * layout.span, 26 * n).reshape(n, layout.span) if dtype is np.uint8 else np.frombuffer(d[26 * n :], dtype).reshape(n, layout.span)
-        for p, x in zip(parts, (head[:, 0], head[:, 1], head[:, 2].astype(np.int64), low, high, rows, np.full(n, chunk, np.int64)), strict=True):
+        for p, x in zip(parts, (head[:, 0], head[:, 1], head[:, 2].astype(np.int64), low, high, rows, np.full(n, pack, np.int64)), strict=True):
             p.append(x)
-    return Contexts(*(np.concatenate(p) for p in parts))
+    return Contexts(*(np.concatenate(p) for p in parts)).by_anchor()
 
 
 MASK = np.dtype([("h", "<u8"), ("e", "<u8"), ("v", "<i8"), ("mask", "<u8")])
 
 
+def _read_windows(layout: Layout, pdf: pd.DataFrame) -> tuple[Contexts, np.ndarray]:
+    """Windows of split groups as contexts that fit one offset each, and their own records."""
+    parts = [np.frombuffer(d, _window_type(layout)) for d in pdf["data"]]
+    pack, w = np.repeat(pdf["pack"].to_numpy(np.int64), list(map(len, parts))), np.concatenate(parts)
+    order = np.argsort(w["a"], kind="stable")
+    w, pack = w[order], pack[order]
+    rows = np.zeros((len(w), layout.span), _dtype(layout))
+    for o in np.unique(w["o"]).tolist():
+        mine = w["o"] == o
+        rows[mine, layout.left - o : layout.left - o + layout.length] = w["body"][mine]
+    return Contexts(w["a"], w["b"], w["v"], w["o"], w["o"], rows, pack), w
+
+
 def _match(layout: Layout, kernel: Callable[[Layout, Contexts], np.ndarray]):
-    """Answers: for each representative the set of its windows that occur elsewhere; for each dealt window its value."""
+    """Answers: for each representative the set of its windows that occur elsewhere; for each window of a split group
+    the id or number of places that decides over it."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         out = []
         gathered = pdf[pdf["what"] == "contexts"]
         if len(gathered):
             ctx = _read_contexts(layout, gathered)
-            order = np.argsort(ctx.h, kind="stable")
-            ctx = Contexts(*(getattr(ctx, f)[order] for f in ("h", "e", "v", "low", "high", "rows", "chunk")))
             mask = kernel(layout, ctx)
             hit = np.flatnonzero(mask)
             res = np.zeros(len(hit), MASK)
             res["h"], res["e"], res["v"], res["mask"] = ctx.h[hit], ctx.e[hit], ctx.v[hit], mask[hit]
-            out += [(c, "masks", x.tobytes()) for c, (x,) in _split(ctx.chunk[hit], res)]
-        dealt = pdf[pdf["what"] == "windows"]
-        if len(dealt):
-            parts = [np.frombuffer(d, WINDOW) for d in dealt["data"]]
-            chunk = np.repeat(dealt["chunk"].to_numpy(np.int64), list(map(len, parts)))
-            w = np.concatenate(parts)
-            order = np.lexsort((w["v"], w["b"], w["a"]))
-            w, chunk = w[order], chunk[order]
-            first = _runs(w["a"], w["b"])
-            size = np.diff(np.r_[first, len(w)])
-            if layout.rule == "earlier":
-                hit = w["v"] >= np.repeat(w["v"][first], size)
-                w = w.copy()
-                w["v"] = np.repeat(w["v"][first], size)
-            else:
-                hit = np.repeat(np.add.reduceat(w["v"], first), size) > 1
-            out += [(c, "windows", x.tobytes()) for c, (x,) in _split(chunk[hit], w[hit])]
-        return pd.DataFrame(out, columns=["chunk", "what", "data"])
+            out += [(c, "masks", x.tobytes()) for c, (x,) in _split(ctx.pack[hit], res)]
+        split = pdf[pdf["what"] == "windows"]
+        if len(split):
+            ctx, w = _read_windows(layout, split)
+            hit = kernel(layout, ctx) > 0
+            told = hit | (w["more"] > 0 if layout.rule == "earlier" else w["v"] > 1)
+            res = np.zeros(len(w), WINDOW)
+            res["a"], res["b"], res["v"] = w["a"], w["b"], np.where(hit, NO_ID, w["v"])
+            out += [(c, "windows", x.tobytes()) for c, (x,) in _split(ctx.pack[told], res[told])]
+        return pd.DataFrame(out, columns=["pack", "what", "data"])
 
     return run
 
@@ -542,11 +657,10 @@ def _match(layout: Layout, kernel: Callable[[Layout, Contexts], np.ndarray]):
 # --- round 4: coverage -----------------------------------------------------------------------------------------
 
 
-def _covered(layout: Layout, row: dict, right: pd.DataFrame) -> tuple[Chunk, np.ndarray]:
+def _covered(layout: Layout, row: dict, verdicts: np.ndarray, masks: np.ndarray, known: dict) -> tuple[Chunk, np.ndarray]:
     """Elements of the chunk that lie in a matched window."""
-    verdicts = _verdicts(right, "classes", VERDICT)
     if not len(verdicts):
-        c = Chunk(layout, row["ids"], row["sizes"], row["blob"])
+        c = Chunk(layout, row)
         return c, np.zeros(len(c.elements), bool)
     c, at, e = _reopen(layout, row, verdicts)
     starts = np.zeros(len(c.elements) + 1, bool)
@@ -554,7 +668,6 @@ def _covered(layout: Layout, row: dict, right: pd.DataFrame) -> tuple[Chunk, np.
     settled = who > v if layout.rule == "earlier" else v > 1
     for o in range(layout.left + 1):
         starts[c.pos[settled & (c.low <= o) & (o <= c.high)] - o] = True
-    masks = _verdicts(right, "masks", MASK)
     if len(masks):
         m = _look_up(c, e, masks)
         bits = np.where(m >= 0, masks["mask"][m], U(0))
@@ -562,13 +675,8 @@ def _covered(layout: Layout, row: dict, right: pd.DataFrame) -> tuple[Chunk, np.
             bits[who != masks["v"][m]] = 0
         for o in range(layout.left + 1):
             starts[c.pos[(bits >> U(o) & U(1)).astype(bool) & (c.low <= o) & (o <= c.high)] - o] = True
-    wins = _verdicts(right, "windows", WINDOW)
-    if len(wins):
-        known = {(a, b): x for a, b, x in zip(wins["a"].tolist(), wins["b"].tolist(), wins["v"].tolist(), strict=True)}
-        first = _representatives(layout, c, at, verdicts, DEAL)
-        # every anchor of the representative's class and document stands for it
-        deal = np.isin(at, at[first]) & (who == v if layout.rule == "earlier" else True)
-        for o, some, a, b in _windows(layout, c, np.flatnonzero(deal)):
+    if known:
+        for o, some, a, b in _windows(layout, c, _speakers(layout, c, at, verdicts, DEAL)):
             for p, i, key in zip(c.pos[some].tolist(), who[some].tolist(), zip(a.tolist(), b.tolist(), strict=True), strict=True):
                 if key in known and (layout.rule == "again" or i > known[key]):
                     starts[p - o] = True
@@ -579,31 +687,48 @@ def _covered(layout: Layout, row: dict, right: pd.DataFrame) -> tuple[Chunk, np.
     return c, np.cumsum(edge)[: len(c.elements)] > 0
 
 
-def remove_repeats(docs: DataFrame, layout: Layout, kernel: Callable[[Layout, Contexts], np.ndarray], finish: Callable[[Chunk, np.ndarray], list[tuple]], ddl: str, **cols) -> DataFrame:
-    """Rows that ``finish`` makes of each chunk and its covered elements."""
+def _documents(layout: Layout, rows: list[dict], right: pd.DataFrame, finish: Callable) -> Iterator[tuple]:
+    """Rows of whole documents. ``finish()`` makes an object that takes a document's stretches in turn."""
+    verdicts, masks, wins = (_verdicts(right, what, t) for what, t in (("classes", VERDICT), ("masks", MASK), ("windows", WINDOW)))
+    known = {(a, b): x for a, b, x in zip(wins["a"].tolist(), wins["b"].tolist(), wins["v"].tolist(), strict=True)}
+    open_, beyond = None, np.zeros(0, bool)
+    for row in rows:
+        c, gone = _covered(layout, row, verdicts, masks, known)
+        if c.piece < 0:
+            for i, text, a, b in zip(c.ids.tolist(), c.texts, c.starts.tolist(), c.ends.tolist(), strict=True):
+                one = finish()
+                one.add(text, gone[a:b])
+                yield i, *one.row()
+            continue
+        if c.piece == 0:
+            open_, beyond = finish(), np.zeros(0, bool)
+        gone[: len(beyond)] |= beyond[: len(gone)]
+        open_.add(c.texts[0][: c.core], gone[: c.own])
+        beyond = gone[c.own :]
+        if c.last:
+            yield int(c.ids[0]), *open_.row()
+
+
+def remove_repeats(docs: DataFrame, layout: Layout, kernel: Callable[[Layout, Contexts], np.ndarray], finish: Callable, ddl: str, **cols) -> DataFrame:
+    """A row for each document, as ``finish`` reads it off the document's stretches and what of them is covered."""
     spark = docs.sparkSession
-    n = fan_out(spark, text_bytes(docs, cols.get("text_col", "text")), BUCKET_BYTES)
-    held = chunks(docs, n, **cols)
+    n, table_buckets, per_pack = fan(text_bytes(docs, cols.get("text_col", "text")), int(spark.conf.get("spark.sql.shuffle.partitions")))
+    held = chunks(docs, layout, table_buckets, per_pack, **cols)
     release(spark)
 
     def rejoin(answers: DataFrame, fn, schema: str) -> DataFrame:
-        return held.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInPandas(fn, schema)
+        return held.groupBy("pack").cogroup(answers.groupBy("pack")).applyInPandas(fn, schema)
 
-    keys = stage(held.mapInArrow(_send_anchors(layout, n), "bucket int, chunk long, keys binary").groupBy("bucket").applyInPandas(_recurring, ANSWER_DDL))
+    sent = held.groupBy("pack").applyInPandas(_send_anchors(layout, n), "bucket int, pack long, keys binary")
+    keys = stage(sent.groupBy("bucket").applyInPandas(_recurring, ANSWER_DDL))
     release(spark)
-    classes = stage(rejoin(keys, _send_classes(layout, n), "bucket int, chunk long, data binary").groupBy("bucket").applyInPandas(_judge_classes(layout), ANSWER_DDL))
+    classes = stage(rejoin(keys, _send_classes(layout, n), "bucket int, pack long, data binary").groupBy("bucket").applyInPandas(_judge_classes(layout), ANSWER_DDL))
     release(spark)
-    found = stage(rejoin(classes, _send_contexts(layout, n), "bucket int, chunk long, what string, n int, data binary").groupBy("bucket").applyInPandas(_match(layout, kernel), ANSWER_DDL))
+    found = stage(rejoin(classes, _send_contexts(layout, n), "bucket int, pack long, what string, n int, data binary").groupBy("bucket").applyInPandas(_match(layout, kernel), ANSWER_DDL))
     release(spark)
     names = [c.split()[0] for c in ddl.split(", ")]
 
     def last(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        out = []
-        for row in left.to_dict("records"):
-            out += finish(*_covered(layout, row, right))
-        return pd.DataFrame(out, columns=names)
+        return pd.DataFrame(list(_documents(layout, _in_order(left), right, finish)), columns=names)
 
     return rejoin(classes.union(found), last, ddl)
-
-
-__all__ = ["BUCKET_BYTES", "Chunk", "Contexts", "Layout", "F", "remove_repeats"]

@@ -12,7 +12,8 @@ is not taken for two places.
 
 Defined cases: a null text has no words; texts of fewer than ``length`` words keep them all; repeated rows are other
 places and so lose all their windows; a null doc_id is shown as null; an empty table gives an empty result; extra
-columns are ignored; very long texts are read whole.
+columns are ignored; very long texts are worked on in overlapping pieces and joined
+again; a word longer than a piece makes the piece longer.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 
 from boundspark.llm.common import mix64, shown, table
-from boundspark.llm.repeats import Chunk, Contexts, Layout, linear_hash, remove_repeats
+from boundspark.llm.repeats import Contexts, Layout, linear_hash, remove_repeats
 
 LENGTH = 35
 
@@ -173,29 +174,49 @@ def shard_automata(lay: Layout, ctx: Contexts) -> np.ndarray:
     return out
 
 
-def _digest(c: Chunk, gone: np.ndarray) -> list[tuple]:
-    out = []
-    for i, words, a, b in zip(c.ids.tolist(), c.words, c.starts.tolist(), c.ends.tolist(), strict=True):
-        g = gone[a:b]
-        n = int(g.sum())
-        kept = [w for w, x in zip(words, g.tolist(), strict=True) if not x] if n else words
-        out.append((i, b - a, n, hashlib.sha256(b" ".join(kept)).hexdigest()))
-    return out
+class Digest:
+    """n_words, n_removed and the digest of the words that are left of one document."""
+
+    def __init__(self) -> None:
+        self.n = self.removed = 0
+        self.kept = hashlib.sha256()
+
+    def add(self, text: bytes, gone: np.ndarray) -> None:
+        left, n = _left(text, gone), int(gone.sum())
+        if left and self.n > self.removed:
+            self.kept.update(b" ")
+        self.kept.update(b" ".join(left))
+        self.n, self.removed = self.n + len(gone), self.removed + n
+
+    def row(self) -> tuple:
+        return self.n, self.removed, self.kept.hexdigest()
+
+
+class Remainder:
+    def __init__(self) -> None:
+        self.words: list[bytes] = []
+
+    def add(self, text: bytes, gone: np.ndarray) -> None:
+        self.words += _left(text, gone)
+
+    def row(self) -> tuple:
+        return (b" ".join(self.words).decode("utf-8", errors="replace"),)
 
 
-def _kept_text(c: Chunk, gone: np.ndarray) -> list[tuple]:
-    return [(i, b" ".join(w for w, x in zip(words, gone[a:b].tolist(), strict=True) if not x).decode("utf-8", errors="replace")) for i, words, a, b in zip(c.ids.tolist(), c.words, c.starts.tolist(), c.ends.tolist(), strict=True)]
+def _left(text: bytes, gone: np.ndarray) -> list[bytes]:
+    words = text.split()
+    return [w for w, x in zip(words, gone.tolist(), strict=True) if not x] if gone.any() else words
 
 
 def substring_dedup(docs: DataFrame, length: int = LENGTH, **cols) -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 for each document."""
-    out = remove_repeats(docs, layout(length), shard_automata, _digest, "doc_id long, n_words long, n_removed long, kept_sha256 string", **cols)
+    out = remove_repeats(docs, layout(length), shard_automata, Digest, "doc_id long, n_words long, n_removed long, kept_sha256 string", **cols)
     return out.select(shown("doc_id"), *out.columns[1:])
 
 
 def substring_dedup_texts(docs: DataFrame, length: int = LENGTH, **cols) -> DataFrame:
     """doc_id and the words that are left, joined by single spaces."""
-    return remove_repeats(docs, layout(length), shard_automata, _kept_text, "doc_id long, text string", **cols)
+    return remove_repeats(docs, layout(length), shard_automata, Remainder, "doc_id long, text string", **cols)
 
 
 def op4_suffix_automata(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,7 +9,7 @@ prefix reaches ``length`` form runs, and the smallest document of a run decides.
 
 Defined cases: a null text has no bytes; texts shorter than ``length`` keep all their bytes; rows with equal doc_id
 are no earlier than one another; a null doc_id is earlier than all others; an empty table gives an empty result;
-extra columns are ignored; very long texts are cut into no pieces.
+extra columns are ignored; very long texts are worked on in overlapping pieces and joined again.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 
 from boundspark.llm.common import shown, table
-from boundspark.llm.repeats import Chunk, Contexts, Layout, remove_repeats
+from boundspark.llm.repeats import Contexts, Layout, remove_repeats
 
 LENGTH = 50
 PERIOD = 31
@@ -103,41 +103,56 @@ def _one_block(lay: Layout, rows: np.ndarray, group: np.ndarray, value: np.ndarr
     return out
 
 
-def _digest(c: Chunk, gone: np.ndarray) -> list[tuple]:
-    out = []
-    for i, text, a, b in zip(c.ids.tolist(), c.texts, c.starts.tolist(), c.ends.tolist(), strict=True):
-        g = gone[a:b]
-        n = int(g.sum())
-        spans = int(g[0]) + int((g[1:] > g[:-1]).sum()) if n else 0
-        kept = text if not n else np.frombuffer(text, np.uint8)[~g].tobytes()
-        out.append((i, b - a, n, spans, hashlib.sha256(kept).hexdigest()))
-    return out
+class Digest:
+    """n_bytes, n_removed, n_spans and the digest of what is left of one document."""
+
+    def __init__(self) -> None:
+        self.n = self.removed = self.spans = 0
+        self.inside, self.kept = False, hashlib.sha256()
+
+    def add(self, text: bytes, gone: np.ndarray) -> None:
+        n = int(gone.sum())
+        self.n += len(text)
+        self.removed += n
+        if n:
+            self.spans += int(gone[0] and not self.inside) + int((gone[1:] > gone[:-1]).sum())
+            text = np.frombuffer(text, np.uint8)[~gone].tobytes()
+        if len(gone):
+            self.inside = bool(gone[-1])
+        self.kept.update(text)
+
+    def row(self) -> tuple:
+        return self.n, self.removed, self.spans, self.kept.hexdigest()
 
 
-def _kept_text(c: Chunk, gone: np.ndarray) -> list[tuple]:
-    """Texts without removed bytes; a character that is only partly removed stays whole."""
-    out = []
-    for i, text, a, b in zip(c.ids.tolist(), c.texts, c.starts.tolist(), c.ends.tolist(), strict=True):
-        g = gone[a:b]
-        if g.any():
+class Remainder:
+    """Text without removed bytes; a character that is only partly removed stays whole."""
+
+    def __init__(self) -> None:
+        self.parts: list[bytes] = []
+
+    def add(self, text: bytes, gone: np.ndarray) -> None:
+        if gone.any():
             raw = np.frombuffer(text, np.uint8)
             char = np.cumsum((raw & 0xC0) != 0x80)
             whole = np.ones(int(char[-1]) + 1, bool)
-            whole[char[~g]] = False
+            whole[char[~gone]] = False
             text = raw[~whole[char]].tobytes()
-        out.append((i, text.decode("utf-8", errors="replace")))
-    return out
+        self.parts.append(text)
+
+    def row(self) -> tuple:
+        return (b"".join(self.parts).decode("utf-8", errors="replace"),)
 
 
 def suffix_dedup(docs: DataFrame, length: int = LENGTH, **cols) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for each document."""
-    out = remove_repeats(docs, layout(length), suffix_blocks, _digest, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string", **cols)
+    out = remove_repeats(docs, layout(length), suffix_blocks, Digest, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string", **cols)
     return out.select(shown("doc_id"), *out.columns[1:])
 
 
 def suffix_dedup_texts(docs: DataFrame, length: int = LENGTH, **cols) -> DataFrame:
     """doc_id and the text that is left."""
-    return remove_repeats(docs, layout(length), suffix_blocks, _kept_text, "doc_id long, text string", **cols)
+    return remove_repeats(docs, layout(length), suffix_blocks, Remainder, "doc_id long, text string", **cols)
 
 
 def op3_difference_cover(spark: SparkSession, sf_dir: str) -> DataFrame:

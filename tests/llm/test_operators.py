@@ -147,25 +147,86 @@ def byte_spans(d, length=50):
     return out
 
 
-@pytest.mark.parametrize("limit", [1000, 1])
-def test_suffix_dedup(docs, limit, monkeypatch):
-    monkeypatch.setattr(repeats, "GROUP_LIMIT", limit)
-    same(suffix_dedup.suffix_dedup(docs).collect(), byte_spans(data(docs)))
+#: SPLIT_CLASSES, bytes of a block, chunks in a pack.
+SHAPES = [(4096, 2 << 20, 1), (1, 2 << 20, 1), (4096, 500, 1), (1, 500, 3), (4096, 3000, 4)]
 
 
-@pytest.mark.parametrize("limit", [1000, 1])
-def test_substring_dedup(docs, limit, monkeypatch):
-    monkeypatch.setattr(repeats, "GROUP_LIMIT", limit)
-    d = [(i, t.split()) for i, t in data(docs)]
-    seen = collections.Counter(tuple(w[k : k + 35]) for _, w in d for k in range(len(w) - 34))
-    want = []
+def shape(monkeypatch, limit, block, per_pack):
+    monkeypatch.setattr(repeats, "SPLIT_CLASSES", limit)
+    monkeypatch.setattr(repeats, "BLOCK_BYTES", block)
+    monkeypatch.setattr(repeats, "fan", lambda total, partitions: (5, 4, per_pack))
+
+
+def word_spans(d, length=35):
+    d = [(i, t.split()) for i, t in d]
+    seen = collections.Counter(tuple(w[k : k + length]) for _, w in d for k in range(len(w) - length + 1))
+    out = []
     for i, w in d:
         gone = np.zeros(len(w), bool)
-        for k in range(len(w) - 34):
-            if seen[tuple(w[k : k + 35])] > 1:
-                gone[k : k + 35] = True
-        want.append((i, len(w), int(gone.sum()), hashlib.sha256(b" ".join(x for x, g in zip(w, gone, strict=True) if not g)).hexdigest()))
-    same(substring_dedup.substring_dedup(docs).collect(), want)
+        for k in range(len(w) - length + 1):
+            if seen[tuple(w[k : k + length])] > 1:
+                gone[k : k + length] = True
+        out.append((i, len(w), int(gone.sum()), hashlib.sha256(b" ".join(x for x, g in zip(w, gone, strict=True) if not g)).hexdigest()))
+    return out
+
+
+@pytest.mark.parametrize("limit, block, per_pack", SHAPES)
+def test_suffix_dedup(docs, limit, block, per_pack, monkeypatch):
+    shape(monkeypatch, limit, block, per_pack)
+    same(suffix_dedup.suffix_dedup(docs).collect(), byte_spans(data(docs)))
+
+
+@pytest.mark.parametrize("limit, block, per_pack", SHAPES)
+def test_substring_dedup(docs, limit, block, per_pack, monkeypatch):
+    shape(monkeypatch, limit, block, per_pack)
+    same(substring_dedup.substring_dedup(docs).collect(), word_spans(data(docs)))
+
+
+@pytest.mark.parametrize("texts", [["a b", "###", "a b"], [None, "", None], ["x" * 49, "y" * 49, "x" * 49], [" " * 60, "\n", " " * 60]])
+def test_chunks_without_anchors(spark, texts):
+    rows = [(k, t) for k, t in enumerate(texts)]
+    d = spark.createDataFrame(rows, "doc_id long, text string").repartition(len(rows))
+    same(suffix_dedup.suffix_dedup(d).collect(), byte_spans(data(d)))
+    same(substring_dedup.substring_dedup(d).collect(), word_spans(data(d)))
+    assert {r["doc_id"] for r in suffix_dedup.suffix_dedup_texts(d).collect()} == {k for k, _ in rows}
+
+
+def test_rows_that_share_an_id_lose_the_same_bytes(spark):
+    """Copies of one row in several packs, of which an earlier document holds a part."""
+    r = random.Random(12)
+    part, rest = ("".join(r.choice("abcdefgh ") for _ in range(n)) for n in (90, 200))
+    rows = [(1, part + "zzz"), *[(7, rest + part + rest[::-1])] * 6, (9, rest), (None, rest + "q"), (None, rest + "q")]
+    d = spark.createDataFrame(rows, "doc_id long, text string").repartition(6)
+    got = suffix_dedup.suffix_dedup(d).collect()
+    want = byte_spans([(-1 if i is None else i, t.encode()) for i, t in rows])
+    same([(-1 if x[0] is None else x[0], *x[1:]) for x in got], want)
+    assert len({x["kept_sha256"] for x in got if x["doc_id"] == 7}) == 1
+
+
+@pytest.mark.parametrize("kind", ["bytes", "words"])
+def test_long_texts_in_pieces(spark, kind, monkeypatch):
+    """Texts of several blocks, with a repeat across the cut between two pieces and characters of several bytes."""
+    monkeypatch.setattr(repeats, "BLOCK_BYTES", 700)
+    r = random.Random(7)
+    line = lambda n: " ".join(r.choice(["é", "naïve", "\U0001f600", *(f"w{k}" for k in range(400))]) for _ in range(n))
+    long, shared = line(1500), line(60)
+    rows = [(k, long[a:b]) for k, (a, b) in enumerate([(0, None), (300, 1100), (0, 690), (650, 760)])]
+    rows += [(10, line(200) + " " + shared + " " + line(300)), (11, shared), (12, "x" * 3000 + " " + shared), (13, "é" * 2000), (14, "é" * 900)]
+    d = spark.createDataFrame(rows, "doc_id long, text string").coalesce(2)
+    if kind == "bytes":
+        same(suffix_dedup.suffix_dedup(d).collect(), byte_spans(data(d)))
+    else:
+        same(substring_dedup.substring_dedup(d).collect(), word_spans(data(d)))
+        left = {x["doc_id"]: x["text"] for x in substring_dedup.substring_dedup_texts(d).collect()}
+        assert left[11] == "" and left[12] == "x" * 3000
+
+
+def test_fan_out_at_any_size():
+    """Spark takes 100,000 buckets at most; a message from a pack to a bucket stays worth sending."""
+    for total in (0, 10**8, 10**10, 10**12, 10**14):
+        n, table, per = repeats.fan(total, 200)
+        assert 200 <= table <= n <= repeats.MAX_BUCKETS and table <= 100_000 and 1 <= per <= repeats.PACK_CHUNKS
+    assert repeats.fan(10**14, 200) == (repeats.MAX_BUCKETS, repeats.MAX_LAYOUT, repeats.PACK_CHUNKS)
 
 
 def test_word_hashes_follow_split():
