@@ -1,21 +1,22 @@
 """Best-fit packing of token sequences in bulk-synchronous supersteps.
 
-Documents and gaps are kept as sorted runs of equal size; there are at most ``capacity`` of each, whatever the
-corpus, so the state of a superstep is bounded. In a superstep every run of documents sweeps to its successor, the
-tightest gap that holds it; the ranks of the documents in their run settle which gap each one gets; gaps shrink, and
-the next superstep starts from the new gaps. What no gap holds opens sequences of its own. The ranks of documents of
-one length are found by a distributed count over partitions, and each row then finds its place by searching the plan
-of its length, so no task ever holds the documents of one length together.
+A piece of more than half the capacity opens a sequence; the others and the gaps of open sequences are the state of
+the supersteps. In each, documents and gaps are range-sorted together by size. Every range sweeps its rows: a gap takes
+the largest document that fits and has not been taken, and as many more of that size as fit. What a range cannot
+match it reports as so many gaps that wait and so many documents that stand over. Ranks settle the conflicts between
+ranges: the documents standing over form one stack, every waiting gap names the height at which it draws, and rows
+of one height meet in a join. Then gaps shrink, and where the documents left are more than all gaps could hold, or no
+gap takes any, the largest of them open sequences. No task holds more than a range, and the driver sees one row a range.
 
 Defined cases: a null text is empty and packs as its end mark alone; documents longer than the capacity are cut into
-full pieces, of which the first may be shorter; repeated rows are packed once each; an empty table gives an empty
-result; extra columns are ignored.
+full pieces, of which the first may be shorter; repeated rows and rows that share an id are packed once each; a null
+doc_id is shown as null; among documents of equal length the one that a range reads last goes first, so ties move
+whole documents only; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
 import zlib
-from bisect import bisect_left, insort
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -57,16 +58,16 @@ def _tokens(path: str) -> _Tokens:
     return _Tokens(load(path))
 
 
-PIECES = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("part", pa.int32()), ("nth", pa.int64())])
-PIECES_DDL = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, nth long"
+PIECES = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("uid", pa.int64())])
+PIECES_DDL = "doc_id long, piece int, start long, length long, ids_crc32 long, uid long"
 
 
 def pieces(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, end_id: int = 0) -> DataFrame:
-    """Pieces of each document with their partition and rank among that partition's pieces of the same length."""
+    """Pieces of each document, with a number of their own."""
     path = path or vocabulary()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tokens, part, seen = _tokens(path), TaskContext.get().partitionId(), np.zeros(capacity + 1, np.int64)
+        tokens, uid = _tokens(path), TaskContext.get().partitionId() << 38
         end = end_id.to_bytes(4, "little")
         for batch in batches:
             cols: list[list] = [[] for _ in PIECES]
@@ -75,89 +76,138 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, e
                 n = len(raw) // 4
                 cuts = [0, *range((n - 1) % capacity + 1, n + 1, capacity)]
                 for k, (a, b) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
-                    for c, v in zip(cols, (i, k, a, b - a, zlib.crc32(raw[4 * a : 4 * b]), part, int(seen[b - a])), strict=True):
+                    for c, v in zip(cols, (i, k, a, b - a, zlib.crc32(raw[4 * a : 4 * b]), uid), strict=True):
                         c.append(v)
-                    seen[b - a] += 1
+                    uid += 1
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, PIECES, strict=True)], schema=PIECES)
 
     return source(docs).mapInArrow(run, PIECES_DDL)
 
 
-class Plan:
-    """Where the documents of each length go: runs of ranks, each with a first sequence, a depth and an offset."""
-
-    def __init__(self, capacity: int):
-        self.capacity, self.sequences, self.rounds = capacity, 0, 0
-        self.runs: dict[int, list[tuple[int, int, int, int]]] = {}  # length -> (first rank, first sequence, per sequence, offset)
-
-
-def superstep_plan(counts: dict[int, int], capacity: int = CAPACITY) -> Plan:
-    """Best fit over runs. Lengths are taken from long to short, so a gap only ever takes documents no longer than
-    those before; within a superstep the sweep hands the tightest gaps out first."""
-    plan = Plan(capacity)
-    gaps: list[tuple[int, int, int]] = []  # (gap, first sequence, sequences), sorted
-    for length in sorted((n for n in counts if counts[n]), reverse=True):
-        left, rank, runs = counts[length], 0, []
-        while left:
-            plan.rounds += 1
-            at = bisect_left(gaps, (length, -1, -1))
-            if at < len(gaps):  # the successor among the gaps
-                gap, first, many = gaps.pop(at)
-                fit = gap // length
-                full, rest = divmod(left, fit)
-                used = min(many, full)
-            else:
-                gap, first, many, fit = capacity, plan.sequences, -(-left // (capacity // length)), capacity // length
-                plan.sequences += many
-                full, rest = divmod(left, fit)
-                used = min(many, full)
-            offset = capacity - gap
-            if used:
-                runs.append((rank, first, fit, offset))
-                rank, left = rank + used * fit, left - used * fit
-                if gap - fit * length:
-                    insort(gaps, (gap - fit * length, first, used))
-            if used < many and left:  # fewer documents than one sequence of this gap takes: rank decides, the last gap is shared
-                runs.append((rank, first + used, rest, offset))
-                rank, left = rank + rest, left - rest
-                if gap - rest * length:
-                    insort(gaps, (gap - rest * length, first + used, 1))
-                used += 1
-            if used < many:
-                insort(gaps, (gap, first + used, many - used))
-        plan.runs[length] = runs
-    return plan
-
-
-def place(plan: Plan, length: np.ndarray, rank: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Sequence and offset of documents, given their lengths and ranks."""
-    sequence, offset = np.zeros(len(length), np.int64), np.zeros(len(length), np.int64)
-    for n in np.unique(length):
-        mine = np.flatnonzero(length == n)
-        first_rank, first_seq, fit, start = (np.array(x, np.int64) for x in zip(*plan.runs[int(n)], strict=True))
-        k = np.searchsorted(first_rank, rank[mine], "right") - 1
-        by = rank[mine] - first_rank[k]
-        sequence[mine] = first_seq[k] + by // fit[k]
-        offset[mine] = start[k] + by % fit[k] * int(n)
-    return sequence, offset
+#: Rows of a superstep. what: placed (document ``id`` in sequence ``seq``, the nth there in this step), document (left
+#: over, the nth of its range), gap (of sequence ``id``; waits for ``want`` documents after ``nth`` others of its
+#: range), range (how many wait, stand over and were placed; tokens left over, tokens of gaps, largest left over).
+SWEPT = pa.schema([("what", pa.string()), ("part", pa.int32()), ("id", pa.int64()), ("size", pa.int64()), ("seq", pa.int64()), ("nth", pa.int64()), ("want", pa.int64()), ("totals", pa.list_(pa.int64()))])
+SWEPT_DDL = "what string, part int, id long, size long, seq long, nth long, want long, totals array<long>"
+
+
+def sweep(sizes: list[int], is_gap: list[bool], ids: list[int], largest: int) -> tuple[list[tuple], list[tuple], list[tuple]]:
+    """Match one sorted range: (placed: id, size, sequence, nth), (documents left: id, size), (gaps: id, size, want)."""
+    placed, gaps, over = [], [], []
+    for size, gap, i in zip(sizes, is_gap, ids, strict=True):
+        if not gap:
+            over.append((i, size))
+        elif not over:
+            gaps.append((i, size, max(1, size // largest)))
+        else:
+            times = size // (largest if size >= largest else over[-1][1])
+            for nth in range(min(times, len(over))):
+                if over[-1][1] > size:
+                    break
+                d, n = over.pop()
+                placed.append((d, n, i, nth))
+                size, times = size - n, times - 1
+            if size:
+                gaps.append((i, size, 0 if over else times))
+    return placed, over, gaps
+
+
+def _rows(what: str, part: int, n: int, **cols) -> pa.RecordBatch:
+    cols |= {"what": [what] * n, "part": [part] * n}
+    return pa.RecordBatch.from_arrays([pa.array(cols[f.name], f.type) if f.name in cols else pa.nulls(n, f.type) for f in SWEPT], schema=SWEPT)
+
+
+def _sweep_ranges(largest: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.Table.from_batches(list(batches))
+        if not table.num_rows:
+            return
+        placed, over, gaps = sweep(*(table.column(c).to_pylist() for c in ("size", "gap", "id")), largest)
+        del table
+        part = TaskContext.get().partitionId()
+        waiting = np.cumsum([0, *(w for _, _, w in gaps)])
+        totals = [int(waiting[-1]), len(over), len(placed), sum(n for _, n in over), sum(n for _, n, _ in gaps), max((n for _, n in over), default=0)]
+        yield _rows("range", part, 1, totals=[totals])
+        for a in range(0, len(placed), 50_000):
+            i, n, seq, nth = zip(*placed[a : a + 50_000], strict=True)
+            yield _rows("placed", part, len(i), id=i, size=n, seq=seq, nth=nth)
+        for a in range(0, len(over), 50_000):
+            i, n = zip(*over[a : a + 50_000], strict=True)
+            yield _rows("document", part, len(i), id=i, size=n, nth=range(a, a + len(i)))
+        for a in range(0, len(gaps), 50_000):
+            i, n, want = zip(*gaps[a : a + 50_000], strict=True)
+            yield _rows("gap", part, len(i), id=i, size=n, nth=waiting[a : a + len(i)], want=want)
+
+    return run
+
+
+def heights(ranges: list[tuple[int, int, int]]) -> tuple[list[tuple[int, int, int]], int, int]:
+    """For each range (part, height its gaps draw from, height its documents stand on), given (part, waiting, over) in
+    order; then the height of the stack at the end, and how many gaps drew."""
+    out, height, drawn = [], 0, 0
+    for part, waiting, over in ranges:
+        used = min(height, waiting)
+        out.append((part, height, height - used))
+        height, drawn = height - used + over, drawn + used
+    return out, height, drawn
+
+
+def supersteps(work: DataFrame, capacity: int) -> DataFrame:
+    """(uid, length) to (uid, length, sequence_id, step, nth): a sequence is named by the piece that opens it."""
+    spark = work.sparkSession
+    large = F.col("length") * 2 > capacity
+    opened = work.where(large).select("uid", "length", F.col("uid").alias("sequence_id"), F.lit(-1).alias("step"), F.lit(0).cast("long").alias("nth"))
+    state = work.select(F.col("uid").alias("id"), F.when(large, capacity - F.col("length")).otherwise(F.col("length")).alias("size"), large.alias("gap")).where("size > 0")
+    done, step = [opened], 0
+    largest = state.where("NOT gap").agg(F.max("size").alias("m")).first()["m"]
+    while largest:
+        # By range, documents before gaps of their size. What the ranges return is staged, so their numbers stay theirs.
+        swept = stage(state.repartitionByRange("size", "gap", "id").sortWithinPartitions("size", "gap", "id").mapInArrow(_sweep_ranges(largest), SWEPT_DDL))
+        ranges = sorted((r["part"], *r["totals"]) for r in swept.where("what = 'range'").select("part", "totals").collect())
+        placed, left, room = (sum(r[k] for r in ranges) for k in (3, 4, 5))
+        level, height, drawn = heights([r[:3] for r in ranges])
+        more = -(-left // capacity) if not placed + drawn else max(0, -(-(left - room) // capacity))
+        opening = height - min(more, height)  # documents that stand higher open sequences
+        at = F.broadcast(spark.createDataFrame(level, "part int, draws long, stands long"))  # a row for each range
+        stack = swept.where("what = 'document'").join(at, "part").select("id", "size", "part", (F.col("stands") + F.col("nth") + 1).alias("height"))
+        gaps = swept.where("what = 'gap'").select("id", "size", "part", "nth", "want")
+        if drawn:
+            draw = gaps.where("want > 0").join(at, "part").withColumn("top", F.col("draws") - F.col("nth")).where("top > 0")
+            draw = draw.withColumn("height", F.explode(F.sequence("top", F.greatest(F.lit(1), F.col("top") - F.col("want") + 1), F.lit(-1))))
+            rows = stack.select("height", "part", F.lit(True).alias("document"), "id", "size", F.lit(0).cast("long").alias("nth"))
+            rows = rows.union(draw.select("height", "part", F.lit(False), "id", "size", F.col("top") - F.col("height")))
+            # At one height documents and gaps take turns; what a gap draws is the row before it, what stays is the last.
+            w = W.Window.partitionBy("height").orderBy("part", "document")
+            met = stage(rows.select("*", F.lag(F.struct("id", "size", "document")).over(w).alias("below"), F.lead("document").over(w).alias("above")))
+            took = met.where("NOT document AND below.document").select(F.col("below.id").alias("uid"), F.col("below.size").alias("length"), F.col("id").alias("sequence_id"), F.lit(step).alias("step"), "nth")
+            stack = met.where("document AND above IS NULL").select("id", "size", "part", "height")
+            done.append(took)
+            spent = took.select(F.col("sequence_id").alias("id"), (-F.col("length")).alias("size"))
+            gaps = gaps.where("want = 0").select("id", "size").union(gaps.where("want > 0").select("id", "size").union(spent).groupBy("id").agg(F.sum("size").alias("size")))
+        done.append(swept.where("what = 'placed'").select(F.col("id").alias("uid"), F.col("size").alias("length"), F.col("seq").alias("sequence_id"), F.lit(step).alias("step"), "nth"))
+        stays = stack.where(F.col("height") <= opening)
+        if more:
+            opens = stack.where(F.col("height") > opening)
+            done.append(opens.select(F.col("id").alias("uid"), F.col("size").alias("length"), F.col("id").alias("sequence_id"), F.lit(step).alias("step"), F.lit(0).cast("long").alias("nth")))
+            gaps = gaps.select("id", "size").union(opens.select("id", (capacity - F.col("size")).alias("size")))
+        if height == min(more, height):
+            break
+        state = stage(stays.select("id", "size", F.lit(False).alias("gap")).union(gaps.where("size > 0").select("id", "size", F.lit(True))))
+        largest, step = max(r[6] for r in ranges), step + 1
+    out = done[0]
+    for d in done[1:]:
+        out = out.union(d)
+    return out
 
 
 def pack(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, end_id: int = 0) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset: one row for each piece."""
     rows = stage(pieces(docs, capacity, path, end_id))
-    counts = stage(rows.groupBy("length", "part").agg(F.count(F.lit(1)).alias("n")))
-    total = counts.groupBy("length").agg(F.sum("n").alias("n"))
-    plan = superstep_plan({r["length"]: r["n"] for r in total.collect()}, capacity)  # at most ``capacity`` rows
-    before = counts.select("length", "part", (F.sum("n").over(W.Window.partitionBy("length").orderBy("part")) - F.col("n")).alias("before"))
-    ranked = rows.join(before.hint("merge"), ["length", "part"]).select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("before") + F.col("nth")).alias("rank"))
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            sequence, offset = place(plan, b.column("length").to_numpy(), b.column("rank").to_numpy())
-            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("doc_id", "piece", "start", "length", "ids_crc32")), pa.array(sequence), pa.array(offset)], ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"])
-
-    out = ranked.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
-    return out.select(shown("doc_id"), *out.columns[1:])
+    placed = supersteps(rows.select("uid", "length"), capacity)
+    # At most ``capacity`` rows in a sequence.
+    before = F.sum("length").over(W.Window.partitionBy("sequence_id").orderBy("step", "nth", "uid")) - F.col("length")
+    places = placed.select("uid", "sequence_id", before.alias("offset"))
+    return rows.join(places.hint("merge"), "uid").select(shown("doc_id"), "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
 def op10_bulk_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:

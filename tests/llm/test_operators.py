@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import bisect
 import collections
 import hashlib
 import random
@@ -283,10 +284,11 @@ def test_bpe_equals_the_library(docs):
         assert enc.encode(t) == lib.encode(t, add_special_tokens=False).ids, t
 
 
-def test_packing(docs):
+@pytest.mark.parametrize("capacity", [64, 2048])
+def test_packing(docs, capacity):
     from tokenizers import Tokenizer
 
-    lib, rows = Tokenizer.from_file(bpe.vocabulary()), packing.pack(docs, capacity=64).collect()
+    lib, rows = Tokenizer.from_file(bpe.vocabulary()), packing.pack(docs, capacity=capacity).collect()
     seqs, pieces = collections.defaultdict(list), collections.defaultdict(list)
     for r in rows:
         seqs[r["sequence_id"]].append((r["offset"], r["length"]))
@@ -296,15 +298,56 @@ def test_packing(docs):
         for o, n in sorted(s):
             assert o == at
             at += n
-        assert at <= 64
+        assert at <= capacity
     copies = collections.Counter(i for i, _ in data(docs))
     for i, t in set(data(docs)):
         ids = [*lib.encode(t.decode(), add_special_tokens=False).ids, 0]
-        first = (len(ids) - 1) % 64 + 1
-        cuts = [0, *range(first, len(ids) + 1, 64)]
+        first = (len(ids) - 1) % capacity + 1
+        cuts = [0, *range(first, len(ids) + 1, capacity)]
         want = [(k, a, b - a, zlib.crc32(np.array(ids[a:b], "<u4").tobytes())) for k, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False))]
         assert sorted(pieces[i]) == sorted(want * copies[i])
-    assert len(seqs) <= -(-sum(r["length"] for r in rows) // 64) + 1
+    assert len(seqs) <= -(-sum(r["length"] for r in rows) // capacity) + 1
+
+
+def best_fit(lengths, capacity) -> int:
+    """Sequences that one-by-one best fit opens, longest first."""
+    gaps, opened = [], 0
+    for n in sorted(lengths, reverse=True):
+        k = bisect.bisect_left(gaps, n)
+        opened += k == len(gaps)
+        bisect.insort(gaps, (gaps.pop(k) if k < len(gaps) else capacity) - n)
+    return opened
+
+
+@pytest.mark.parametrize("name", ["mixed", "small", "one_size", "hot_ones", "halves", "nothing", "no_fit"])
+def test_supersteps_over_many_ranges(spark, name):
+    """Sweeps of eight ranges, whose waiting gaps and documents meet by height: valid, whole, and as tight as best fit."""
+    r = np.random.default_rng(3)
+    lengths = {"mixed": r.integers(1, 2049, 900), "small": r.integers(1, 60, 1500), "one_size": np.full(400, 700), "hot_ones": np.r_[np.ones(700, int), r.integers(1, 1500, 400)], "halves": np.full(301, 1024), "nothing": [], "no_fit": np.full(50, 2048)}[name]
+    lengths = [int(n) for n in lengths]
+    held = {k: spark.conf.get(k) for k in ("spark.sql.adaptive.coalescePartitions.enabled", "spark.sql.shuffle.partitions")}
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    spark.conf.set("spark.sql.shuffle.partitions", "8")
+    try:
+        rows = packing.supersteps(spark.createDataFrame(list(enumerate(lengths)), "uid long, length long"), 2048).collect()
+    finally:
+        for k, v in held.items():
+            spark.conf.set(k, v)
+    assert sorted((x["uid"], x["length"]) for x in rows) == list(enumerate(lengths))
+    fill = collections.Counter()
+    for x in rows:
+        fill[x["sequence_id"]] += x["length"]
+    assert all(n <= 2048 for n in fill.values()) and len({(x["sequence_id"], x["step"], x["nth"], x["uid"]) for x in rows}) == len(rows)
+    assert len(fill) <= 1.02 * best_fit(lengths, 2048) + 1
+    if name == "mixed":
+        assert max(x["step"] for x in rows) >= 2
+
+
+def test_one_sweep():
+    placed, over, gaps = packing.sweep([3, 5, 5, 6, 9, 20], [False, False, True, False, True, True], list("abcdef"), 6)
+    assert placed == [("b", 5, "c", 0), ("d", 6, "e", 0), ("a", 3, "f", 0)] and not over
+    assert gaps == [("e", 3, 0), ("f", 17, 2)]
+    assert packing.heights([(0, 2, 3), (1, 2, 1), (2, 9, 0)]) == ([(0, 0, 0), (1, 3, 1), (2, 2, 0)], 0, 4)
 
 
 def test_template_language():
