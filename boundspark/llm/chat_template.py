@@ -8,12 +8,14 @@ which characters of the output the loss covers.
 Language: text, ``{{ expression }}``, ``{% for x in expression %}``, ``{% if %}/{% elif %}/{% else %}``,
 ``{% set x = expression %}``, ``{% generation %}``. Expressions: strings, integers, true, false, none, names,
 attributes, ``+``, ``==``, ``!=``, ``and``, ``or``, ``not``, brackets and ``|filter``. Inside a loop,
-``loop.first``, ``loop.last`` and ``loop.index0`` are known.
+``loop.first``, ``loop.last`` and ``loop.index0`` are known. A tag that starts or ends with ``-`` (``{%- -%}``,
+``{{- -}}``) trims the white space of the text on that side.
 
 Defined cases: a null text or role is empty; rows are ordered by turn, then role, then text, nulls first; repeated
 rows are turns of their own; a null conv_id is a conversation of its own; a conversation without assistant turns has
 an empty loss text; an empty table gives conversation -1 alone; extra columns are ignored. Rows of a conversation
-reach one task sorted and are rendered as a stream, so a conversation may be longer than a worker's memory.
+reach one task sorted. A conversation is rendered whole, in one run of its template over a stream of its turns; what
+has been rendered is read back and digested turn by turn, so a conversation may be longer than a worker's memory.
 """
 
 from __future__ import annotations
@@ -22,6 +24,8 @@ import hashlib
 import re
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
+from itertools import groupby
+from operator import itemgetter
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -107,7 +111,7 @@ class Generation:
     body: tuple
 
 
-_PART = re.compile(r"\{\{(.*?)\}\}|\{%-?(.*?)-?%\}", re.S)
+_PART = re.compile(r"\{\{(-?)(.*?)(-?)\}\}|\{%(-?)(.*?)(-?)%\}", re.S)
 _TOKEN = re.compile(r"\s*(?:('(?:[^'\\]|\\.)*'|\"(?:[^\"\\]|\\.)*\")|(\d+)|([A-Za-z_]\w*)|(==|!=|[+|.()=]))")
 _ESCAPES = {"n": "\n", "t": "\t", "r": "\r"}
 
@@ -197,14 +201,18 @@ class _Expression:
 
 def parse(source: str) -> tuple:
     """Syntax tree of a template: a tuple of nodes."""
-    parts, at = [], 0
+    parts, at, trim = [], 0, False
     for m in _PART.finditer(source):
-        if m.start() > at:
-            parts.append(("text", source[at : m.start()]))
-        parts.append(("expr", m[1]) if m[1] is not None else ("tag", m[2].strip()))
+        before, body_text, after = m.groups()[:3] if m[2] is not None else m.groups()[3:]
+        text = source[at : m.start()]
+        text = text.lstrip() if trim else text
+        text, trim = text.rstrip() if before else text, bool(after)
+        if text:
+            parts.append(("text", text))
+        parts.append(("expr", body_text) if m[2] is not None else ("tag", body_text.strip()))
         at = m.end()
-    if at < len(source):
-        parts.append(("text", source[at:]))
+    if text := source[at:].lstrip() if trim else source[at:]:
+        parts.append(("text", text))
     pos = 0
 
     def body(*ends: str) -> tuple[tuple, str]:
@@ -330,6 +338,9 @@ class Output:
         self.parts.append(text)
         self.size += len(text)
 
+    def turn(self) -> None:
+        """Called after each round of a loop that no other loop or generation block holds."""
+
 
 def _expr(node) -> Callable[[dict], object]:
     if isinstance(node, Const):
@@ -355,8 +366,8 @@ def _expr(node) -> Callable[[dict], object]:
     return lambda env: call(args[0](env), args[1](env))
 
 
-def _block(nodes: tuple) -> Callable[[dict, Output], None]:
-    steps = [_step(n) for n in nodes]
+def _block(nodes: tuple, outermost: bool = False) -> Callable[[dict, Output], None]:
+    steps = [_step(n, outermost) for n in nodes]
 
     def run(env: dict, out: Output) -> None:
         for s in steps:
@@ -365,7 +376,7 @@ def _block(nodes: tuple) -> Callable[[dict, Output], None]:
     return steps[0] if len(steps) == 1 else run
 
 
-def _step(node) -> Callable[[dict, Output], None]:
+def _step(node, outermost: bool) -> Callable[[dict, Output], None]:
     if isinstance(node, Emit):
         if isinstance(node.expr, Const):
             text = node.expr.value
@@ -389,7 +400,7 @@ def _step(node) -> Callable[[dict, Output], None]:
 
         return generation
     if isinstance(node, Branch):
-        cases = [(_expr(c), _block(b)) for c, b in node.cases]
+        cases = [(_expr(c), _block(b, outermost)) for c, b in node.cases]
 
         def branch(env: dict, out: Output) -> None:
             for condition, inner in cases:
@@ -407,6 +418,8 @@ def _step(node) -> Callable[[dict, Output], None]:
             ahead = next(items, None)
             done = ahead is None
             inner({**env, name: item, "loop": {"first": k == 0, "last": done, "index0": k}}, out)
+            if outermost:
+                out.turn()
             item, k = ahead, k + 1
 
     return loop
@@ -415,62 +428,65 @@ def _step(node) -> Callable[[dict, Output], None]:
 class Template:
     def __init__(self, source: str):
         self.tree = fold(parse(source))
-        self.run = _block(self.tree) if self.tree else lambda env, out: None
+        self.run = _block(self.tree, outermost=True) if self.tree else lambda env, out: None
 
-    def render(self, messages, **values) -> Output:
-        """``messages`` may be a stream of {role, text}."""
-        out = Output()
+    def render(self, messages, out: Output | None = None, **values) -> Output:
+        """``messages`` may be a stream of {role, text}, for templates that go over it once."""
+        out = Output() if out is None else out
         self.run({"messages": messages, **values}, out)
         return out
 
-    def stream(self, messages: Iterator[dict]) -> Iterator[Output]:
-        """Output of each message on its own; for templates that are one loop over messages without loop.last."""
-        if len(self.tree) != 1 or not isinstance(self.tree[0], Loop) or "last" in repr(self.tree):
-            yield self.render(messages)
-            return
-        for m in messages:
-            yield self.render([m])
-
 
 _TURN = re.compile(r"<\|turn\|>(.*?)<\|text\|>(.*?)<\|end\|>", re.S)
 
 
 def read_back(formatted: str) -> list[tuple[str, str]]:
     """(role, text) of each turn of formatted text; guarded strings cannot be mistaken for marks."""
+    turns, at = _whole_turns(formatted)
+    if at != len(formatted):
+        raise ValueError(f"not formatted text at character {at}")
+    return turns
+
+
+def _whole_turns(formatted: str) -> tuple[list[tuple[str, str]], int]:
+    """The turns that ``formatted`` starts with, and where they end."""
     turns, at = [], 0
     for m in _TURN.finditer(formatted):
         if m.start() != at:
             raise ValueError(f"not formatted text at character {at}")
         turns.append((unguard(m[1]), unguard(m[2])))
         at = m.end()
-    if at != len(formatted):
-        raise ValueError(f"not formatted text at character {at}")
-    return turns
+    return turns, at
 
 
 OUT = pa.schema([("conv_id", pa.int64()), ("n_turns", pa.int64()), ("turns_sha256", pa.string()), ("loss_chars", pa.int64()), ("loss_sha256", pa.string()), ("formatted_chars", pa.int64())])
 
 
-class _Digest:
-    """Digests of one conversation, from its formatted pieces as they come."""
+class DigestOutput(Output):
+    """Reads back and digests one conversation while it is rendered; holds no more than a turn of it."""
 
-    def __init__(self, conv_id):
-        self.conv_id, self.turns, self.loss = conv_id, hashlib.sha256(), hashlib.sha256()
-        self.n = self.loss_chars = self.chars = 0
+    def __init__(self) -> None:
+        super().__init__()
+        self.turns, self.loss = hashlib.sha256(), hashlib.sha256()
+        self.n = self.loss_chars = self.start = 0
 
-    def add(self, out: Output) -> None:
-        text = "".join(out.parts)
-        for role, said in read_back(text):
-            self.turns.update(f"{role}\n{said}\n".encode("utf-8", "surrogatepass"))
-            self.n += 1
-        for a, b in out.spans:
-            learnt = unguard(text[a:b])
+    def turn(self) -> None:
+        text = "".join(self.parts)
+        for a, b in self.spans:
+            learnt = unguard(text[a - self.start : b - self.start])
             self.loss_chars += len(learnt)
             self.loss.update(learnt.encode("utf-8", "surrogatepass"))
-        self.chars += len(text)
+        turns, at = _whole_turns(text)
+        for role, said in turns:
+            self.turns.update(f"{role}\n{said}\n".encode("utf-8", "surrogatepass"))
+        self.n += len(turns)
+        self.parts, self.start, self.spans = [text[at:]] if at < len(text) else [], self.start + at, []
 
-    def row(self) -> tuple:
-        return self.conv_id, self.n, self.turns.hexdigest(), self.loss_chars, self.loss.hexdigest(), self.chars
+    def row(self, conv_id: int | None) -> tuple:
+        self.turn()
+        if self.start != self.size:
+            raise ValueError(f"not formatted text at character {self.start}")
+        return conv_id, self.n, self.turns.hexdigest(), self.loss_chars, self.loss.hexdigest(), self.size
 
 
 def ordered_turns(conversations: DataFrame, with_probe: bool = False) -> DataFrame:
@@ -512,21 +528,16 @@ def format_conversations(conversations: DataFrame, template: str = TURN_TEMPLATE
 
 
 def conversation_digests(conversations: DataFrame, template: str = TURN_TEMPLATE, with_probe: bool = False) -> DataFrame:
+    """Figures of each formatted conversation; the template must write turns as TURN_TEMPLATE does, and nothing else."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        compiled, rows, now, digest = Template(template), [], None, None
+        compiled, rows = Template(template), []
         emit = lambda rs: pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rs, strict=True), OUT, strict=True)], schema=OUT)
-        for conv_id, m in _messages(batches):
-            if digest is None or conv_id != now:
-                if digest is not None:
-                    rows.append(digest.row())
-                now, digest = conv_id, _Digest(conv_id)
-                if len(rows) >= 5000:
-                    yield emit(rows)
-                    rows = []
-            for out in compiled.stream(iter((m,))):
-                digest.add(out)
-        if digest is not None:
-            rows.append(digest.row())
+        for conv_id, turns in groupby(_messages(batches), key=itemgetter(0)):
+            rows.append(compiled.render((m for _, m in turns), DigestOutput()).row(conv_id))
+            if len(rows) >= 5000:
+                yield emit(rows)
+                rows = []
         if rows:
             yield emit(rows)
 

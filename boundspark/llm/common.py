@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 import gc
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Bytes of text that one numpy pass holds at a time inside a Python worker.
@@ -22,14 +23,35 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The shared folder that the session names in spark.checkpoint.dir; a private one only where unset."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    sc = spark.sparkContext
+    """The shared folder that the session names in spark.checkpoint.dir; a private one only for a session of one process."""
+    named, sc = spark.conf.get("spark.checkpoint.dir", None), spark.sparkContext
+    if named is None and sc.getCheckpointDir() is None and not re.fullmatch(r"local(\[.*\])?", sc.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
     if sc.getCheckpointDir() is None:
         sc.setCheckpointDir(named or "file://" + tempfile.mkdtemp(prefix="boundspark-"))
     return named or sc.getCheckpointDir()
 
 
+def fresh(docs: DataFrame, name: str) -> str:
+    """A column name that ``docs`` does not have."""
+    taken = {c.lower() for c in docs.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
+    """``docs``, staged with a number for each row, and the number's column: rows may share a doc_id or have none."""
+    row = fresh(docs, "row_number")
+    return stage(docs.withColumn(row, F.monotonically_increasing_id())), row
+
+
+def without(held: DataFrame, row: str, gone: DataFrame) -> DataFrame:
+    """``held`` without the rows whose numbers are the one column of ``gone``, and without the numbers."""
+    other = fresh(held, "gone")
+    return held.join(gone.toDF(other).hint("merge"), F.col(row) == F.col(other), "left_anti").drop(row)
+
+
 def stage(df: DataFrame) -> DataFrame:
     """Cut lineage: write ``df`` as a compressed table in the shared folder and read it back."""
     path = f"{shared_dir(df.sparkSession).rstrip('/')}/stage-{uuid.uuid4().hex}"
@@ -110,7 +132,11 @@ NO_ID = -(1 << 63)
 
 def source(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text): the two columns that operators read; a null id sorts before all others."""
-    return docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    return docs.select(id_of(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+
+
+def id_of(col: str) -> Column:
+    return F.coalesce(F.col(col).cast("long"), F.lit(NO_ID))
 
 
 def shown(name: str):

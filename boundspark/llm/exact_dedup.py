@@ -1,31 +1,39 @@
 """Exact dedup with a log-structured merge index of text digests.
 
-Writers keep a memtable of digests, flush it as a sorted run with a bit filter and leave merging to compaction.
-Compaction works on one digest range at a time: entries whose digest no other run's filter can hold skip the merge,
-the rest are merged and keep the smallest identifier. Digests that were hit more than once are verified on the
-bytes of the normalised texts before anything is dropped.
+Each task drives a ``DigestIndex``: rows enter a memtable, where a digest that is hit again is verified on its bytes at
+once; a full memtable is flushed as a sorted run, its texts to a value log; several runs are compacted into one, with
+a filter of four bytes a digest. Runs are staged beside their logs and stay there. Between tasks the filters travel
+first; digests that no other run's filter can hold take no further part, the others are merged one digest range at a
+time and keep the smallest identifier. Digests that several memtables hold are verified on the bytes in their logs.
 
 Defined cases: a null text counts as empty, and empty texts equal one another; a text of white space only equals
-any other such text, not the empty one; repeated rows are copies; ties in doc_id keep that doc_id; a null doc_id sorts first; an empty table
-gives an empty result; extra columns are ignored.
+any other such text, not the empty one; repeated rows are copies; very long texts fill a memtable of their own; ties
+in doc_id keep that doc_id, and the smallest row number where rows are numbered; a null doc_id sorts first; an empty
+table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
 import hashlib
-import uuid
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import zstandard
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from boundspark.llm.common import as_bytes, fan_out, is_blank_edge, shown, source, stage, table
+from boundspark.llm.common import NO_ID, as_bytes, fan_out, is_blank_edge, release, shown, stage, stage_by, table
 
-FILTER_BITS = 1 << 16
-MEMTABLE_ROWS = 200_000
+MEMTABLE_BYTES, MEMTABLE_ROWS = 16 << 20, 100_000
+#: Runs of one index that are compacted into one before it is staged.
+RUNS = 4
+RANGE_BYTES = 96 << 20
+MAX_LAYOUT = 50_000
+SALTS = 64
 SPACE_CLASS = "[\\x20\\x09-\\x0D]+"
 
 
@@ -38,70 +46,99 @@ def normalise(text: bytes) -> bytes:
     return (b" " if head else b"") + b" ".join(words) + (b" " if tail else b"")
 
 
+@dataclass
 class Run:
-    """An immutable sorted run: distinct digests, their smallest id and count, and a bit filter over the digests."""
+    """An immutable sorted run: distinct digests, the smallest (id, row) and the count of each, and in how many
+    memtables it was."""
 
-    def __init__(self, digests: np.ndarray, keep: np.ndarray, count: np.ndarray):
-        self.digests, self.keep, self.count = digests, keep, count
+    digests: np.ndarray
+    keep: np.ndarray
+    keep_row: np.ndarray
+    count: np.ndarray
+    tables: np.ndarray
 
-    def filter(self) -> np.ndarray:
-        bits = np.zeros(FILTER_BITS, np.uint8)
-        bits[filter_slots(self.digests)] = 1
-        return bits
+    FIELDS = ("digests", "keep", "keep_row", "count", "tables")
 
-    @staticmethod
-    def of(digests: np.ndarray, ids: np.ndarray, count: np.ndarray | None = None) -> Run:
-        """Sort and fold equal digests: smallest id, summed count."""
-        count = np.ones(len(ids), np.int64) if count is None else count
-        if not len(ids):
-            return Run(digests, ids, count)
-        order = np.argsort(digests, kind="stable")
-        digests, ids, count = digests[order], ids[order], count[order]
-        first = np.flatnonzero(np.r_[True, digests[1:] != digests[:-1]])
-        return Run(digests[first], np.minimum.reduceat(ids, first), np.add.reduceat(count, first))
+    def slots(self) -> np.ndarray:
+        """The filter: bytes 4 to 7 of each digest; the leading bytes choose the range."""
+        return np.ascontiguousarray(self.digests.view(np.uint8).reshape(-1, 32)[:, 4:8]).view(">u4")[:, 0].astype(np.uint32)
 
-
-def filter_slots(digests: np.ndarray) -> np.ndarray:
-    """Bytes 4 and 5 of each digest: independent of the leading bytes that choose the bucket."""
-    raw = digests.view(np.uint8).reshape(-1, 32)
-    return raw[:, 4].astype(np.int64) << 8 | raw[:, 5]
+    def part(self, at) -> Run:
+        return Run(*(getattr(self, f)[at] for f in Run.FIELDS))
 
 
 def compact(runs: list[Run]) -> Run:
     """Merge runs into one; only digests that two filters may share take part in the merge proper."""
-    runs = [r for r in runs if len(r.keep)]
     if not runs:
-        return Run(np.zeros(0, "S32"), np.zeros(0, np.int64), np.zeros(0, np.int64))
-    cover = np.zeros(FILTER_BITS, np.int32)
-    for r in runs:
-        cover += r.filter()
-    shared = [cover[filter_slots(r.digests)] > 1 for r in runs]
-    parts = [[getattr(r, k)[m] for r, m in zip(runs, shared, strict=True)] for k in ("digests", "keep", "count")]
-    merged = Run.of(*(np.concatenate(p) for p in parts))
-    alone = [np.concatenate([getattr(r, k)[~m] for r, m in zip(runs, shared, strict=True)]) for k in ("digests", "keep", "count")]
-    out = [np.concatenate([a, getattr(merged, k)]) for a, k in zip(alone, ("digests", "keep", "count"), strict=True)]
-    order = np.argsort(out[0], kind="stable")
-    return Run(*(x[order] for x in out))
+        return Run(np.zeros(0, "S32"), *(np.zeros(0, np.int64) for _ in range(4)))
+    slots = [r.slots() for r in runs]
+    shared = shared_slots([np.unique(s) for s in slots])
+    among = [np.isin(s, shared) for s in slots]
+    join = lambda f, masks: np.concatenate([getattr(r, f)[m] for r, m in zip(runs, masks, strict=True)])
+    merged = _fold(Run(*(join(f, among) for f in Run.FIELDS)))
+    alone = [~m for m in among]
+    out = Run(*(np.concatenate([join(f, alone), getattr(merged, f)]) for f in Run.FIELDS))
+    return out.part(np.argsort(out.digests, kind="stable"))
 
 
-class DigestIndex:
-    """The index on one machine: add rows, flush memtables, compact, look digests up. Each Spark task drives one."""
+def shared_slots(filters: list[np.ndarray]) -> np.ndarray:
+    """Slots that two or more filters hold."""
+    every = np.sort(np.concatenate(filters))
+    return np.unique(every[1:][every[1:] == every[:-1]])
+
+
+def _fold(r: Run) -> Run:
+    """Sort and fold equal digests: smallest (id, row), summed counts."""
+    if not len(r.keep):
+        return r
+    r = r.part(np.lexsort((r.keep_row, r.keep, r.digests)))
+    first = np.flatnonzero(np.r_[True, r.digests[1:] != r.digests[:-1]])
+    return Run(r.digests[first], r.keep[first], r.keep_row[first], np.add.reduceat(r.count, first), np.add.reduceat(r.tables, first))
+
 
-    def __init__(self, memtable_rows: int = MEMTABLE_ROWS):
-        self.limit, self.runs = memtable_rows, []
-        self._digests: list[bytes] = []
-        self._ids: list[int] = []
+def pack(digests: list[bytes]) -> np.ndarray:
+    """Digests as 32-byte strings. Numpy ignores trailing zero bytes when it compares; at equal lengths that changes nothing."""
+    return np.frombuffer(b"".join(digests), "S32").copy() if digests else np.zeros(0, "S32")
 
-    def add(self, doc_id: int, text: bytes) -> None:
-        self._digests.append(hashlib.sha256(normalise(text)).digest())
-        self._ids.append(doc_id)
-        if len(self._ids) >= self.limit:
+
+class DigestIndex:
+    """The index of one task: add rows, flush memtables to runs and the value log, compact, look texts up."""
+
+    def __init__(self, memtable_bytes: int = MEMTABLE_BYTES, memtable_rows: int = MEMTABLE_ROWS):
+        self.bytes, self.rows = memtable_bytes, memtable_rows
+        self.runs: list[Run] = []
+        #: Every row as (digest, id, row), and every text of a flushed memtable as (digest, compressed text).
+        self.members: list[tuple[bytes, int, int]] = []
+        self.log: list[tuple[bytes, bytes]] = []
+        #: Digests that two different texts were seen to have.
+        self.clashes: set[bytes] = set()
+        self._table: dict[bytes, list] = {}
+        self._held = 0
+
+    def add(self, doc_id: int, text: bytes, row: int = 0) -> None:
+        text = normalise(text)
+        digest = hashlib.sha256(text).digest()
+        self.members.append((digest, doc_id, row))
+        known = self._table.get(digest)
+        if known is None:
+            self._table[digest] = [doc_id, row, 1, text]
+            self._held += len(text) + 100
+        else:
+            if known[3] != text:
+                self.clashes.add(digest)
+            known[2] += 1
+            if (doc_id, row) < (known[0], known[1]):
+                known[0], known[1] = doc_id, row
+        if self._held >= self.bytes or len(self._table) >= self.rows:
             self.flush()
 
     def flush(self) -> None:
-        if self._ids:
-            self.runs.append(Run.of(pack(self._digests), np.array(self._ids, np.int64)))
-            self._digests, self._ids = [], []
+        if self._table:
+            press, order = zstandard.ZstdCompressor(level=1), sorted(self._table)
+            self.log += [(d, press.compress(self._table[d][3])) for d in order]
+            numbers = np.array([self._table[d][:3] for d in order], np.int64)
+            self.runs.append(Run(pack(order), *numbers.T.copy(), np.ones(len(order), np.int64)))
+            self._table, self._held = {}, 0
 
     def compact(self) -> Run:
         self.flush()
@@ -109,118 +146,179 @@ class DigestIndex:
         return self.runs[0]
 
     def lookup(self, text: bytes) -> int | None:
-        """Smallest identifier of an equal text so far, newest run first; filters spare most searches."""
+        """Smallest identifier of an equal text so far."""
         digest = hashlib.sha256(normalise(text)).digest()
-        key = pack([digest])
-        found = [i for d, i in zip(self._digests, self._ids, strict=True) if d == digest]
+        found = [self._table[digest][0]] if digest in self._table else []
+        key = pack([digest])[0]
         for r in reversed(self.runs):
-            if r.filter()[filter_slots(key)[0]]:
-                at = int(np.searchsorted(r.digests, key[0]))
-                if at < len(r.digests) and r.digests[at] == key[0]:
-                    found.append(int(r.keep[at]))
+            at = int(np.searchsorted(r.digests, key))
+            if at < len(r.digests) and r.digests[at] == key:
+                found.append(int(r.keep[at]))
         return min(found, default=None)
 
 
-def pack(digests: list[bytes]) -> np.ndarray:
-    """Digests as 32-byte strings. Numpy ignores trailing zero bytes when it compares; at equal lengths that changes nothing."""
-    return np.frombuffer(b"".join(digests), "S32").copy() if digests else np.zeros(0, "S32")
+# --- staged runs -----------------------------------------------------------------------------------------------
 
+RUN = pa.schema(
+    [("run", pa.int64()), ("bucket", pa.int32())]
+    + [(f, pa.binary()) for f in (*Run.FIELDS, "slots", "member_at", "member_id", "member_row", "log_at", "log_size", "log", "clashes")]
+)
+RUN_DDL = "run long, bucket int, " + ", ".join(f"{f.name} binary" for f in RUN if f.name not in ("run", "bucket"))
 
-RUN_SCHEMA = "run string, bucket int, digests binary, ids binary"
 
+def _ranges(digests: np.ndarray, n: int) -> np.ndarray:
+    """The range of each of sorted digests; ranges ascend with them."""
+    lead = np.ascontiguousarray(digests.view(np.uint8).reshape(-1, 32)[:, :4]).view(">u4")[:, 0].astype(np.int64)
+    return lead * n >> 32
 
-def _write_runs(n_buckets: int):
-    def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        digests: list[bytes] = []
-        ids: list[int] = []
-
-        def flush():
-            run, raw = uuid.uuid4().hex, np.frombuffer(b"".join(digests), np.uint8).reshape(-1, 32)
-            lead = np.ascontiguousarray(raw[:, :4]).view(">u4")[:, 0].astype(np.int64)
-            bucket = lead * n_buckets >> 32
-            order = np.lexsort((np.array(ids, np.int64), np.ascontiguousarray(raw).view("S32")[:, 0], bucket))
-            raw, who, bucket = raw[order], np.array(ids, np.int64)[order], bucket[order]
-            edges = np.r_[np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]), len(bucket)]
-            cut = list(zip(edges[:-1], edges[1:], strict=True))
-            return pa.RecordBatch.from_arrays(
-                [pa.array([run] * len(cut)), pa.array([int(bucket[a]) for a, _ in cut], pa.int32()), pa.array([raw[a:b].tobytes() for a, b in cut], pa.binary()), pa.array([who[a:b].tobytes() for a, b in cut], pa.binary())],
-                ["run", "bucket", "digests", "ids"],
-            )
 
+def _stage_rows(index: DigestIndex, run: int, n: int) -> Iterator[pa.RecordBatch]:
+    """One row for each digest range of a compacted run, with the members and texts of that range."""
+    r = index.compact()
+    bucket = _ranges(r.digests, n)
+    edges = np.r_[np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]), len(bucket)]
+    at = np.searchsorted(r.digests, pack([d for d, _, _ in index.members]))
+    ids, rows = (np.array([m[k] for m in index.members], np.int64) for k in (1, 2))
+    order = np.argsort(at, kind="stable")
+    at, ids, rows = at[order], ids[order], rows[order]
+    log = sorted(index.log)
+    log_at = np.searchsorted(r.digests, pack([d for d, _ in log]))
+    clashes = sorted(index.clashes)
+    clash_at = np.searchsorted(r.digests, pack(clashes))
+    for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+        part = r.part(slice(a, b))
+        m, g, c = (slice(*np.searchsorted(x, [a, b])) for x in (at, log_at, clash_at))
+        texts = [z for _, z in log[g]]
+        cells = [*(getattr(part, f).tobytes() for f in Run.FIELDS), part.slots().tobytes(), (at[m] - a).astype("<u4").tobytes(), ids[m].tobytes(), rows[m].tobytes(), (log_at[g] - a).astype("<u4").tobytes(), np.fromiter(map(len, texts), np.int64, len(texts)).tobytes(), b"".join(texts), b"".join(clashes[c])]
+        yield pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip((run, int(bucket[a]), *cells), RUN, strict=True)], schema=RUN)
+
+
+def _write_runs(n: int):
+    def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        index, run = DigestIndex(), TaskContext.get().partitionId() << 32
         for batch in batches:
-            for i, t in zip(batch.column(0).to_pylist(), as_bytes(batch.column(1)), strict=True):
-                digests.append(hashlib.sha256(normalise(t)).digest())
-                ids.append(i)
-            if len(ids) >= MEMTABLE_ROWS:
-                yield flush()
-                digests, ids = [], []
-        if ids:
-            yield flush()
+            for i, t, row in zip(batch.column(0).to_pylist(), as_bytes(batch.column(1)), batch.column(2).to_pylist(), strict=True):
+                index.add(i, t, row)
+                if len(index.runs) >= RUNS or len(index.members) >= RUNS * MEMTABLE_ROWS:
+                    yield from _stage_rows(index, run, n)
+                    index, run = DigestIndex(), run + 1
+        if index.members:
+            yield from _stage_rows(index, run, n)
 
     return write
 
 
-def _fold_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """What a run sends to compaction: one entry for each distinct digest, however many copies it holds."""
-    for batch in batches:
-        out = [Run.of(np.frombuffer(d, "S32"), np.frombuffer(i, np.int64)) for d, i in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array([getattr(r, k).tobytes() for r in out], pa.binary()) for k in ("digests", "keep", "count"))], ["run", "bucket", "digests", "keep", "count"])
+def _read_run(row: dict) -> Run:
+    return Run(np.frombuffer(row["digests"], "S32"), *(np.frombuffer(row[f], np.int64) for f in Run.FIELDS[1:]))
 
 
-def _compact_bucket(pdf: pd.DataFrame) -> pd.DataFrame:
-    """Merge one digest range; each run gets back the keepers of those of its digests that were hit twice or more."""
-    runs = [Run(np.frombuffer(d, "S32"), np.frombuffer(k, np.int64), np.frombuffer(c, np.int64)) for d, k, c in zip(pdf["digests"], pdf["keep"], pdf["count"], strict=True)]
-    whole, rows = compact(runs), []
-    for run, bucket, r in zip(pdf["run"], pdf["bucket"], runs, strict=True):
-        at = np.searchsorted(whole.digests, r.digests)
-        hit = whole.count[at] > 1
-        rows.append((run, bucket, r.digests[hit].tobytes(), whole.keep[at][hit].tobytes(), whole.count[at][hit].tobytes()))
-    return pd.DataFrame(rows, columns=["run", "bucket", "hit_digests", "hit_keep", "hit_count"])
+def _compare_filters(pdf: pd.DataFrame) -> pd.DataFrame:
+    """For each run of a range, one bit a digest: whether another run's filter may hold it."""
+    slots = [np.frombuffer(s, np.uint32) for s in pdf["slots"]]
+    shared = shared_slots([np.unique(s) for s in slots])
+    out = [(run, bucket, np.packbits(np.isin(s, shared)).tobytes()) for run, bucket, s in zip(pdf["run"], pdf["bucket"], slots, strict=True)]
+    return pd.DataFrame(out, columns=["run", "bucket", "may"])
 
 
-OUT = pa.schema([("doc_id", pa.int64()), ("keep_id", pa.int64()), ("group_size", pa.int64()), ("digest", pa.binary())])
+def _by_bucket(right: pd.DataFrame) -> dict[int, dict]:
+    return {row["bucket"]: row for row in right.to_dict("records")}
 
 
-def _answer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of documents from (run, its hits)."""
-    for batch in batches:
-        for d, i, hd, hk, hc in zip(*(batch.column(c).to_pylist() for c in ("digests", "ids", "hit_digests", "hit_keep", "hit_count")), strict=True):
-            digests, ids = np.frombuffer(d, "S32"), np.frombuffer(i, np.int64)
-            keep, size = ids.copy(), np.ones(len(ids), np.int64)
-            if hd:
-                hits = np.frombuffer(hd, "S32")
-                at = np.minimum(np.searchsorted(hits, digests), len(hits) - 1)
-                got = hits[at] == digests
-                keep[got], size[got] = np.frombuffer(hk, np.int64)[at[got]], np.frombuffer(hc, np.int64)[at[got]]
-            raw = [d[k : k + 32] for k in range(0, len(d), 32)]
-            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(keep), pa.array(size), pa.array(raw, pa.binary())], schema=OUT)
+def _send_shared(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+    """What a run sends to compaction: digests that another run may hold, or that several of its memtables held."""
+    may, out = _by_bucket(right), []
+    for row in left.to_dict("records"):
+        r = _read_run(row)
+        bits = np.unpackbits(np.frombuffer(may[row["bucket"]]["may"], np.uint8), count=len(r.keep)).astype(bool)
+        r = r.part(bits | (r.count > 1))
+        if len(r.keep):
+            out.append((row["run"], row["bucket"], *(getattr(r, f).tobytes() for f in Run.FIELDS)))
+    return pd.DataFrame(out, columns=["run", "bucket", *Run.FIELDS])
 
 
-def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def _compact_range(pdf: pd.DataFrame) -> pd.DataFrame:
+    """Merge one digest range; each run gets back those of its digests that were hit twice or more."""
+    runs = [_read_run(row) for row in pdf.to_dict("records")]
+    whole, out = compact(runs), []
+    for run, bucket, r in zip(pdf["run"], pdf["bucket"], runs, strict=True):
+        hit = whole.part(np.searchsorted(whole.digests, r.digests))
+        hit = hit.part(hit.count > 1)
+        if len(hit.keep):
+            out.append((run, bucket, *(getattr(hit, f).tobytes() for f in Run.FIELDS)))
+    return pd.DataFrame(out, columns=["run", "bucket", *Run.FIELDS])
+
+
+def _log_of_hits(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+    """(digest, compressed text) from the logs for digests that several memtables hold; seen clashes have no text."""
+    hits, out = _by_bucket(right), []
+    for row in left.to_dict("records"):
+        out += [(row["clashes"][k : k + 32], b"") for k in range(0, len(row["clashes"]), 32)]
+        if row["bucket"] not in hits:
+            continue
+        r = _read_run(hits[row["bucket"]])
+        digests, at = np.frombuffer(row["digests"], "S32"), np.frombuffer(row["log_at"], "<u4")
+        ends = np.cumsum(np.frombuffer(row["log_size"], np.int64))
+        wanted = np.isin(digests, r.digests[r.tables > 1])[at]
+        for k in np.flatnonzero(wanted).tolist():
+            out.append((row["digests"][32 * int(at[k]) : 32 * int(at[k]) + 32], row["log"][int(ends[k - 1]) if k else 0 : int(ends[k])]))
+    return pd.DataFrame(out, columns=["digest", "text"])
+
+
+def _answer(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+    """Rows of documents from a run and its hits."""
+    hits, parts = _by_bucket(right), []
+    for row in left.to_dict("records"):
+        r, at = _read_run(row), np.frombuffer(row["member_at"], "<u4")
+        keep, keep_row, count = r.keep.copy(), r.keep_row.copy(), r.count.copy()
+        if row["bucket"] in hits:
+            h = _read_run(hits[row["bucket"]])
+            k = np.searchsorted(r.digests, h.digests)
+            keep[k], keep_row[k], count[k] = h.keep, h.keep_row, h.count
+        ids, rows = (np.frombuffer(row[f], np.int64) for f in ("member_id", "member_row"))
+        digests = [row["digests"][32 * k : 32 * k + 32] for k in at.tolist()]
+        parts.append(pd.DataFrame({"doc_id": ids, "row": rows, "keep_id": keep[at], "keep_row": keep_row[at], "group_size": count[at], "digest": digests}))
+    return pd.concat(parts) if parts else pd.DataFrame(columns=["doc_id", "row", "keep_id", "keep_row", "group_size", "digest"])
+
+
+def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None) -> DataFrame:
     """One row for each row of ``docs``: doc_id, keep_id, group_size, kept, text_sha256 of the normalised text.
 
-    Of rows that share a doc_id and a text, all count in group_size and all carry kept = (doc_id = keep_id).
+    ``row_col`` names a number that tells rows apart; it is returned as ``row``, and of rows that share doc_id and
+    text one is kept. Without it such rows all carry kept = (doc_id = keep_id).
     """
     spark = docs.sparkSession
-    src = source(docs, id_col, text_col)
-    n = fan_out(spark, docs.count() * 48, 64 << 20)
-    runs = stage(src.mapInArrow(_write_runs(n), RUN_SCHEMA))
-    folded = runs.mapInArrow(_fold_runs, "run string, bucket int, digests binary, keep binary, count binary")
-    hits = folded.groupBy("bucket").applyInPandas(_compact_bucket, "run string, bucket int, hit_digests binary, hit_keep binary, hit_count binary")
-    rows = stage(runs.join(hits.hint("merge"), ["run", "bucket"]).mapInArrow(_answer, "doc_id long, keep_id long, group_size long, digest binary"))
-
-    # Byte verification of hits: equal digests must carry equal normalised bytes; Spark's hash aggregate compares them.
-    hit = rows.where("group_size > 1").select(F.col("doc_id").alias("hit_id"))
-    norm = F.regexp_replace(F.coalesce("text", F.lit("")), SPACE_CLASS, " ")
-    bytes_of = src.join(hit.hint("merge"), F.col("doc_id") == F.col("hit_id"), "left_semi").select("doc_id", norm.alias("norm")).withColumn("digest", F.unhex(F.sha2(F.col("norm").cast("binary"), 256)))
-    texts = bytes_of.groupBy("digest", "norm").agg(F.min("doc_id").alias("v_keep"), F.count(F.lit(1)).alias("v_size"))
-    clash = texts.groupBy("digest").agg(F.count(F.lit(1)).alias("texts")).where("texts > 1").select("digest")
-    clash = stage(clash)
-    sound = rows
+    row = F.col(row_col).cast("long") if row_col else F.lit(0).cast("long")
+    src = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc_id"), F.col(text_col).cast("string").alias("text"), row.alias("row"))
+    rows = docs.count()
+    n, layout = fan_out(spark, rows * 56, RANGE_BYTES), min(fan_out(spark, rows, MEMTABLE_ROWS), MAX_LAYOUT)
+    runs = stage_by(src.mapInArrow(_write_runs(n), RUN_DDL), "run", layout)
+    release(spark)
+    held = ", ".join(f"{f} binary" for f in Run.FIELDS)
+
+    def rejoin(columns: tuple[str, ...], answers: DataFrame, fn, schema: str) -> DataFrame:
+        return runs.select("run", "bucket", *columns).groupBy("run").cogroup(answers.groupBy("run")).applyInPandas(fn, schema)
+
+    may = runs.select("run", "bucket", "slots").groupBy("bucket").applyInPandas(_compare_filters, "run long, bucket int, may binary")
+    sent = rejoin(Run.FIELDS, may, _send_shared, f"run long, bucket int, {held}")
+    hits = stage(sent.groupBy("bucket").applyInPandas(_compact_range, f"run long, bucket int, {held}"))
+    release(spark)
+
+    # Equal digests must have equal bytes. A digest of very many runs is folded in SALTS places before it meets in one.
+    texts = rejoin(("digests", "log_at", "log_size", "log", "clashes"), hits, _log_of_hits, "digest binary, text binary")
+    once = texts.withColumn("salt", F.pmod(F.spark_partition_id(), F.lit(SALTS))).groupBy("digest", "salt", "text").agg(F.lit(1)).groupBy("digest", "text").agg(F.lit(1))
+    clash = stage(once.groupBy("digest").agg(F.count(F.lit(1)).alias("n"), F.min(F.octet_length("text")).alias("least")).where("n > 1 OR least = 0").select("digest"))
+
+    out = rejoin((*Run.FIELDS, "member_at", "member_id", "member_row"), hits, _answer, "doc_id long, row long, keep_id long, keep_row long, group_size long, digest binary")
     if not clash.isEmpty():  # never seen for SHA-256; then the bytes decide
-        split = bytes_of.join(clash, "digest", "left_semi").join(texts, ["digest", "norm"]).select("doc_id", F.col("v_keep").alias("keep_id"), F.col("v_size").alias("group_size"), "digest")
-        sound = rows.join(clash, "digest", "left_anti").select(*split.columns).unionByName(split)
-    return sound.select(shown("doc_id"), shown("keep_id"), "group_size", (F.col("doc_id") == F.col("keep_id")).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"))
+        norm = F.regexp_replace(F.coalesce("text", F.lit("")), SPACE_CLASS, " ")
+        clashing = src.select("doc_id", "row", norm.alias("norm")).withColumn("digest", F.unhex(F.sha2(F.col("norm").cast("binary"), 256))).join(clash, "digest", "left_semi")
+        first = F.min(F.struct("doc_id", "row"))
+        by_text = clashing.groupBy("digest", "norm").agg(first.alias("first"), F.count(F.lit(1)).alias("group_size"))
+        split = clashing.join(by_text, ["digest", "norm"]).select("doc_id", "row", F.col("first.doc_id").alias("keep_id"), F.col("first.row").alias("keep_row"), "group_size", "digest")
+        out = out.join(clash, "digest", "left_anti").select(*split.columns).unionByName(split)
+    kept = (F.col("doc_id") == F.col("keep_id")) & (F.col("row") == F.col("keep_row"))
+    shown_row = [F.col("row")] if row_col else []
+    return out.select(shown("doc_id"), shown("keep_id"), "group_size", kept.alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"), *shown_row)
 
 
 def op8_lsm_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

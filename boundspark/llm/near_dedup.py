@@ -7,8 +7,10 @@ the first text, and in a band with the text before, never all with all. Whatever
 settle pairs whose estimate is over four standard errors away from the limit, and for the pairs between, the sets of
 shingles of both texts are compared.
 
-Defined cases: texts without words have no sketch and are near-duplicates of nothing here (exact dedup has merged
-them); of a group the row with the smallest doc_id stays; rows with a null doc_id stay; empty tables stay empty.
+Defined cases: texts without words (null, empty, white space) have no sketch and are near-duplicates of nothing here
+(exact dedup has merged them); of a group the row with the smallest doc_id stays, a null one first, and of rows that
+tie in doc_id the first read; rows that share a doc_id, or have none, are rows of their own; very long texts are read
+whole, one at a time; empty tables stay empty; other columns stay, whatever their names.
 """
 
 from __future__ import annotations
@@ -18,11 +20,11 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
-from boundspark.llm.common import NO_ID, as_bytes, mix64, release, source, stage
+from boundspark.llm.common import NO_ID, as_bytes, mix64, numbered, release, source, stage, without
 from boundspark.llm.repeats import _gram_hash, word_hashes
 from boundspark.llm.simhash import LOWER, Forest, components, fingerprint, links, routes
 
@@ -119,10 +121,12 @@ def _confirm(docs: DataFrame, pairs: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
-    """(node, root): documents that have a near-duplicate with a smaller doc_id, and the smallest of their group."""
-    rows = stage(source(docs).where(F.col("doc_id") != NO_ID).mapInArrow(_rows, DDL))
+    """(node, root): documents that have a near-duplicate with a smaller doc_id, and the smallest of their group.
+    The doc_ids of ``docs`` must be unique."""
+    rows = stage(source(docs).mapInArrow(_rows, DDL))
     release(docs.sparkSession)
-    pairs = _pair_up(rows.select("doc_id", F.explode("bands").alias("key")), "key").union(_star(rows.select("doc_id", F.explode("twins").alias("key")), "key"))
+    by_band, by_twin = (rows.select("doc_id", F.explode(k).alias("key")) for k in ("bands", "twins"))
+    pairs = _pair_up(by_band, "key").union(_star(by_twin, "key", _first(by_twin, "key")))
     same_fp = rows.select("doc_id", "fp")
     firsts = same_fp.groupBy("fp").agg(F.min("doc_id").alias("first"))
     close = links(firsts.select("fp"), 2)
@@ -146,7 +150,7 @@ def _between_classes(docs: DataFrame, rows: DataFrame, known: DataFrame) -> Data
     route = F.transform(routes(2), lambda k: F.struct(k.alias("key"), F.lit(True).alias("route")))
     keyed = classed.select("doc_id", "root", F.explode(F.concat(band, route)).alias("k")).select("doc_id", "root", "k.*")
     mixed = keyed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count(F.lit(1)).alias("n")).where("low < high")
-    mixed = mixed.select("key", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
+    mixed = stage(mixed.select("key", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")))
     members = keyed.join(mixed.hint("merge"), "key").withColumn("block", F.pmod(F.xxhash64("doc_id"), "blocks").cast("int"))
     # A row meets every block of its key once; a cell of two blocks is named by both.
     met = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("cell", F.xxhash64("key", F.least("block", "other"), F.greatest("block", "other")))
@@ -204,24 +208,32 @@ def _judge_cells(pdf: pd.DataFrame) -> pd.DataFrame:
 
 
 def _first(rows: DataFrame, key: str) -> DataFrame:
-    return rows.groupBy(key).agg(F.min("doc_id").alias("a"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
+    """Staged, so that joins with it are of two shuffles, of which Spark splits the skewed ones."""
+    return stage(rows.groupBy(key).agg(F.min("doc_id").alias("a"), F.count(F.lit(1)).alias("n")).where("n > 1"))
 
 
-def _star(rows: DataFrame, key: str) -> DataFrame:
+def _star(rows: DataFrame, key: str, first: DataFrame) -> DataFrame:
     """(a, b): each row with the first of its key."""
-    return rows.join(_first(rows, key).hint("merge"), key).select("a", F.col("doc_id").alias("b")).where("a < b")
+    return rows.join(first.hint("merge"), key).select("a", F.col("doc_id").alias("b")).where("a < b")
 
 
 def _pair_up(rows: DataFrame, key: str) -> DataFrame:
     """(a, b): each row with the first of its key, and with the row before it in its part of the key."""
-    # A key may hold a third of all rows: neighbours are taken within 64 parts of it, by hash.
-    part: Column = F.pmod(F.xxhash64("doc_id"), F.lit(64))
-    chain = rows.join(_first(rows, key).select(key).hint("merge"), key, "left_semi").withColumn("part", part)
-    before = F.lag("doc_id").over(W.Window.partitionBy(key, "part").orderBy("doc_id"))
-    return _star(rows, key).union(chain.select(before.alias("a"), F.col("doc_id").alias("b")).where("a IS NOT NULL AND a < b"))
+    first = _first(rows, key)
+    # A key may hold a third of all rows: neighbours are taken within parts of some 4096 rows, by hash.
+    parts = F.ceil(F.col("n") / 4096)
+    chain = rows.join(first.select(key, "n").hint("merge"), key).select(F.xxhash64(key, F.pmod(F.xxhash64("doc_id"), parts)).alias("part"), key, "doc_id")
+    before = F.lag("doc_id").over(W.Window.partitionBy("part", key).orderBy("doc_id"))
+    return _star(rows, key, first).union(chain.select(before.alias("a"), F.col("doc_id").alias("b")).where("a IS NOT NULL AND a < b"))
 
 
 def near_dedup(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, with their columns."""
-    drop = stage(near_duplicates(docs)).select(F.col("node").alias("_node"))
-    return docs.join(drop.hint("merge"), F.col("doc_id") == F.col("_node"), "left_anti")
+    held, row = numbered(docs)
+    ids = held.select(F.col(row).alias("node"), F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("id"))
+    known = near_duplicates(held.select(F.col(row).alias("doc_id"), "text"))
+    members = known.union(known.select("root", "root").distinct())
+    named = stage(members.join(ids.hint("merge"), "node").select("root", "node", "id"))
+    stays = named.groupBy("root").agg(F.min(F.struct("id", "node")).getField("node").alias("node"))
+    gone = stage(named.join(stays.select("node").hint("merge"), "node", "left_anti").select("node"))
+    return without(held, row, gone)

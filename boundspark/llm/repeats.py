@@ -36,8 +36,9 @@ import pyarrow as pa
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from boundspark.llm.common import ASCII_SPACE, BLOCK_BYTES, NO_ID, blocks, mix64, release, source, stage, stage_by, text_bytes
+from boundspark.llm.common import ASCII_SPACE, BLOCK_BYTES, NO_ID, blocks, id_of, mix64, release, stage, stage_by, text_bytes
 
 SPLIT_CLASSES = 4096
 BUCKET_BYTES = 12 << 20
@@ -46,8 +47,8 @@ MAX_BUCKETS = 1 << 18
 MAX_LAYOUT = 50_000
 PACK_CHUNKS = 32
 U = np.uint64
-CHUNK_DDL = "pack long, chunk int, piece int, last boolean, core long, ids binary, sizes binary, blob binary"
-CHUNK = pa.schema([("pack", pa.int64()), ("chunk", pa.int32()), ("piece", pa.int32()), ("last", pa.bool_()), ("core", pa.int64()), ("ids", pa.binary()), ("sizes", pa.binary()), ("blob", pa.binary())])
+CHUNK_DDL = "pack long, chunk int, piece int, last boolean, core long, ids binary, keys binary, sizes binary, blob binary"
+CHUNK = pa.schema([("pack", pa.int64()), ("chunk", pa.int32()), ("piece", pa.int32()), ("last", pa.bool_()), ("core", pa.int64()), ("ids", pa.binary()), ("keys", pa.binary()), ("sizes", pa.binary()), ("blob", pa.binary())])
 
 
 @dataclass(frozen=True)
@@ -101,17 +102,19 @@ def pieces(text: bytes, layout: Layout, size: int) -> Iterator[tuple[bytes, int]
         a = b
 
 
-def chunks(docs: DataFrame, layout: Layout, buckets: int, per_pack: int, **cols) -> DataFrame:
+def chunks(docs: DataFrame, layout: Layout, buckets: int, per_pack: int, row_col: str | None, **cols) -> DataFrame:
     """Texts in compressed chunks of about BLOCK_BYTES, staged so that a pack's number stands for the same texts, and
-    bucketed by it so that the rounds join their answers to the texts without moving the texts."""
+    bucketed by it so that the rounds join their answers to the texts without moving the texts. Documents are compared
+    by doc_id and returned by their key: the number in ``row_col``, or the doc_id."""
     size = BLOCK_BYTES
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         press, base, pack, held = zstandard.ZstdCompressor(level=3), TaskContext.get().partitionId() << 32, 0, 0
 
-        def row(ids: list[int], texts: list[bytes], piece: int, last: bool, core: int) -> pa.RecordBatch:
+        def row(both: list[dict], texts: list[bytes], piece: int, last: bool, core: int) -> pa.RecordBatch:
             sizes = np.fromiter(map(len, texts), np.int64, len(texts))
-            cells = base + pack, held, piece, last, core, np.array(ids, np.int64).tobytes(), sizes.tobytes(), press.compress(b"".join(texts))
+            ids, keys = (np.array([x[k] for x in both], np.int64) for k in ("doc_id", "key"))
+            cells = base + pack, held, piece, last, core, ids.tobytes(), keys.tobytes(), sizes.tobytes(), press.compress(b"".join(texts))
             return pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip(cells, CHUNK, strict=True)], schema=CHUNK)
 
         for ids, texts in blocks(batches, size):
@@ -127,7 +130,8 @@ def chunks(docs: DataFrame, layout: Layout, buckets: int, per_pack: int, **cols)
             if held >= per_pack:
                 pack, held = pack + 1, 0
 
-    return stage_by(source(docs, **cols).mapInArrow(run, CHUNK_DDL), "pack", buckets)
+    src = docs.select(F.struct(id_of(cols.get("id_col", "doc_id")).alias("doc_id"), (F.col(row_col).cast("long") if row_col else id_of(cols.get("id_col", "doc_id"))).alias("key")).alias("both"), F.col(cols.get("text_col", "text")).cast("string").alias("text"))
+    return stage_by(src.mapInArrow(run, CHUNK_DDL), "pack", buckets)
 
 
 def _in_order(pdf: pd.DataFrame) -> list[dict]:
@@ -183,7 +187,7 @@ class Chunk:
 
     def __init__(self, layout: Layout, row: dict):
         self.layout, self.piece, self.last, self.core = layout, row["piece"], row["last"], row["core"]
-        self.ids = np.frombuffer(row["ids"], np.int64)
+        self.ids, self.keys = (np.frombuffer(row[k], np.int64) for k in ("ids", "keys"))
         ends = np.cumsum(np.frombuffer(row["sizes"], np.int64))
         raw = zstandard.ZstdDecompressor().decompress(row["blob"]) if row["blob"] else b""
         cuts = list(zip([0, *ends[:-1].tolist()], ends.tolist(), strict=True))
@@ -695,7 +699,7 @@ def _documents(layout: Layout, rows: list[dict], right: pd.DataFrame, finish: Ca
     for row in rows:
         c, gone = _covered(layout, row, verdicts, masks, known)
         if c.piece < 0:
-            for i, text, a, b in zip(c.ids.tolist(), c.texts, c.starts.tolist(), c.ends.tolist(), strict=True):
+            for i, text, a, b in zip(c.keys.tolist(), c.texts, c.starts.tolist(), c.ends.tolist(), strict=True):
                 one = finish()
                 one.add(text, gone[a:b])
                 yield i, *one.row()
@@ -706,14 +710,14 @@ def _documents(layout: Layout, rows: list[dict], right: pd.DataFrame, finish: Ca
         open_.add(c.texts[0][: c.core], gone[: c.own])
         beyond = gone[c.own :]
         if c.last:
-            yield int(c.ids[0]), *open_.row()
+            yield int(c.keys[0]), *open_.row()
 
 
-def remove_repeats(docs: DataFrame, layout: Layout, kernel: Callable[[Layout, Contexts], np.ndarray], finish: Callable, ddl: str, **cols) -> DataFrame:
-    """A row for each document, as ``finish`` reads it off the document's stretches and what of them is covered."""
+def remove_repeats(docs: DataFrame, layout: Layout, kernel: Callable[[Layout, Contexts], np.ndarray], finish: Callable, ddl: str, row_col: str | None = None, **cols) -> DataFrame:
+    """A row for each document, named by its key, as ``finish`` reads it off the document's stretches and what of them is covered."""
     spark = docs.sparkSession
     n, table_buckets, per_pack = fan(text_bytes(docs, cols.get("text_col", "text")), int(spark.conf.get("spark.sql.shuffle.partitions")))
-    held = chunks(docs, layout, table_buckets, per_pack, **cols)
+    held = chunks(docs, layout, table_buckets, per_pack, row_col, **cols)
     release(spark)
 
     def rejoin(answers: DataFrame, fn, schema: str) -> DataFrame:

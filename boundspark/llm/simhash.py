@@ -91,8 +91,6 @@ class GrayIndex:
 
     def links(self, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Pairs of rows (in the caller's numbering) of one route that differ in at most ``radius`` bits."""
-        _, many = self.children(0)
-        del many
         todo = [(0, np.arange(len(self.starts[0])), np.arange(len(self.starts[0])), np.zeros(len(self.starts[0]), np.int64))]
         while todo:
             level, a, b, diff = todo.pop()
@@ -184,18 +182,32 @@ def links(distinct: DataFrame, radius: int = 2) -> DataFrame:
     return grouped.groupBy("part").applyInPandas(_route_links(radius), "a long, b long")
 
 
+SALTS = 64
+
+
+def _with_least(edges: DataFrame, itself: bool) -> DataFrame:
+    """(a, b, m): each edge with the smallest neighbour of a, or a ``itself`` where that is smaller.
+
+    A node may have very many neighbours: they meet in SALTS places, which alone meet in one.
+    """
+    e = edges.withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(SALTS)))
+    part = e.groupBy("a", "salt").agg(F.min("b").alias("m"))
+    least = part.groupBy("a").agg(F.min("m").alias("m"))
+    if itself:
+        least = least.select("a", F.least("a", "m").alias("m"))
+    return e.join(part.select("a", "salt").join(least.hint("merge"), "a").hint("merge"), ["a", "salt"]).select("a", "b", "m")
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, root) for every node of ``edges`` (a, b): alternating large-star and small-star rounds."""
     both = lambda e: e.union(e.select("b", "a"))
     e = stage(edges.where("a <> b").distinct())
     while True:
         # large star: every larger neighbour of a node is tied to the node's smallest neighbour
-        least = both(e).groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = both(e).join(least.hint("merge"), "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        large = _with_least(both(e), True).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         # small star: a node and its smaller neighbours are tied to the smallest of them
         down = large.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-        small_least = down.groupBy("a").agg(F.min("b").alias("m"))
-        small = down.join(small_least.hint("merge"), "a").select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        small = _with_least(down, False).select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         nxt = stage(small)
         # done when every node has one tie and ties end in roots; a node tied to two roots still has to join them
         tops = nxt.select(F.col("b").alias("a")).distinct()
@@ -212,7 +224,8 @@ def simhash_dedup(docs: DataFrame, width: int = 3, radius: int = 2) -> DataFrame
     root = components(links(distinct.select("fp"), radius))
     named = distinct.join(root.withColumnRenamed("node", "fp").hint("merge"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     smallest = named.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    labels = named.select("fp", "root").join(smallest.hint("merge"), "root").select("fp", "component_id")
+    # Staged, so that the last join is of two shuffles: Spark splits a fingerprint that very many rows share.
+    labels = stage(named.select("fp", "root").join(smallest.hint("merge"), "root").select("fp", "component_id"))
     out = fps.join(labels.hint("merge"), "fp")
     return out.select(shown("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), shown("component_id"))
 

@@ -150,9 +150,10 @@ def suffix_dedup(docs: DataFrame, length: int = LENGTH, **cols) -> DataFrame:
     return out.select(shown("doc_id"), *out.columns[1:])
 
 
-def suffix_dedup_texts(docs: DataFrame, length: int = LENGTH, **cols) -> DataFrame:
-    """doc_id and the text that is left."""
-    return remove_repeats(docs, layout(length), suffix_blocks, Remainder, "doc_id long, text string", **cols)
+def suffix_dedup_texts(docs: DataFrame, row_col: str, length: int = LENGTH, **cols) -> DataFrame:
+    """The number in ``row_col``, under that name, and the text that is left, as ``text_left``."""
+    out = remove_repeats(docs, layout(length), suffix_blocks, Remainder, "row_number long, text_left string", row_col, **cols)
+    return out.withColumnRenamed("row_number", row_col)
 
 
 def op3_difference_cover(spark: SparkSession, sf_dir: str) -> DataFrame:

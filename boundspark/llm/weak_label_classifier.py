@@ -3,11 +3,15 @@
 Heuristic labellers vote good, bad or nothing on every text. Expectation-maximisation over the counts of vote
 patterns (at most 3 ** labellers of them, however many texts) estimates each labeller's accuracy and the share of good
 texts; the posterior of a pattern is a soft label. A linear scorer over hashed words and word shapes is trained on the
-soft labels of a bounded sample (TRAIN_TEXTS texts, those with the smallest hash of their id) and scores every text.
+soft labels of a bounded sample and scores every text. Texts are read once: votes and the counts of the slots that a
+text fills are staged, and the sample and the scores come from there.
+
+The sample is the ``train_texts`` different (doc_id, text) rows of smallest hash, the same however rows are dealt.
 
 Defined cases: a null or wordless text scores the scorer's bias alone, and the length labeller votes it bad; repeated
-rows get equal scores; a null doc_id is shown as null; an empty table gives an empty result; if all labels agree the
-scorer learns a constant; extra columns are ignored; texts are read whole.
+rows get equal scores and count once in the sample; rows of equal hash are ordered by doc_id and votes; a null doc_id
+is shown as null, and rows without one are told apart by their texts; an empty table gives an empty result; if all
+labels agree the scorer learns a constant; extra columns are ignored; very long texts are read whole, one at a time.
 """
 
 from __future__ import annotations
@@ -18,6 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,7 +32,8 @@ from boundspark.llm.quality_rules import COMMON_WORDS, SYMBOLS, repeat_words
 GOOD, BAD, NONE = 2, 1, 0
 MARKS = frozenset(SYMBOLS)
 TRAIN_TEXTS = 4000
-DIM = 1024
+#: Slots of the scorer: of words, then SHAPES of word shapes, the last two of which measure repetition.
+DIM, SHAPES = 2048, 256
 COMMON = frozenset(w.encode() for ws in COMMON_WORDS.values() for w in ws)
 
 
@@ -101,8 +107,7 @@ _LETTERS, _DIGITS, _HIGH = re.compile(rb"[A-Za-z]+"), re.compile(rb"[0-9]+"), re
 def slots(word: bytes) -> tuple[int, int]:
     """Hashed places of a word and of its shape (runs of letters, digits and other characters)."""
     shape = _DIGITS.sub(b"0", _LETTERS.sub(b"a", _HIGH.sub(b"a", word)))
-    half = DIM // 2
-    return zlib.crc32(word.lower()) % half, half + zlib.crc32(shape.replace(b"aa", b"a")) % (half - 2)
+    return zlib.crc32(word.lower()) % (DIM - SHAPES), DIM - SHAPES + zlib.crc32(shape.replace(b"aa", b"a")) % (SHAPES - 2)
 
 
 class _Slots(dict):
@@ -113,32 +118,43 @@ class _Slots(dict):
         return got
 
 
-def features(words: list[bytes], repeated: int, memo: dict) -> np.ndarray:
-    """Square roots of the shares of each slot among the text's words; the last two slots measure repetition."""
+def features(words: list[bytes], repeated: int, memo: dict) -> tuple[np.ndarray, np.ndarray]:
+    """The slots that a text fills, and the square roots of their shares among its words."""
     if not words:
-        return np.zeros(DIM)
+        return np.zeros(0, "<u2"), np.zeros(0, "<f4")
     at = np.fromiter((s for w in words for s in memo[w]), np.int64, 2 * len(words))
-    share = np.bincount(at, minlength=DIM) / len(words)
-    share[-2:] = repeated / len(words), sum(map(bytes.__eq__, words[1:], words[:-1])) / len(words)
-    return np.sqrt(share)
+    count = np.bincount(at, minlength=DIM)
+    count[-2:] = repeated, sum(map(bytes.__eq__, words[1:], words[:-1]))
+    slot = np.flatnonzero(count)
+    return slot.astype("<u2"), np.sqrt(count[slot] / len(words)).astype("<f4")
 
 
 def train(x: np.ndarray, y: np.ndarray, steps: int = 600, rate: float = 4.0, decay: float = 1e-4) -> np.ndarray:
     """Logistic regression on soft labels by full-batch gradient steps; the last weight is the bias."""
-    w = np.zeros(x.shape[1] + 1)
+    w = np.zeros(x.shape[1] + 1, x.dtype)
     if not len(y):
         return w
-    x1 = np.hstack([x, np.ones((len(x), 1))])
+    x1 = np.hstack([x, np.ones((len(x), 1), x.dtype)])
     for _ in range(steps):
         p = 1 / (1 + np.exp(-(x1 @ w)))
-        w -= rate * (x1.T @ (p - y) / len(y) + decay * w)
+        w -= (rate * ((p - y) @ x1 / len(y) + decay * w)).astype(x.dtype)
     return w
 
 
+READ = pa.schema([("doc_id", pa.int64()), ("pattern", pa.int32()), ("key", pa.int64()), ("slots", pa.binary()), ("weights", pa.binary())])
+
+
 def _vote_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    memo = _Slots()
     for b in batches:
-        code = [votes(t, *_read(t)) for t in as_bytes(b.column(1))]
-        yield pa.RecordBatch.from_arrays([b.column(0), pa.array(code, pa.int32())], ["doc_id", "pattern"])
+        cols: list[list] = [[] for _ in READ]
+        for i, t in zip(b.column(0).to_pylist(), as_bytes(b.column(1)), strict=True):
+            read = _read(t)
+            slot, weight = features(*read, memo)
+            key = xxhash.xxh64_intdigest(t, xxhash.xxh64_intdigest(str(i))) >> 1
+            for c, v in zip(cols, (i, votes(t, *read), key, slot.tobytes(), weight.tobytes()), strict=True):
+                c.append(v)
+        yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, READ, strict=True)], schema=READ)
 
 
 def _patterns(codes: np.ndarray) -> np.ndarray:
@@ -148,37 +164,30 @@ def _patterns(codes: np.ndarray) -> np.ndarray:
 
 def quality_classifier(docs: DataFrame, train_texts: int = TRAIN_TEXTS) -> DataFrame:
     """doc_id, pattern (votes), weak_label (posterior of good), score, kept (score of at least one half)."""
-    src = source(docs)
-    voted = stage(src.mapInArrow(_vote_rows, "doc_id long, pattern int"))
+    voted = stage(source(docs).mapInArrow(_vote_rows, "doc_id long, pattern int, key long, slots binary, weights binary"))
     counts = sorted((r["pattern"], r["n"]) for r in voted.groupBy("pattern").agg(F.count(F.lit(1)).alias("n")).collect())
     codes = np.array([c for c, _ in counts], np.int64)
     model = LabelModel().fit(_patterns(codes), np.array([n for _, n in counts], np.float64))
     label = dict(zip(codes.tolist(), np.round(model.posterior(_patterns(codes)), 6).tolist(), strict=True)) if len(codes) else {}
 
-    # Bounded by ``train_texts`` rows; their features are computed on the executors.
-    chosen = src.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(train_texts)
-
-    def vectors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo = _Slots()
-        for b in batches:
-            rows = [(features(*read, memo).astype("<f4").tobytes(), votes(t, *read)) for t in as_bytes(b.column(1)) for read in (_read(t),)]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([r[0] for r in rows], pa.binary()), pa.array([r[1] for r in rows], pa.int32())], ["doc_id", "x", "pattern"])
-
-    sample = sorted(src.join(F.broadcast(chosen), "doc_id", "left_semi").mapInArrow(vectors, "doc_id long, x binary, pattern int").limit(2 * train_texts).collect())
-    x = np.array([np.frombuffer(r["x"], "<f4") for r in sample], np.float64).reshape(-1, DIM)
-    w = train(x, np.array([label[r["pattern"]] for r in sample]))
+    # ``train_texts`` keys, then one row for each of them: rows of one key are copies.
+    order = ["key", "doc_id", "pattern"]
+    chosen = voted.select(*order).distinct().orderBy(*order).limit(train_texts)
+    sample = sorted(voted.join(F.broadcast(chosen), order, "left_semi").groupBy(*order).agg(F.first("slots").alias("slots"), F.first("weights").alias("weights")).collect())
+    x = np.zeros((len(sample), DIM), np.float32)
+    for row, r in zip(x, sample, strict=True):
+        row[np.frombuffer(r["slots"], "<u2")] = np.frombuffer(r["weights"], "<f4")
+    w = train(x, np.array([label[r["pattern"]] for r in sample], np.float32)).astype(np.float64)
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo = _Slots()
         for b in batches:
-            s, code = [], []
-            for t in as_bytes(b.column(1)):
-                read = _read(t)
-                s.append(round(float(1 / (1 + np.exp(-(features(*read, memo) @ w[:-1] + w[-1])))), 6))
-                code.append(votes(t, *read))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(code, pa.int32()), pa.array([label[c] for c in code], pa.float64()), pa.array(s, pa.float64())], ["doc_id", "pattern", "weak_label", "score"])
-
-    out = src.mapInArrow(score, "doc_id long, pattern int, weak_label double, score double")
+            code, held = b.column(1).to_pylist(), b.column(2).to_pylist()
+            n = np.fromiter((len(h) // 2 for h in held), np.int64, len(held))
+            part = np.frombuffer(b"".join(b.column(3).to_pylist()), "<f4") * w[np.frombuffer(b"".join(held), "<u2")]
+            sums = np.bincount(np.repeat(np.arange(len(n)), n), weights=part, minlength=len(n))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([label[c] for c in code], pa.float64()), pa.array(np.round(1 / (1 + np.exp(-(sums + w[-1]))), 6))], ["doc_id", "pattern", "weak_label", "score"])
+
+    out = voted.select("doc_id", "pattern", "slots", "weights").mapInArrow(score, "doc_id long, pattern int, weak_label double, score double")
     return out.select(shown("doc_id"), "pattern", "weak_label", "score", (F.col("score") >= 0.5).alias("kept"))
 
 

@@ -4,8 +4,12 @@ from __future__ import annotations
 
 import bisect
 import collections
+import functools
 import hashlib
+import math
 import random
+import re
+import statistics
 import zlib
 
 import numpy as np
@@ -46,12 +50,10 @@ def data(docs) -> list[tuple[int, bytes]]:
 
 
 def same(got, want: list[tuple]) -> None:
-    assert sorted(map(tuple, got)) == sorted(want)
+    assert sorted(map(tuple, got), key=repr) == sorted(want, key=repr)
 
 
 def test_exact_dedup(docs):
-    import re
-
     d = [(i, re.sub(rb"[\x20\x09-\x0D]+", b" ", t)) for i, t in data(docs)]
     groups = collections.defaultdict(list)
     for i, t in d:
@@ -67,9 +69,41 @@ def test_digest_index():
     assert index.lookup(b"a") == 0 and index.lookup(b"nope") is None and index.lookup(b"d") == 6
     run = index.compact()
     assert len(run.keep) == 5 and sorted(run.count) == [1, 1, 1, 2, 2] and index.lookup(b"b") == 1
+    assert sorted(run.tables) == [1, 1, 1, 2, 2] and not index.clashes and len(index.log) == 7
+
+
+def test_exact_dedup_over_many_runs(spark, monkeypatch):
+    """Small memtables: digests meet in memtables, in compactions of one task, and between tasks; rows tie in doc_id."""
+    monkeypatch.setattr(exact_dedup, "MEMTABLE_ROWS", 3)
+    monkeypatch.setattr(exact_dedup, "DigestIndex", functools.partial(exact_dedup.DigestIndex, memtable_rows=3))
+    r = random.Random(1)
+    rows = [(r.choice([None, *range(40)]), r.choice(["x", "y  z", "y\tz", f"t{r.randrange(30)}", None, ""]), k) for k in range(200)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, nr long").repartition(3)
+    norm = lambda t: re.sub("[\x20\x09-\x0D]+", " ", t or "")
+    groups = collections.defaultdict(list)
+    for i, t, k in rows:
+        groups[norm(t)].append((-1 if i is None else i, k))
+    got = {x["row"]: x for x in exact_dedup.exact_dedup(d, row_col="nr").collect()}
+    assert len(got) == 200
+    for i, t, k in rows:
+        first, x = min(groups[norm(t)]), got[k]
+        assert (x["keep_id"] if x["keep_id"] is not None else -1, x["group_size"], x["kept"], x["doc_id"]) == (first[0], len(groups[norm(t)]), first[1] == k, i)
+
+
+def test_exact_dedup_when_digests_clash(spark, monkeypatch):
+    """With a digest that tells no texts apart, bytes decide."""
+
+    real = hashlib.sha256
+    weak = lambda text: real(b"" if text in (b"a", b"b") else text)
+    index = exact_dedup.DigestIndex()
+    monkeypatch.setattr(exact_dedup.hashlib, "sha256", weak)
+    for k, t in enumerate([b"a", b"b", b"c", b"c"]):
+        index.add(k, t)
+    monkeypatch.undo()
+    assert index.clashes == {hashlib.sha256(b"").digest()}
 
 
-def test_sharding(docs):
+def test_sharding(docs, spark):
     rows = sharding.external_shuffle(docs, bucket_rows=5).collect()
     d = data(docs)
     same([(r["doc_id"], r["size"], r["text_crc32"]) for r in rows], [(i, len(t) + 1, zlib.crc32(t)) for i, t in d])
@@ -79,8 +113,42 @@ def test_sharding(docs):
     sizes = [len(v) for v in slots.values()]
     assert len(slots) == 16 and max(sizes) - min(sizes) <= 1
     assert all(sorted(v) == list(range(len(v))) for v in slots.values())
-    plan = sharding.external_shuffle(docs)._jdf.queryExecution().executedPlan().toString()
-    assert "Python" not in plan and "Pandas" not in plan and "Arrow" not in plan
+    held = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "7")
+    try:
+        other = sharding.external_shuffle(docs.repartition(5), bucket_rows=5).collect()
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", held)
+    same(other, list(map(tuple, rows)))
+
+
+def test_sharding_stays_native(docs, monkeypatch):
+    """Plans in front of and behind each staged table."""
+    plans, stage = [], sharding.stage
+    monkeypatch.setattr(sharding, "stage", lambda df: (plans.append(df), stage(df))[1])
+    plans.append(sharding.external_shuffle(docs))
+    assert len(plans) == 3
+    for df in plans:
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert not any(x in plan for x in ("Python", "Pandas", "Arrow"))
+
+
+def test_sharding_splits_a_repeated_record(spark, monkeypatch):
+    monkeypatch.setattr(sharding, "COPIES", 16)
+    d = spark.createDataFrame([(1, "same")] * 1000 + [(None, None)] * 33 + [(k, "x") for k in range(100, 150)], "doc_id long, text string")
+    rows = sharding.external_shuffle(d, bucket_rows=64).collect()
+    assert len(rows) == 1083 and len({(r["shard"], r["slot"]) for r in rows}) == 1083
+    ones = [r["slot"] for r in rows if r["doc_id"] == 1]
+    assert len(ones) == 1000 and max(collections.Counter(s // 8 for s in ones).values()) <= 128
+    assert sharding.bucket_count(10**11) == sharding.MAX_BUCKETS and sharding.bucket_count(0) == 1
+
+
+def test_write_shards(docs, tmp_path):
+    d = docs.withColumnRenamed("bucket", "text_crc32_")
+    sharding.write_shards(d, f"file://{tmp_path}/out", n_shards=4)
+    back = docs.sparkSession.read.parquet(f"file://{tmp_path}/out")
+    same(back.select("doc_id", "text", "text_crc32_").collect(), [tuple(x) for x in d.select("doc_id", "text", "text_crc32_").collect()])
+    assert back.select("shard").distinct().count() == 4
 
 
 def test_fingerprints_and_components(docs):
@@ -189,7 +257,7 @@ def test_chunks_without_anchors(spark, texts):
     d = spark.createDataFrame(rows, "doc_id long, text string").repartition(len(rows))
     same(suffix_dedup.suffix_dedup(d).collect(), byte_spans(data(d)))
     same(substring_dedup.substring_dedup(d).collect(), word_spans(data(d)))
-    assert {r["doc_id"] for r in suffix_dedup.suffix_dedup_texts(d).collect()} == {k for k, _ in rows}
+    assert {r["doc_id"] for r in suffix_dedup.suffix_dedup_texts(d, "doc_id").collect()} == {k for k, _ in rows}
 
 
 def test_rows_that_share_an_id_lose_the_same_bytes(spark):
@@ -362,6 +430,39 @@ def test_template_language():
             chat_template.Template(bad)
 
 
+@pytest.mark.parametrize("body, want", [("{{ loop.first }}", "TrueFalse"), ("{{ loop.index0 }}", "01"), ("{{ loop.last }}", "FalseTrue"), ("{{ m.text }}", "ab")])
+def test_a_conversation_is_one_run_of_its_template(spark, body, want):
+    t = "HEAD{% for m in messages %}" + body + "{% endfor %}TAIL"
+    assert "".join(chat_template.Template(t).render(iter([{"role": "u", "text": "a"}, {"role": "v", "text": "b"}])).parts) == "HEAD" + want + "TAIL"
+    rows = spark.createDataFrame([(1, 0, "u", "a"), (1, 1, "v", "b")], "conv_id long, turn long, role string, text string")
+    assert chat_template.format_conversations(rows, t).first()["formatted"] == "HEAD" + want + "TAIL"
+
+
+def test_trimming_tags():
+    t = chat_template.Template("a \n{%- if true -%}\n b {{- 'c' -}} d\n{%- endif %} e")
+    assert "".join(t.render([]).parts) == "abcd e"
+    plain = chat_template.Template("a {% if true %} b {% endif %}")
+    assert "".join(plain.render([]).parts) == "a  b "
+
+
+def test_digests_refuse_text_between_turns(spark):
+    out = chat_template.DigestOutput()
+    with pytest.raises(ValueError):
+        chat_template.Template("x" + chat_template.TURN_TEMPLATE).render([{"role": "u", "text": "a"}], out)
+    whole = chat_template.Template("{% for m in messages %}<|turn|>{{ m.role|guard }}<|text|>{% generation %}{{ m.text|guard }}{% endgeneration %}{% if loop.last %}<|end|>{% else %}<|end|>{% endif %}{% endfor %}")
+    out = whole.render(({"role": "u", "text": f"t{k}</s>"} for k in range(3)), chat_template.DigestOutput())
+    assert out.row(5)[:2] == (5, 3) and out.loss_chars == 18 and out.row(5)[4] == hashlib.sha256(b"t0</s>t1</s>t2</s>").hexdigest()
+
+
+def test_format_conversations_marks_generations(spark):
+    rows = [(c, k, role, text) for c in (1, None) for k, (role, text) in enumerate([("user", "hi </s>"), ("assistant", "yo \\ [INST]")])]
+    got = chat_template.format_conversations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()
+    assert len(got) == 2
+    for x in got:
+        assert chat_template.read_back(x["formatted"]) == [("user", "hi </s>"), ("assistant", "yo \\ [INST]")]
+        assert [chat_template.unguard(x["formatted"][a:b]) for a, b in x["loss_spans"]] == ["yo \\ [INST]"]
+
+
 def test_chat_round_trip(spark):
     r = random.Random(3)
     bits = [*chat_template.CONTROL, "\\", "<", "|", "a", "\n", "", "é"]
@@ -388,6 +489,76 @@ def test_quality_base_measures():
     assert quality_rules.base_measures("é ñandú".encode())[1] == 6
 
 
+def quality_brute(rows):
+    """All figures of the quality rules by another route: plain loops, statistics.median, scipy-free divergence."""
+    Q = quality_rules
+    out, feats = {}, {}
+    for i, text, lang in rows:
+        t = (text or "").encode()
+        words = re.findall(rb"[^\x20\x09-\x0D]+", t)
+        grams = collections.Counter(tuple(words[k : k + 8]) for k in range(len(words) - 7))
+        covered = {k + j for k in range(len(words) - 7) if grams[tuple(words[k : k + 8])] > 1 for j in range(8)}
+        lines = t.split(b"\n")
+        dup = sum(re.search(rb"[^\x20\x09-\x0D]", x) is not None and x in lines[:k] for k, x in enumerate(lines))
+        base = (len(words), sum(len(w.decode()) for w in words), sum(c in "#*$%&|<>" for c in text or ""), dup, len(covered))
+        failed = base[0] < 20 or 100 * base[4] > 30 * base[0]
+        kinds = [0] * len(Q.CLASSES)
+        for c in text or "":
+            name = "beyond_ascii" if ord(c) > 127 else "lower" if c.islower() else "upper" if c.isupper() else "digit" if c.isdigit() else "space" if c in " \t\n\r\v\f" else "stop" if c in ".,;:!?'\"()-" else "symbol" if c in "#*$%&|<>@^~=+_{}[]\\/`" else "other_ascii"
+            kinds[Q.CLASSES.index(name)] += 1
+        hist = {}
+        for x, common in Q.COMMON_WORDS.items():
+            h = [0] * Q.N_WORD_BINS
+            for w in words:
+                w = w.decode()
+                plain = w if w in common else w.strip(".,;:!?'\"()-").lower()
+                h[common.index(plain) if plain in common else -1] += 1
+            hist[x] = h
+        share = lambda h: [c * 1000 // sum(h) if sum(h) else 0 for c in h]
+        feats[i] = (lang if lang in hist else None, sum(kinds), base[0], failed, share(kinds), {x: share(h) for x, h in hist.items()})
+        out[i] = base, failed
+    refs = {}
+    for x in Q.COMMON_WORDS:
+        fit = [f for f in feats.values() if f[0] == x and not f[3] and f[1] >= Q.MIN_CHARS and f[2] >= Q.MIN_WORDS]
+        if fit:
+            refs[x] = [[int(statistics.median(f[4][k] for f in fit)) for k in range(len(Q.CLASSES))], [int(statistics.median(f[5][x][k] for f in fit)) for k in range(Q.N_WORD_BINS)]]
+
+    def distance(p, q):
+        p, q = ([v / max(1, sum(x)) for v in x] for x in (p, q))
+        kl = lambda a, b: sum(x * math.log2(x / ((x + y) / 2)) for x, y in zip(a, b, strict=True) if x > 0)
+        return round(math.sqrt(max(0, 0.5 * (kl(p, q) + kl(q, p)))), 6)
+
+    for i, (lang, chars, words, failed, kinds, hist) in feats.items():
+        use = [lang] if lang in refs else list(refs)
+        c = min((distance(kinds, refs[x][0]) for x in use), default=None)
+        w = min((distance(hist[x], refs[x][1]) for x in use), default=None)
+        if lang is not None and lang not in refs:
+            w = None
+        spread = lambda name: quality_rules.MAX_DISTANCE[name][0] + quality_rules.MAX_DISTANCE[name][1] / math.sqrt(chars)
+        far = False
+        if not failed and c is not None:
+            far = chars >= Q.MIN_CHARS and c > spread("class_distance")
+            if w is not None and words >= Q.MIN_WORDS:
+                far = far or w > spread("word_distance") or c + w > spread("class_distance + word_distance")
+        out[i] = (*out[i][0], failed, not failed and not far, c, w)
+    return out
+
+
+def test_quality_rules_equal_brute_force(spark, sf):
+    """Base figures, references, distances and verdicts on whole tables: the given one, and one with nulls and extremes."""
+    given = [(r["doc_id"], r["text"], r["lang"]) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
+    odd = [(k, t, lang) for k, (t, lang) in enumerate([(None, "en"), ("", None), (" \n\n", "xx"), ("a\nb\na\n\n\n", "en"), ("the of and " * 30, "en"), ("é ñ " * 80, None), ("x" * 70_000, "de"), ("\x00\x1f ctrl " * 60, "fr")])]
+    for rows in (given, odd, given[:40] + [(10**6 + i, t, x) for i, t, x in odd]):
+        want, got = quality_brute(rows), quality_rules.quality_rules(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()
+        assert len(got) == len(want)
+        for x in got:
+            w = want[x["doc_id"]]
+            figures = (x["n_words"], x["word_chars"], x["n_symbols"], x["n_dup_lines"], x["n_repeat_words"], x["base_failed"], x["kept"])
+            assert figures == w[:7], x
+            for mine, other in ((x["class_distance"], w[7]), (x["word_distance"], w[8])):
+                assert (mine is None) == (other is None) and (mine is None or abs(mine - other) < 2e-6), x
+
+
 def test_quality_rules_keep_prose_and_drop_junk(spark):
     r = random.Random(6)
     common = quality_rules.COMMON_WORDS["en"]
@@ -409,6 +580,30 @@ def test_weak_labels(spark, sf):
     assert p[0] > 0.9 > 0.5 > p[1]
 
 
+def test_weak_labels_do_not_depend_on_how_rows_are_dealt(spark):
+    r = random.Random(11)
+    words = ["the", "of", "and", "in", "###", "|", *(f"w{k}" for k in range(50))]
+    rows = [(None if k % 2 else k, " ".join(r.choice(words) for _ in range(r.randrange(0, 60)))) for k in range(300)] + [(None, "copy")] * 40 + [(None, None), (5, "")]
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    a, b = (weak_label_classifier.quality_classifier(d.repartition(n), 100).collect() for n in (3, 11))
+    same(a, list(map(tuple, b)))
+    assert len(a) == len(rows)
+
+
+def test_label_model_finds_planted_accuracies():
+    """Votes drawn with known accuracies: fitted accuracies come close, and posteriors beat the best single labeller."""
+    r = np.random.default_rng(5)
+    accuracy, n = np.array([0.9, 0.8, 0.75, 0.7, 0.85]), 20_000
+    truth = r.random(n) < 0.6
+    votes = np.where(r.random((n, 5)) < accuracy, truth[:, None], ~truth[:, None]).astype(int) + 1
+    votes[r.random((n, 5)) < 0.3] = weak_label_classifier.NONE
+    patterns, of, counts = np.unique(votes, axis=0, return_inverse=True, return_counts=True)
+    model = weak_label_classifier.LabelModel().fit(patterns, counts.astype(float))
+    assert np.abs(model.accuracy - accuracy).max() < 0.03 and abs(model.prior - 0.6) < 0.03
+    got = (model.posterior(patterns) > 0.5)[of.ravel()] == truth
+    assert got.mean() > 0.9
+
+
 @pytest.mark.parametrize("words", [40, 400])
 def test_near_duplicates_follow_exact_similarity(spark, words):
     """Pairs a little below and above 0.8; groups are by exact Jaccard similarity of five-word shingles."""
@@ -439,6 +634,12 @@ def test_near_dedup(spark):
     rows += [(500, None), (501, ""), (502, "one two")]
     kept = {x["doc_id"] for x in near_dedup.near_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert kept == {10 * k for k in range(12)} | {500, 501, 502}
+    # rows without a doc_id, rows that share one, and columns that clash with names used inside
+    more = [(*x, 1, 2, 3) for x in rows[:6]] + [(None, rows[0][1], 1, 2, 3), (None, " ".join(base[1]) + " end", 1, 2, 3), (500, None, 4, 5, 6), (500, None, 4, 5, 6)]
+    names = "doc_id long, text string, node int, gone int, row_number int"
+    got = near_dedup.near_dedup(spark.createDataFrame(more, names))
+    assert got.columns == ["doc_id", "text", "node", "gone", "row_number"]
+    assert sorted((x["doc_id"] is None, x["doc_id"] or 0) for x in got.collect()) == [(False, 500), (False, 500), (True, 0), (True, 0)]
 
 
 @pytest.mark.parametrize("block", [512, 8])
