@@ -1,7 +1,9 @@
 """The corpus pipeline: quality rules, exact dedup, near dedup, suffix-array dedup, best-fit packing.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the last keep the columns of documents. Rows
-are told apart by doc_id.
+are numbered anew in each stage and told apart by that number alone, so rows without a doc_id, rows that share one,
+and columns of any name are rows and columns like others. A null text counts as empty: the quality rules reject it.
+Very long texts are worked on whole or in overlapping pieces, as the operators say; empty tables stay empty.
 """
 
 from __future__ import annotations
@@ -9,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from boundspark.llm.common import stage, table
+from boundspark.llm.common import fresh, numbered, stage, table, without
 from boundspark.llm.exact_dedup import exact_dedup
 from boundspark.llm.near_dedup import near_dedup
 from boundspark.llm.packing import pack
@@ -17,33 +19,35 @@ from boundspark.llm.quality_rules import quality_rules
 from boundspark.llm.suffix_dedup import suffix_dedup_texts
 
 
-def _keep(docs: DataFrame, verdict: DataFrame) -> DataFrame:
-    """Rows of ``docs`` that the verdict does not reject."""
-    gone = verdict.where("NOT kept").select(F.col("doc_id").alias("_gone")).hint("merge")
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
-
-
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _keep(docs, quality_rules(docs))
+    """Rows that the quality rules keep."""
+    held, row = numbered(docs)
+    return without(held, row, quality_rules(held, id_col=row).where("NOT kept").select("doc_id"))
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _keep(docs, exact_dedup(docs))
+    """Of rows with equal texts the one with the smallest doc_id; of those that tie in it, one."""
+    held, row = numbered(docs)
+    return without(held, row, exact_dedup(held, row_col=row).where("NOT kept").select("row"))
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each group of near-duplicates."""
     return near_dedup(docs)
 
 
 def substrings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts lose the bytes that an earlier document has; n_chars follows; every row stays."""
-    left = suffix_dedup_texts(docs).withColumnRenamed("doc_id", "_id").withColumnRenamed("text", "_text")
-    rest = docs.drop("text", "n_chars").join(left.hint("merge"), F.col("doc_id").eqNullSafe(F.when(F.col("_id") != -(1 << 63), F.col("_id"))))
-    values = {"text": F.col("_text"), "n_chars": F.length("_text").cast("long")}
-    return rest.select(*(values[c].alias(c) if c in values else F.col(c) for c in docs.columns))
+    held, row = numbered(docs)
+    left = suffix_dedup_texts(held.select(row, "doc_id", "text"), row)
+    number, text = (fresh(held, name) for name in ("number", "text_left"))
+    both = held.join(left.toDF(number, text).hint("merge"), F.col(row) == F.col(number))
+    values = {"text": F.col(text), "n_chars": F.length(text).cast("long")}
+    return both.select(*(values[c].alias(c) if c in values else F.col(c) for c in docs.columns))
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of all texts and their places in sequences."""
     return pack(docs)
 
 
