@@ -41,9 +41,18 @@ def fresh(docs: DataFrame, name: str) -> str:
 
 
 def numbered(docs: DataFrame) -> tuple[DataFrame, str]:
-    """``docs``, staged with a number for each row, and the number's column: rows may share a doc_id or have none."""
-    row = fresh(docs, "row_number")
-    return stage(docs.withColumn(row, F.monotonically_increasing_id())), row
+    """``docs`` with a number for each row, and the number's column: rows may share a doc_id or have none.
+
+    Rows read from files are numbered by file and place in the file, which no other way of dealing them to tasks
+    changes; any others are staged first.
+    """
+    if docs._jdf.queryExecution().analyzed().nodeName() != "LogicalRelation" or not docs.inputFiles():
+        docs = stage(docs)
+    row, path, at = (fresh(docs, name) for name in ("row_number", "file_path", "row_index"))
+    located = docs.select("*", F.col("_metadata.file_path").alias(path), F.col("_metadata.row_index").alias(at))
+    paths = sorted(r[0] for r in located.select(path).distinct().collect())  # as many as the driver has listed
+    files = F.broadcast(docs.sparkSession.createDataFrame([(p, k) for k, p in enumerate(paths)], f"{path} string, {row} long"))
+    return located.join(files, path).select(*docs.columns, (F.shiftleft(row, 38) + F.col(at)).alias(row)), row
 
 
 def without(held: DataFrame, row: str, gone: DataFrame) -> DataFrame:

@@ -84,9 +84,11 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, e
     return source(docs).mapInArrow(run, PIECES_DDL)
 
 
+#: Ranges are swept by no more tasks than give each so many rows.
+TASK_ROWS = 100_000
 #: Rows of a superstep. what: placed (document ``id`` in sequence ``seq``, the nth there in this step), document (left
 #: over, the nth of its range), gap (of sequence ``id``; waits for ``want`` documents after ``nth`` others of its
-#: range), range (how many wait, stand over and were placed; tokens left over, tokens of gaps, largest left over).
+#: range), range (how many wait, stand over and were placed; tokens left over, tokens of gaps, largest left over, gaps).
 SWEPT = pa.schema([("what", pa.string()), ("part", pa.int32()), ("id", pa.int64()), ("size", pa.int64()), ("seq", pa.int64()), ("nth", pa.int64()), ("want", pa.int64()), ("totals", pa.list_(pa.int64()))])
 SWEPT_DDL = "what string, part int, id long, size long, seq long, nth long, want long, totals array<long>"
 
@@ -119,29 +121,41 @@ def _rows(what: str, part: int, n: int, **cols) -> pa.RecordBatch:
 
 def _sweep_ranges(largest: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = pa.Table.from_batches(list(batches))
-        if not table.num_rows:
-            return
-        placed, over, gaps = sweep(*(table.column(c).to_pylist() for c in ("size", "gap", "id")), largest)
-        del table
-        part = TaskContext.get().partitionId()
-        waiting = np.cumsum([0, *(w for _, _, w in gaps)])
-        totals = [int(waiting[-1]), len(over), len(placed), sum(n for _, n in over), sum(n for _, n, _ in gaps), max((n for _, n in over), default=0)]
-        yield _rows("range", part, 1, totals=[totals])
-        for a in range(0, len(placed), 50_000):
-            i, n, seq, nth = zip(*placed[a : a + 50_000], strict=True)
-            yield _rows("placed", part, len(i), id=i, size=n, seq=seq, nth=nth)
-        for a in range(0, len(over), 50_000):
-            i, n = zip(*over[a : a + 50_000], strict=True)
-            yield _rows("document", part, len(i), id=i, size=n, nth=range(a, a + len(i)))
-        for a in range(0, len(gaps), 50_000):
-            i, n, want = zip(*gaps[a : a + 50_000], strict=True)
-            yield _rows("gap", part, len(i), id=i, size=n, nth=waiting[a : a + len(i)], want=want)
+        held: list[pa.RecordBatch] = []
+        for batch in batches:  # one range after another
+            at = 0
+            part = batch.column("part").to_numpy()
+            for end in [*(np.flatnonzero(part[1:] != part[:-1]) + 1).tolist(), len(part)]:
+                if held and held[0].column("part")[0].as_py() != part[at]:
+                    yield from _one_range(held, largest)
+                    held = []
+                if end > at:
+                    held.append(batch.slice(at, end - at))
+                at = end
+        if held:
+            yield from _one_range(held, largest)
 
     return run
 
 
-def heights(ranges: list[tuple[int, int, int]]) -> tuple[list[tuple[int, int, int]], int, int]:
+def _one_range(held: list[pa.RecordBatch], largest: int) -> Iterator[pa.RecordBatch]:
+    table, part = pa.Table.from_batches(held), held[0].column("part")[0].as_py()
+    placed, over, gaps = sweep(*(table.column(c).to_pylist() for c in ("size", "gap", "id")), largest)
+    waiting = np.cumsum([0, *(w for _, _, w in gaps)])
+    totals = [int(waiting[-1]), len(over), len(placed), sum(n for _, n in over), sum(n for _, n, _ in gaps), max((n for _, n in over), default=0), len(gaps)]
+    yield _rows("range", part, 1, totals=[totals])
+    for a in range(0, len(placed), 50_000):
+        i, n, seq, nth = zip(*placed[a : a + 50_000], strict=True)
+        yield _rows("placed", part, len(i), id=i, size=n, seq=seq, nth=nth)
+    for a in range(0, len(over), 50_000):
+        i, n = zip(*over[a : a + 50_000], strict=True)
+        yield _rows("document", part, len(i), id=i, size=n, nth=range(a, a + len(i)))
+    for a in range(0, len(gaps), 50_000):
+        i, n, want = zip(*gaps[a : a + 50_000], strict=True)
+        yield _rows("gap", part, len(i), id=i, size=n, nth=waiting[a : a + len(i)], want=want)
+
+
+def heights(ranges: list[tuple]) -> tuple[list[tuple], int, int]:
     """For each range (part, height its gaps draw from, height its documents stand on), given (part, waiting, over) in
     order; then the height of the stack at the end, and how many gaps drew."""
     out, height, drawn = [], 0, 0
@@ -159,10 +173,12 @@ def supersteps(work: DataFrame, capacity: int) -> DataFrame:
     opened = work.where(large).select("uid", "length", F.col("uid").alias("sequence_id"), F.lit(-1).alias("step"), F.lit(0).cast("long").alias("nth"))
     state = work.select(F.col("uid").alias("id"), F.when(large, capacity - F.col("length")).otherwise(F.col("length")).alias("size"), large.alias("gap")).where("size > 0")
     done, step = [opened], 0
-    largest = state.where("NOT gap").agg(F.max("size").alias("m")).first()["m"]
+    largest, rows_now = state.agg(F.max(F.when(~F.col("gap"), F.col("size"))), F.count(F.lit(1))).first()
     while largest:
+        tasks = max(1, rows_now // TASK_ROWS)
         # By range, documents before gaps of their size. What the ranges return is staged, so their numbers stay theirs.
-        swept = stage(state.repartitionByRange("size", "gap", "id").sortWithinPartitions("size", "gap", "id").mapInArrow(_sweep_ranges(largest), SWEPT_DDL))
+        ranged = state.repartitionByRange("size", "gap", "id").sortWithinPartitions("size", "gap", "id").select("*", F.spark_partition_id().alias("part"))
+        swept = stage(ranged.coalesce(tasks).mapInArrow(_sweep_ranges(largest), SWEPT_DDL))
         ranges = sorted((r["part"], *r["totals"]) for r in swept.where("what = 'range'").select("part", "totals").collect())
         placed, left, room = (sum(r[k] for r in ranges) for k in (3, 4, 5))
         level, height, drawn = heights([r[:3] for r in ranges])
@@ -178,7 +194,7 @@ def supersteps(work: DataFrame, capacity: int) -> DataFrame:
             rows = rows.union(draw.select("height", "part", F.lit(False), "id", "size", F.col("top") - F.col("height")))
             # At one height documents and gaps take turns; what a gap draws is the row before it, what stays is the last.
             w = W.Window.partitionBy("height").orderBy("part", "document")
-            met = stage(rows.select("*", F.lag(F.struct("id", "size", "document")).over(w).alias("below"), F.lead("document").over(w).alias("above")))
+            met = stage(rows.select("*", F.lag(F.struct("id", "size", "document")).over(w).alias("below"), F.lead("document").over(w).alias("above")).coalesce(tasks))
             took = met.where("NOT document AND below.document").select(F.col("below.id").alias("uid"), F.col("below.size").alias("length"), F.col("id").alias("sequence_id"), F.lit(step).alias("step"), "nth")
             stack = met.where("document AND above IS NULL").select("id", "size", "part", "height")
             done.append(took)
@@ -193,7 +209,7 @@ def supersteps(work: DataFrame, capacity: int) -> DataFrame:
         if height == min(more, height):
             break
         state = stage(stays.select("id", "size", F.lit(False).alias("gap")).union(gaps.where("size > 0").select("id", "size", F.lit(True))))
-        largest, step = max(r[6] for r in ranges), step + 1
+        largest, rows_now, step = max(r[6] for r in ranges), sum(r[2] + r[7] for r in ranges), step + 1
     out = done[0]
     for d in done[1:]:
         out = out.union(d)

@@ -182,20 +182,21 @@ def links(distinct: DataFrame, radius: int = 2) -> DataFrame:
     return grouped.groupBy("part").applyInPandas(_route_links(radius), "a long, b long")
 
 
-SALTS = 64
+#: Edges among which one task may meet all neighbours of a node; among more, they meet in SALTS places.
+ONE_PLACE, SALTS = 1_000_000, 64
 
 
-def _with_least(edges: DataFrame, itself: bool) -> DataFrame:
+def _with_least(edges: DataFrame, itself: bool, spread: bool) -> DataFrame:
     """(a, b, m): each edge with the smallest neighbour of a, or a ``itself`` where that is smaller.
 
-    A node may have very many neighbours: they meet in SALTS places, which alone meet in one.
+    A node may have very many neighbours: where ``spread`` they meet in SALTS places, which alone meet in one.
     """
+    least = lambda e: e.groupBy("a").agg(F.min("m").alias("m")).select("a", (F.least("a", "m") if itself else F.col("m")).alias("m"))
+    if not spread:
+        return edges.join(least(edges.withColumnRenamed("b", "m")).hint("merge"), "a")
     e = edges.withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(SALTS)))
     part = e.groupBy("a", "salt").agg(F.min("b").alias("m"))
-    least = part.groupBy("a").agg(F.min("m").alias("m"))
-    if itself:
-        least = least.select("a", F.least("a", "m").alias("m"))
-    return e.join(part.select("a", "salt").join(least.hint("merge"), "a").hint("merge"), ["a", "salt"]).select("a", "b", "m")
+    return e.join(part.select("a", "salt").join(least(part).hint("merge"), "a").hint("merge"), ["a", "salt"]).select("a", "b", "m")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -203,11 +204,12 @@ def components(edges: DataFrame) -> DataFrame:
     both = lambda e: e.union(e.select("b", "a"))
     e = stage(edges.where("a <> b").distinct())
     while True:
+        spread = e.count() > ONE_PLACE
         # large star: every larger neighbour of a node is tied to the node's smallest neighbour
-        large = _with_least(both(e), True).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        large = _with_least(both(e), True, spread).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         # small star: a node and its smaller neighbours are tied to the smallest of them
         down = large.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-        small = _with_least(down, False).select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        small = _with_least(down, False, spread).select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         nxt = stage(small)
         # done when every node has one tie and ties end in roots; a node tied to two roots still has to join them
         tops = nxt.select(F.col("b").alias("a")).distinct()

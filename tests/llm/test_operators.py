@@ -180,7 +180,9 @@ def test_gray_index_finds_every_link(radius):
     assert got == {(i, j) for i in range(len(x)) for j in range(i + 1, len(x)) if int(x[i] ^ x[j]).bit_count() <= radius}
 
 
-def test_components_of_a_long_chain(spark):
+@pytest.mark.parametrize("one_place", [10**6, 0])
+def test_components_of_a_long_chain(spark, one_place, monkeypatch):
+    monkeypatch.setattr(simhash, "ONE_PLACE", one_place)
     edges = spark.createDataFrame([(k, k + 1) for k in range(40)] + [(100, 101), (7, 7)], "a long, b long")
     assert {(r["node"], r["root"]) for r in simhash.components(edges).collect()} == {(k, 0) for k in range(1, 41)} | {(101, 100)}
 
