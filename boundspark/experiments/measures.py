@@ -127,18 +127,18 @@ QUERIES |= {
 
 
 def closed_loop_recursive(spark, d):
-    """Orders' first 80 ticks by the lattice; the oracle runs the loop tick by tick."""
-    s = S.orders_count_daily(spark, d).where("t < 80")
+    """Daily orders by the lattice; the oracle runs the loop tick by tick."""
+    s = S.orders_count_daily(spark, d)
     enc = P.encode(P.with_tolerance(s, P.by_sigma(s, (0.2,))), order=2)
     return enc.select("t", "k", plain6("xhat"))
 
 
-_LOOP_SQL = f"""WITH RECURSIVE {_tol_sql('orders_count_daily', (0.2,)).replace(S.SQL['orders_count_daily'], 'SELECT * FROM (' + S.SQL['orders_count_daily'] + ') WHERE t < 80')},
+_LOOP_SQL = f"""WITH RECURSIVE {_tol_sql('orders_count_daily', (0.2,))},
     z AS (SELECT t, x, step FROM s, tol),
     l AS (SELECT t, x, step, x::double AS h1, x::double AS h2, 0::bigint AS k FROM z WHERE t = 0
       UNION ALL SELECT z.t, z.x, z.step, p + floor((z.x - p) / z.step + 0.5) * z.step, h1, floor((z.x - p) / z.step + 0.5)::bigint
       FROM (SELECT l.t AS lt, h1, CASE WHEN l.t = 0 THEN h1 ELSE 2 * h1 - h2 END AS p FROM l) y JOIN z ON z.t = y.lt + 1)
-    SELECT t, (CASE WHEN t = 1 THEN k ELSE k END)::bigint AS k, CASE WHEN round(h1, 6) = 0 THEN 0.0::double ELSE round(h1, 6) END AS xhat FROM l"""
+    SELECT t, k::bigint AS k, CASE WHEN round(h1, 6) = 0 THEN 0.0::double ELSE round(h1, 6) END AS xhat FROM l"""
 
 
 def _multilevel(kind: str) -> Query:
@@ -152,7 +152,7 @@ def _multilevel(kind: str) -> Query:
 
 def _multilevel_sql(kind: str, size: int = 64) -> str:
     """Unrolled: each stride is a CTE that fills its targets by joins on the block's known ticks."""
-    parts = [f"WITH {_tol_sql()}", f"a AS (SELECT s.series_id, rho, step, t // {size} AS b, t % {size} AS i, x FROM s JOIN tol USING (series_id) QUALIFY count(*) OVER (PARTITION BY s.series_id, rho, t // {size}) = {size})", "h0 AS (SELECT series_id, rho, b, i, 0::bigint AS k, x::double AS h FROM a WHERE i = 0)"]
+    parts = [f"WITH {_tol_sql()}", f"a AS (SELECT s.series_id, rho, step, t // {size} AS b, t % {size} AS i, x FROM s JOIN tol USING (series_id))", "h0 AS (SELECT series_id, rho, b, i, 0::bigint AS k, x::double AS h FROM a WHERE i = 0)"]
     level, stride = 0, size // 2
     while stride >= 1:
         on = lambda z, o: f"LEFT JOIN h{level} {z} ON {z}.series_id = a.series_id AND {z}.rho = a.rho AND {z}.b = a.b AND {z}.i = a.i + ({o})"
@@ -293,7 +293,7 @@ def length_curve(spark, d):
     # Published body and seed rates by context, as context, body bits, seed bits.
     rates = spark.createDataFrame([(64, 2.183, 6.367), (128, 2.071, 4.582), (256, 2.017, 3.611), (512, 1.959, 3.214), (1024, 1.956, 2.980)], "c long, body double, seed double")
     r = rates.withColumn("n", F.explode(F.array(*(F.lit(n).cast("long") for n in (4300, 8760, 17520, 43800)))))
-    rate = (F.col("body") * (F.col("n") - F.col("c")) + F.col("seed") * F.col("c") + 86) / F.col("n")
+    rate = (F.col("body") * (F.col("n") - F.col("c")) + F.col("seed") * F.col("c") + 8 * 86) / F.col("n")
     out = r.withColumn("rate", rate)
     best = F.min_by("c", F.struct("rate", "c")).over(W.Window.partitionBy("n"))
     return out.select("n", "c", R6("rate").alias("rate"), R6(100 * (1 - F.col("rate") / 2.244)).alias("gain"), R6(100 * (1 - F.col("body") / 2.244)).alias("limit_gain"), (F.col("c") == best).alias("best"))
@@ -307,7 +307,7 @@ def seed_share(spark, d):
     return n.select("n", R6(seed / total).alias("seed_share"), R6(body / total).alias("body_share"), R6(86 * 8 / total).alias("header_share"), R6(F.lit(500 * 8) / (F.lit(500 * 8) + body)).alias("container_500_share"))
 
 
-_RATE = "((body * (n - c) + seed * c + 86) / n)"
+_RATE = "((body * (n - c) + seed * c + 8 * 86) / n)"
 QUERIES |= {
     "length_curve": (length_curve, f"WITH r(c, body, seed) AS (VALUES (64::bigint, 2.183::double, 6.367::double), (128, 2.071, 4.582), (256, 2.017, 3.611), (512, 1.959, 3.214), (1024, 1.956, 2.980)), l(n) AS (VALUES (4300::bigint), (8760), (17520), (43800)), z AS (SELECT n, c, body, {_RATE} AS rate FROM r, l) SELECT n, c, round(rate, 6) AS rate, round(100 * (1 - rate / 2.244::double), 6) AS gain, round(100 * (1 - body / 2.244::double), 6) AS limit_gain, c = first_value(c) OVER (PARTITION BY n ORDER BY rate, c) AS best FROM z"),
     "seed_share": (seed_share, "WITH z AS (SELECT (2 ** i)::bigint AS n, 3.46::double * 512 AS seed, 1.906::double * ((2 ** i)::bigint - 512) AS body FROM range(9, 17) t(i)), y AS (SELECT *, seed + body + 86 * 8 AS total FROM z) SELECT n, round(seed / total, 6) AS seed_share, round(body / total, 6) AS body_share, round(86 * 8 / total, 6) AS header_share, round((500 * 8) / ((500 * 8) + body), 6) AS container_500_share FROM y"),

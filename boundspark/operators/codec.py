@@ -44,14 +44,21 @@ def arrays(series: DataFrame, chunk: int | None = None) -> DataFrame:
     return rows.select("series_id", "chunk_id", F.size("c").cast("long").alias("n"), F.col("c")[0]["x"].alias("x0"), ok.alias("xs"))
 
 
-def grouped(rows: DataFrame, g: int, buckets: int = 1) -> DataFrame:
-    """Adds group_id and lane: ranks of series among those of the same chunk, length and hash bucket of the dictionary.
+#: Hash buckets in which series of one chunk and length are ranked: no window holds more than a bucket's names.
+RANK_BUCKETS = 64
 
-    ``buckets`` bounds what one window sorts; series move between groups only if it changes, so it is an argument.
+
+def grouped(rows: DataFrame, g: int) -> DataFrame:
+    """Adds group_id and lane: ranks of series among those of the same chunk and length, by (hash bucket, name).
+
+    Ranks are made of names alone; arrays join them afterwards. A group is named by (chunk_id, n, group_id).
     """
-    w = W.Window.partitionBy("chunk_id", "n", "_bucket").orderBy("series_id")
-    ranked = rows.withColumn("_bucket", F.pmod(F.xxhash64("series_id"), F.lit(buckets))).withColumn("_r", F.row_number().over(w) - 1 + F.col("_bucket") * (1 << 32))
-    out = ranked.withColumn("group_id", F.expr(f"_r div {g}")).withColumn("lane", F.pmod("_r", F.lit(g))).drop("_r", "_bucket")
+    names = rows.select("series_id", "chunk_id", "n", F.pmod(F.xxhash64("series_id"), F.lit(RANK_BUCKETS)).alias("bucket"))
+    sizes = names.groupBy("chunk_id", "n", "bucket").agg(F.count(F.lit(1)).alias("size"))
+    before = sizes.withColumn("before", F.sum("size").over(W.Window.partitionBy("chunk_id", "n").orderBy("bucket")) - F.col("size")).drop("size")
+    nth = F.row_number().over(W.Window.partitionBy("chunk_id", "n", "bucket").orderBy("series_id")) - 1
+    ranked = names.withColumn("nth", nth).join(before, ["chunk_id", "n", "bucket"]).select("series_id", "chunk_id", (F.col("before") + F.col("nth")).alias("rank"))
+    out = rows.join(ranked, ["series_id", "chunk_id"]).withColumn("group_id", F.expr(f"rank div {g}")).withColumn("lane", F.pmod("rank", F.lit(g))).drop("rank")
     # Groups cost far more time than bytes: a stated number of partitions keeps them from being coalesced into one task.
     n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     return out.repartition(n, "chunk_id", "n", "group_id")
@@ -158,6 +165,13 @@ def decode_groups(containers: DataFrame, model: Forecaster) -> DataFrame:
     return containers.mapInPandas(run, "series_id string, rho double, chunk_id long, t long, xhat double, tau double, sha_ok boolean")
 
 
+def verified(decoded: DataFrame, series: DataFrame) -> DataFrame:
+    """For each series: samples, their sum and largest, whether all lie within the bound, whether all bytes came back."""
+    j = decoded.join(series, ["series_id", "t"])
+    worst = F.max(F.abs(F.col("xhat") - F.col("x")) - F.col("tau") * (1 + 1e-9))
+    return j.groupBy("series_id").agg(F.count(F.lit(1)).alias("n"), F.sum("x").alias("total"), F.max("x").alias("largest"), (worst <= 0).alias("bound_ok"), F.min("sha_ok").alias("roundtrip_ok"))
+
+
 def select_best(bytes_df: DataFrame, keys: tuple[str, ...]) -> DataFrame:
     """The row of least bytes for each key; equal bytes go to the smaller predictor name."""
     return bytes_df.groupBy(*keys).agg(F.min_by("predictor", F.struct("bytes", "predictor")).alias("predictor"), F.min("bytes").alias("bytes"), F.first("n").alias("n"))

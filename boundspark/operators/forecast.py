@@ -198,7 +198,10 @@ class Student:
         for _ in range(steps):
             h = np.tanh(x @ w1)
             d = (h @ w2 - y) / len(y)
-            w2, w1 = w2 - 0.5 * h.T @ d, w1 - 0.5 * x.T @ (np.outer(d, w2) * (1 - h * h))
+            g2, g1 = h.T @ d, x.T @ (np.outer(d, w2) * (1 - h * h))
+            # steps of bounded length: inputs may be many scales wide
+            rate = 0.5 / max(1.0, float(np.sqrt((g1**2).sum() + (g2**2).sum())))
+            w2, w1 = w2 - rate * g2, w1 - rate * g1
         return Student(lags, w1, w2)
 
     @staticmethod

@@ -116,26 +116,27 @@ def _level_values(pred, s: int):
 
 
 def multilevel_blocks(samples: DataFrame, kind: str = "linear", size: int = 64) -> DataFrame:
-    """(series_id, rho, t, k, xhat) by multilevel interpolation inside full blocks of ``size`` ticks.
+    """(series_id, rho, t, k, xhat) by multilevel interpolation inside blocks of ``size`` ticks; the last may be shorter.
 
     A block is one array row; levels are chained projections over the arrays, so no loop runs outside the plan.
     """
     rows = samples.withColumn("block", F.expr(f"t div {size}"))
     cells = rows.groupBy("series_id", "rho", "block").agg(F.array_sort(F.collect_list(F.struct("t", "x"))).alias("c"), F.first("step").alias("step"))
-    d = cells.where(F.size("c") == size).select("series_id", "rho", "block", "step", F.col("c.x").alias("xs"))
+    d = cells.select("series_id", "rho", "block", "step", F.col("c.x").alias("xs"))
     d = d.select("*", F.transform("xs", lambda x: F.lit(0).cast("long")).alias("ks"), F.transform("xs", lambda x, i: F.when(i == 0, F.col("xs")[0].cast("double")).otherwise(F.lit(0.0))).alias("hs"))
     stride = size // 2
     while stride >= 1:
         s = stride
 
         def pred(i: Column, s: int = s) -> Column:
-            h = lambda j: F.element_at("hs", (j + 1).cast("int"))
-            lin = F.when(i + s < size, 0.5 * h(i - s) + 0.5 * F.when(i + s < size, h(F.least(i + s, F.lit(size - 1)))).otherwise(0.0)).otherwise(h(i - s))
+            h, m = lambda j: F.element_at("hs", (j + 1).cast("int")), F.size("xs")
+            right = h(F.least(i + s, m - 1))
+            lin = F.when(i + s < m, 0.5 * h(i - s) + 0.5 * right).otherwise(h(i - s))
             if kind == "linear":
                 return lin
-            far = (i - 3 * s >= 0) & (i + 3 * s < size)
-            lo, hi = F.greatest(i - 3 * s, F.lit(0)), F.least(i + 3 * s, F.lit(size - 1))
-            return F.when(far, (-1 * h(lo) + 9 * h(i - s) + 9 * h(F.least(i + s, F.lit(size - 1))) - h(hi)) / 16).otherwise(lin)
+            far = (i - 3 * s >= 0) & (i + 3 * s < m)
+            lo, hi = F.greatest(i - 3 * s, F.lit(0)), F.least(i + 3 * s, m - 1)
+            return F.when(far, (-1 * h(lo) + 9 * h(i - s) + 9 * right - h(hi)) / 16).otherwise(lin)
 
         d = d.withColumn("ks", F.transform("ks", _level_indices(pred, s))).withColumn("hs", F.transform("hs", _level_values(pred, s)))
         stride //= 2

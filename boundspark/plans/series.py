@@ -12,7 +12,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
-from boundspark.sources.tables import table
+from boundspark.sources.tables import staged, table
 
 DAY0, HOUR0 = "1995-01-01", "2024-01-01"
 
@@ -44,11 +44,24 @@ def _ticks(df: DataFrame, series: Column, t: Column, x: Column) -> DataFrame:
     return df.groupBy(series.cast("string").alias("series_id"), t.alias("t")).agg(x.cast("long").alias("x"))
 
 
-def _ordered(df: DataFrame, series: Column, by: str, x: Column) -> DataFrame:
-    """Event-ordered series: the k-th row is tick k. Within one key only, so series are the unit of parallelism."""
-    keyed = df.select(series.cast("string").alias("series_id"), F.col(by).alias("_by"), x.cast("long").alias("x"))
-    nth = F.row_number().over(W.Window.partitionBy("series_id").orderBy("_by")) - 1
-    return keyed.select("series_id", nth.cast("long").alias("t"), "x")
+def _ordered(df: DataFrame, series: Column, by: str | Column, x: Column, running: bool = False) -> DataFrame:
+    """Event-ordered series: the k-th row is tick k; ``running``: with running sums.
+
+    A series may be a whole table: rows are range-partitioned by (series, order), ranked within each range, and moved up
+    by what the ranges before hold. The ranges are written first, so that they are the same for counts and for ranks.
+    """
+    keyed = df.select(series.cast("string").alias("series_id"), (F.col(by) if isinstance(by, str) else by).alias("by"), x.cast("long").alias("x"))
+    ranged = staged(keyed.repartitionByRange("series_id", "by").withColumn("part", F.spark_partition_id()), "ranges")
+    part = ["series_id", "part"]
+    sizes = ranged.groupBy(*part).agg(F.count(F.lit(1)).alias("size"), F.coalesce(F.sum("x"), F.lit(0)).alias("sum"))
+    ahead = W.Window.partitionBy("series_id").orderBy("part")  # a row for each range
+    before = sizes.select(*part, (F.sum("size").over(ahead) - F.col("size")).alias("before"), (F.sum("sum").over(ahead) - F.col("sum")).alias("so_far"))
+    w = W.Window.partitionBy(*part).orderBy("by")
+    rows = ranged.withColumn("nth", F.row_number().over(w) - 1)
+    if running:
+        rows = rows.withColumn("x", F.sum("x").over(w.rowsBetween(W.Window.unboundedPreceding, 0)))
+    out = rows.join(before, part)
+    return out.select("series_id", (F.col("before") + F.col("nth")).cast("long").alias("t"), (F.col("x") + F.col("so_far") if running else F.col("x")).alias("x"))
 
 
 def ship_nation_daily(spark: SparkSession, d: str, value: str = "quantity") -> DataFrame:
@@ -127,8 +140,7 @@ def orders_priority_daily(spark: SparkSession, d: str) -> DataFrame:
 
 
 def counter_revenue(spark: SparkSession, d: str) -> DataFrame:
-    rows = _ordered(table(spark, d, "orders"), F.lit("counter"), "o_orderkey", cents("o_totalprice"))
-    return rows.withColumn("x", F.sum("x").over(W.Window.partitionBy("series_id").orderBy("t")))
+    return _ordered(table(spark, d, "orders"), F.lit("counter"), "o_orderkey", cents("o_totalprice"), running=True)
 
 
 def _props_k() -> Column:
@@ -144,8 +156,7 @@ def uniform_size(spark: SparkSession, d: str) -> DataFrame:
 
 
 def walk(spark: SparkSession, d: str) -> DataFrame:
-    rows = _ordered(table(spark, d, "events"), F.lit("walk"), "event_id", _props_k() - 50)
-    return rows.withColumn("x", F.sum("x").over(W.Window.partitionBy("series_id").orderBy("t")))
+    return _ordered(table(spark, d, "events"), F.lit("walk"), "event_id", _props_k() - 50, running=True)
 
 
 def ramp_price(spark: SparkSession, d: str) -> DataFrame:
@@ -155,9 +166,7 @@ def ramp_price(spark: SparkSession, d: str) -> DataFrame:
 def embed_scanline(spark: SparkSession, d: str) -> DataFrame:
     """One scan line for each label: the axes of its vectors, in vector order, as millionths."""
     cells = table(spark, d, "embeddings").select("vec_id", "label", F.posexplode("embedding").alias("axis", "v"))
-    keyed = cells.select(F.concat(F.lit("label"), F.col("label")).alias("series_id"), (F.col("vec_id") * 64 + F.col("axis")).alias("_by"), F.round(F.col("v").cast("double") * 1000000).cast("long").alias("x"))
-    nth = F.row_number().over(W.Window.partitionBy("series_id").orderBy("_by")) - 1
-    return keyed.select("series_id", nth.cast("long").alias("t"), "x")
+    return _ordered(cells, F.concat(F.lit("label"), F.col("label")), F.col("vec_id") * 64 + F.col("axis"), F.round(F.col("v").cast("double") * 1000000))
 
 
 def text_len(spark: SparkSession, d: str) -> DataFrame:

@@ -1,118 +1,50 @@
-"""Archives of containers as a data source and as bound-aware queries.
+"""Archives of containers, and bound-aware queries over them.
 
-``bounded_archive`` is a Python data source over a directory of container files: one partition for each group file,
-filters on series_id and group_id pruned before any decoding. Statistics in the containers (least and largest
-reconstruction, sum) answer aggregates with a stated error without decoding.
+An archive is a Parquet table with a row for each lane, padding included, so that it decodes by itself: header, first
+sample, tolerance, seed, body, digest, and the lane's place in its group. Spark reads and writes the files, in any
+store that it reads; appends add files and replace none. Rows carry the least and the largest value that a sample can
+have, so predicates on values reach the scan as filters, and sums with a stated error need no decoding.
 """
 
 from __future__ import annotations
 
-import json
-import os
-import uuid
-from collections.abc import Iterator
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, EqualTo, InputPartition, WriterCommitMessage
-
-SCHEMA = "series_id string, group_id long, rho double, n long, tau double, xmin double, xmax double, xsum double, seed_id int, seed binary, body binary"
-
-
-class Chunk(InputPartition):
-    def __init__(self, path: str):
-        self.path = path
-
-
-class ArchiveReader(DataSourceReader):
-    def __init__(self, path: str, series: str | None = None, group: int | None = None):
-        self.path, self.series, self.group = path, series, group
-
-    def partitions(self):
-        names = sorted(n for n in os.listdir(self.path) if n.endswith(".lanes"))
-        if self.group is not None:
-            names = [n for n in names if n.startswith(f"g{self.group}-")]
-        return [Chunk(os.path.join(self.path, n)) for n in names] or [Chunk("")]
-
-    def read(self, partition: Chunk) -> Iterator[tuple]:
-        if not partition.path:
-            return
-        with open(partition.path, encoding="ascii") as f:
-            for line in f:
-                r = json.loads(line)
-                if self.series is None or r[0] == self.series:
-                    yield (*r[:9], bytes.fromhex(r[9]), bytes.fromhex(r[10]))
-
 
-class PushingReader(ArchiveReader):
-    """For sessions in which Spark hands filters to Python sources (spark.sql.python.filterPushdown.enabled)."""
+#: What names a container.
+GROUP = ("corpus", "chunk_id", "n", "group_id", "rho")
 
-    def pushFilters(self, filters):
-        for f in filters:
-            if isinstance(f, EqualTo) and f.attribute == ("series_id",):
-                self.series = f.value
-            elif isinstance(f, EqualTo) and f.attribute == ("group_id",):
-                self.group = f.value
-            else:
-                yield f
 
+def archive_rows(containers: DataFrame, corpus: str = "") -> DataFrame:
+    """Containers as one row for each lane; ``low`` and ``high`` bound the samples."""
+    lane = containers.select(F.lit(corpus).alias("corpus"), "chunk_id", "n", "group_id", "rho", "g", "c", "header", F.posexplode("lanes").alias("lane", "l"))
+    return lane.select(*GROUP, "g", "c", "header", "lane", "l.*", (F.col("l.xmin") - F.col("l.tau")).alias("low"), (F.col("l.xmax") + F.col("l.tau")).alias("high"))
 
-class ArchiveWriter(DataSourceWriter):
-    """Files are named by group, so a task that runs again replaces what it wrote."""
 
-    def __init__(self, path: str):
-        self.path = path
-
-    def write(self, rows) -> WriterCommitMessage:
-        groups: dict[int, list] = {}
-        for r in rows:
-            groups.setdefault(r[1], []).append([*r[:9], bytes(r[9]).hex(), bytes(r[10]).hex()])
-        os.makedirs(self.path, exist_ok=True)
-        for g, lanes in groups.items():
-            tmp = os.path.join(self.path, f".{uuid.uuid4().hex}")
-            with open(tmp, "w", encoding="ascii") as f:
-                f.writelines(json.dumps(x) + "\n" for x in lanes)
-            os.replace(tmp, os.path.join(self.path, f"g{g}-rho{lanes[0][2]}.lanes"))
-        return WriterCommitMessage()
-
-
-class BoundedArchive(DataSource):
-    @classmethod
-    def name(cls) -> str:
-        return "bounded_archive"
-
-    def schema(self) -> str:
-        return SCHEMA
-
-    def _path(self) -> str:
-        return self.options["path"].removeprefix("file://")
-
-    def reader(self, schema) -> ArchiveReader:
-        group = self.options.get("group")
-        kind = PushingReader if self.options.get("pushdown") == "true" else ArchiveReader
-        return kind(self._path(), self.options.get("series"), int(group) if group else None)
-
-    def writer(self, schema, overwrite) -> ArchiveWriter:
-        return ArchiveWriter(self._path())
+def lanes(containers: DataFrame) -> DataFrame:
+    """The real lanes."""
+    return archive_rows(containers).where("NOT pad")
 
 
-def lanes(containers: DataFrame) -> DataFrame:
-    """Containers as one row for each real lane, in the archive's schema."""
-    return containers.select("group_id", "rho", "n", F.explode("lanes").alias("l")).where("NOT l.pad").select("l.series_id", "group_id", "rho", "n", "l.tau", "l.xmin", "l.xmax", "l.xsum", "l.seed_id", "l.seed", "l.body")
+def write_archive(containers: DataFrame, path: str, corpus: str = "") -> None:
+    """Append; rows are sorted by series within files, for the scans of a few series."""
+    rows = archive_rows(containers, corpus)
+    rows.repartition("chunk_id", "n", "group_id").sortWithinPartitions("series_id").write.mode("append").parquet(path)
 
 
-def write_archive(containers: DataFrame, path: str) -> None:
-    spark = containers.sparkSession
-    spark.dataSource.register(BoundedArchive)
-    lanes(containers).repartition("group_id").write.format("bounded_archive").mode("append").save(path)
+def read_archive(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.parquet(path)
 
 
-def read_archive(spark: SparkSession, path: str, series: str | None = None) -> DataFrame:
-    """Where the session pushes filters to Python sources they prune; ``series`` prunes in any session."""
-    spark.dataSource.register(BoundedArchive)
-    push = spark.conf.get("spark.sql.python.filterPushdown.enabled", "false")
-    reader = spark.read.format("bounded_archive").option("pushdown", push)
-    return (reader.option("series", series) if series else reader).load(path)
+def containers_of(rows: DataFrame, wanted: DataFrame | None = None) -> DataFrame:
+    """Containers from the rows of an archive; with ``wanted`` (rows of it) those that hold a wanted lane, whole: a
+    forecaster decodes the batch that it encoded."""
+    if wanted is not None:
+        rows = rows.join(wanted.select(*GROUP).distinct(), list(GROUP), "left_semi")
+    lane = F.struct("lane", "series_id", "x0", "tau", "seed_id", "seed", "body", "xmin", "xmax", "pad", "xsum", "sha256")
+    out = rows.groupBy(*GROUP).agg(F.first("g").alias("g"), F.first("c").alias("c"), F.first("header").alias("header"), F.array_sort(F.collect_list(lane)).alias("lanes"))
+    whole = F.when(F.size("lanes") == F.col("g"), F.transform("lanes", lambda x: x.dropFields("lane"))).otherwise(F.raise_error(F.lit("a container lacks lanes, or has some twice")))
+    return out.select("group_id", "chunk_id", "rho", "n", "g", "c", "header", whole.alias("lanes"))
 
 
 # --- bound-aware answers from lane statistics -------------------------------------------------------------------

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -21,11 +22,21 @@ def views(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = TABLES) ->
 
 
 def scratch(spark: SparkSession, tag: str) -> str:
-    """A fresh path under the shared folder the session names; a temporary one only where it names none."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="boundspark-")
+    """A fresh path under the shared folder the session names; a temporary one only for a session of one process."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if base is None and not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+    base = base or "file://" + tempfile.mkdtemp(prefix="boundspark-")
     return f"{base.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
 
 
+def staged(df: DataFrame, tag: str) -> DataFrame:
+    """``df`` written to the shared folder and read back."""
+    path = scratch(df.sparkSession, tag)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def format_roundtrip(df: DataFrame, fmt: str, **options: str) -> DataFrame:
     """Write ``df`` in a format and read it back with its declared schema."""
     path = scratch(df.sparkSession, fmt)

@@ -32,7 +32,8 @@ def query(sql: str | None):
 
 def events_stream(spark: SparkSession, d: str) -> DataFrame:
     schema = table(spark, d, "events").schema
-    raw = spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").option("maxFilesPerTrigger", 1).parquet(d)
+    # The pattern takes the table as one file and as a folder of files; each file is a batch.
+    raw = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{d}/events.parquet*")
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
@@ -41,6 +42,7 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     In complete mode each batch replaces the one before."""
     spark = stream.sparkSession
     path = scratch(spark, "stream")
+    spark.createDataFrame([], stream.schema).write.parquet(f"{path}/batch=-1")  # a stream without rows has a result too
 
     def put(batch: DataFrame, batch_id: int) -> None:
         batch.write.mode("overwrite").parquet(f"{path}/batch={0 if mode == 'complete' else batch_id}")
