@@ -426,9 +426,8 @@ def _send_classes(layout: Layout, n: int):
 def _hot(h: np.ndarray, hot: dict[int, np.ndarray], n: int) -> np.ndarray:
     """Which anchors are in the set of their bucket."""
     # Bucket and key together name an anchor; both are read off its hash.
-    order = np.argsort(bucket_of(h, n), kind="stable")
     mask, keys = np.zeros(len(h), bool), key_of(h)
-    for b, (at,) in _split(bucket_of(h, n)[order], order):
+    for b, (at,) in _split(bucket_of(h, n), np.arange(len(h))):
         if b in hot:
             mask[at] = _member(keys[at], hot[b])
     return mask
