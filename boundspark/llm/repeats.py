@@ -46,6 +46,8 @@ MAX_BUCKETS = 1 << 18
 #: Spark allows 100,000 buckets in a table.
 MAX_LAYOUT = 50_000
 PACK_CHUNKS = 32
+#: Elements that one pass over a chunk takes at a time, so that what it makes on the way stays in the processor's cache.
+TILE = 1 << 15
 U = np.uint64
 CHUNK_DDL = "pack long, chunk int, piece int, last boolean, core long, ids binary, keys binary, sizes binary, blob binary"
 CHUNK = pa.schema([("pack", pa.int64()), ("chunk", pa.int32()), ("piece", pa.int32()), ("last", pa.bool_()), ("core", pa.int64()), ("ids", pa.binary()), ("keys", pa.binary()), ("sizes", pa.binary()), ("blob", pa.binary())])
@@ -161,6 +163,7 @@ def word_hashes(raw: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarr
 
 _BLANK = np.isin(np.arange(256), list(ASCII_SPACE))
 _BYTE = mix64(mix64(np.arange(1, 257, dtype=U) * U(0x9E3779B97F4A7C15)))
+_MIXED = mix64(np.arange(1, 257, dtype=U))
 _POWER = 0x9E3779B97F4A7C15
 _KEPT: list[np.ndarray] = []
 
@@ -193,7 +196,7 @@ class Chunk:
         cuts = list(zip([0, *ends[:-1].tolist()], ends.tolist(), strict=True))
         self.texts = [raw[a:b] for a, b in cuts]
         if layout.kind == "bytes":
-            self.elements = np.frombuffer(raw, np.uint8).astype(U)
+            self.elements = np.frombuffer(raw, np.uint8)
             self.ends = ends
         else:
             begin, self.elements = word_hashes(np.frombuffer(raw, np.uint8), ends)
@@ -202,17 +205,24 @@ class Chunk:
         # Of a piece, the elements that are its own: the rest is the next piece's.
         self.own = len(self.elements) if self.piece < 0 else self.core if layout.kind == "bytes" else int(np.searchsorted(begin, self.core))
 
+    def grams(self) -> np.ndarray:
+        """A hash of the k elements from each place on."""
+        lay = self.layout
+        out = np.empty(max(len(self.elements) - lay.k + 1, 0), U)
+        for a in range(0, len(out), TILE):
+            x = self.elements[a : a + TILE + lay.k - 1]
+            x = _MIXED[x] if lay.kind == "bytes" else mix64(x + U(1))
+            out[a : a + TILE] = mix64(_gram_hash(x, lay.k))
+        return out
+
     def anchors(self) -> None:
         """pos, hash and document of every anchor whose windows lie within a document."""
         lay, n = self.layout, len(self.elements)
         self.pos, self.hash, self.doc, self.low, self.high = np.zeros(0, np.int64), np.zeros(0, U), *(np.zeros(0, np.int64) for _ in range(3))
         if n < lay.length:
             return
-        h = mix64(_gram_hash(mix64(self.elements + U(1)), lay.k))
-        width = lay.left + 1
-        least = _sweep(h, width, np.minimum)
-        pad = np.zeros(width - 1, U)
-        chosen = np.flatnonzero(_sweep(np.concatenate([pad, least, pad]), width, np.maximum) == h)
+        self.gram = h = self.grams()
+        chosen = _minimizers(h, lay.left + 1)
         doc = np.searchsorted(self.ends, chosen, "right")
         self.low = np.maximum(0, chosen + lay.length - self.ends[doc])  # offsets of the windows that fit the document
         self.high = np.minimum(lay.left, chosen - self.starts[doc])
@@ -228,20 +238,36 @@ class Chunk:
         lay, pos, doc = self.layout, self.pos[at], self.doc[at]
         idx = pos[:, None] + np.arange(-lay.left, lay.length)
         inside = (idx >= self.starts[doc][:, None]) & (idx < self.ends[doc][:, None])
-        out = self.elements[np.clip(idx, 0, len(self.elements) - 1)] + U(1)
+        out = self.elements[np.clip(idx, 0, len(self.elements) - 1)].astype(U) + U(1)
         return np.where(inside, out, U(0))
 
     def context_hashes(self) -> np.ndarray:
-        """A 64-bit hash of each anchor's context; elements are mixed once, not once for each context they lie in."""
-        lay, mixed, beyond = self.layout, mix64(self.elements + U(2)), mix64(np.array([1], U))[0]
-        out, weight = np.empty(len(self.pos), U), _weights(lay.span, 1)
-        for a in range(0, len(self.pos), 4096):
-            pos, doc = self.pos[a : a + 4096], self.doc[a : a + 4096]
-            idx = pos[:, None] + np.arange(-lay.left, lay.length)
-            inside = (idx >= self.starts[doc][:, None]) & (idx < self.ends[doc][:, None])
-            cells = np.where(inside, mixed[np.clip(idx, 0, len(mixed) - 1)], beyond)
-            out[a : a + 4096] = mix64((cells * weight).sum(axis=1, dtype=U))
-        return out
+        """A 64-bit hash of each anchor's context: of the k-grams in it, read off running sums, and of where it ends."""
+        lay, pos, doc = self.layout, self.pos, self.doc
+        if not len(pos):
+            return np.zeros(0, U)
+        n = len(self.gram)
+        a = np.maximum(pos - lay.left, self.starts[doc])
+        b = np.minimum(pos + lay.length, self.ends[doc]) - lay.k + 1
+        with np.errstate(over="ignore"):
+            power = _powers(n + 1)
+            total = np.zeros(n + 1, U)
+            np.cumsum(self.gram * power[:n], dtype=U, out=total[1:])
+            # The power of the first gram is divided out: up to that of gram n, and then back at once.
+            h = (total[b] - total[a]) * power[n - a] * U(pow(_POWER, -n, 1 << 64))
+        return mix64(h ^ mix64(((pos - a) * 64 + (b - pos)).astype(U)))
+
+
+def _minimizers(h: np.ndarray, width: int) -> np.ndarray:
+    """Places that are smallest in some run of ``width`` places."""
+    out = []
+    for a in range(0, len(h), TILE):
+        b = min(a + TILE, len(h))
+        low, high = max(a - width + 1, 0), min(b + width - 1, len(h))
+        least = _sweep(h[low:high], width, np.minimum)
+        before, after = np.zeros(low - a + width - 1, U), np.zeros(b - high + width - 1, U)
+        out.append(a + np.flatnonzero(_sweep(np.concatenate([before, least, after]), width, np.maximum) == h[a:b]))
+    return np.concatenate(out)
 
 
 def _gram_hash(x: np.ndarray, k: int) -> np.ndarray:
@@ -474,24 +500,31 @@ def _verdicts(right: pd.DataFrame, what: str, dtype: np.dtype) -> np.ndarray:
     return np.concatenate(parts) if parts else np.zeros(0, dtype)
 
 
-def _look_up(c: Chunk, e: np.ndarray, verdicts: np.ndarray) -> np.ndarray:
-    """Index into sorted ``verdicts`` for each anchor of the chunk by (hash, context), or -1."""
-    if not len(verdicts):
-        return np.full(len(e), -1)
-    both = np.concatenate([np.stack([verdicts["h"], verdicts["e"]], 1), np.stack([c.hash, e], 1)])
-    _, inverse = np.unique(np.ascontiguousarray(both).view([("h", U), ("e", U)])[:, 0], return_inverse=True)
-    where = np.full(int(inverse.max()) + 1, -1)
-    where[inverse[: len(verdicts)]] = np.arange(len(verdicts))
-    return where[inverse[len(verdicts) :]]
+class Records:
+    """What a pack was told, found by anchor and context."""
+
+    def __init__(self, told: np.ndarray):
+        self.told = told = told[np.lexsort((told["h"], told["e"]))]
+        self.h, self.e = (np.ascontiguousarray(told[k]) for k in ("h", "e"))
+        first = _runs(self.e)
+        self.most = int(np.diff(np.r_[first, len(told)]).max()) if len(told) else 0
+
+    def find(self, h: np.ndarray, e: np.ndarray) -> np.ndarray:
+        """Index into ``told`` for each (anchor, context), or -1."""
+        out, first = np.full(len(e), -1), np.searchsorted(self.e, e)
+        for k in range(self.most):  # once, but for contexts of several anchors that share a hash
+            at = np.minimum(first + k, len(self.e) - 1)
+            hit = (self.e[at] == e) & (self.h[at] == h)
+            out[hit] = at[hit]
+        return out
 
 
-def _reopen(layout: Layout, row: dict, verdicts: np.ndarray) -> tuple[Chunk, np.ndarray, np.ndarray]:
-    """The chunk's anchors that verdicts speak of, their verdict's index and their context hash."""
+def _reopen(layout: Layout, row: dict, records: Records) -> tuple[Chunk, np.ndarray, np.ndarray]:
+    """The chunk's anchors that ``records`` speak of, their record's index and their context hash."""
     c = Chunk(layout, row)
     c.anchors()
-    c.keep(_member(c.hash, np.unique(verdicts["h"])))
     e = c.context_hashes()
-    at = _look_up(c, e, verdicts)
+    at = records.find(c.hash, e)
     c.keep(at >= 0)
     return c, at[at >= 0], e[at >= 0]
 
@@ -541,9 +574,10 @@ def _send_contexts(layout: Layout, n: int):
         verdicts = _verdicts(right, "classes", VERDICT)
         verdicts = verdicts[verdicts["code"] > 0]
         if len(verdicts) and len(left):
-            pack, used = left["pack"].iloc[0], np.zeros(len(verdicts), bool)
+            pack, used, records = left["pack"].iloc[0], np.zeros(len(verdicts), bool), Records(verdicts)
+            verdicts = records.told
             for row in _in_order(left):
-                c, at, _ = _reopen(layout, row, verdicts)
+                c, at, _ = _reopen(layout, row, records)
                 reps = _one_each(_speakers(layout, c, at, verdicts, GATHER), at, used)
                 for b, (some,) in _split(bucket_of(c.hash[reps], n), reps):
                     body = (np.maximum(c.contexts(some), U(1)) - U(1)).astype(dtype)
@@ -660,19 +694,20 @@ def _match(layout: Layout, kernel: Callable[[Layout, Contexts], np.ndarray]):
 # --- round 4: coverage -----------------------------------------------------------------------------------------
 
 
-def _covered(layout: Layout, row: dict, verdicts: np.ndarray, masks: np.ndarray, known: dict) -> tuple[Chunk, np.ndarray]:
+def _covered(layout: Layout, row: dict, classes: Records, matched: Records, known: dict) -> tuple[Chunk, np.ndarray]:
     """Elements of the chunk that lie in a matched window."""
+    verdicts, masks = classes.told, matched.told
     if not len(verdicts):
         c = Chunk(layout, row)
         return c, np.zeros(len(c.elements), bool)
-    c, at, e = _reopen(layout, row, verdicts)
+    c, at, e = _reopen(layout, row, classes)
     starts = np.zeros(len(c.elements) + 1, bool)
     v, who = verdicts["v"][at], c.ids[c.doc]
     settled = who > v if layout.rule == "earlier" else v > 1
     for o in range(layout.left + 1):
         starts[c.pos[settled & (c.low <= o) & (o <= c.high)] - o] = True
     if len(masks):
-        m = _look_up(c, e, masks)
+        m = matched.find(c.hash, e)
         bits = np.where(m >= 0, masks["mask"][m], U(0))
         if layout.rule == "earlier":
             bits[who != masks["v"][m]] = 0
@@ -692,11 +727,12 @@ def _covered(layout: Layout, row: dict, verdicts: np.ndarray, masks: np.ndarray,
 
 def _documents(layout: Layout, rows: list[dict], right: pd.DataFrame, finish: Callable) -> Iterator[tuple]:
     """Rows of whole documents. ``finish()`` makes an object that takes a document's stretches in turn."""
-    verdicts, masks, wins = (_verdicts(right, what, t) for what, t in (("classes", VERDICT), ("masks", MASK), ("windows", WINDOW)))
+    classes, matched = (Records(_verdicts(right, what, t)) for what, t in (("classes", VERDICT), ("masks", MASK)))
+    wins = _verdicts(right, "windows", WINDOW)
     known = {(a, b): x for a, b, x in zip(wins["a"].tolist(), wins["b"].tolist(), wins["v"].tolist(), strict=True)}
     open_, beyond = None, np.zeros(0, bool)
     for row in rows:
-        c, gone = _covered(layout, row, verdicts, masks, known)
+        c, gone = _covered(layout, row, classes, matched, known)
         if c.piece < 0:
             for i, text, a, b in zip(c.keys.tolist(), c.texts, c.starts.tolist(), c.ends.tolist(), strict=True):
                 one = finish()
