@@ -158,12 +158,18 @@ def _between_classes(docs: DataFrame, rows: DataFrame, known: DataFrame) -> Data
     met = members.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("cell", F.xxhash64("key", F.least("block", "other"), F.greatest("block", "other")))
     met = met.select("doc_id", "root", "key", "route", "cell", "block", (F.col("block") == F.col("other")).alias("within"))
     n = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    whole = met.hint("merge").join(rows.select("doc_id", "sketch", "size"), "doc_id").join(source(docs), "doc_id").withColumn("part", F.pmod("cell", F.lit(16 * n)))
-    return whole.groupBy("part").applyInPandas(_judge_cells, "a long, b long")
-
-
-def _judge_cells(pdf: pd.DataFrame) -> pd.DataFrame:
-    pdf = pdf.sort_values(["cell", "root", "doc_id"], ignore_index=True)
+    met, sketched = met.withColumn("part", F.pmod("cell", F.lit(16 * n))), rows.select("doc_id", "sketch", "size")
+    # Sketches travel first: texts go only to the cells where they leave a pair of different classes in doubt.
+    sifted = stage(met.hint("merge").join(sketched, "doc_id").groupBy("part").applyInPandas(_sift_cells, "a long, b long, doc_id long, cell long, block int"))
+    release(rows.sparkSession)
+    open_ = sifted.where("cell IS NOT NULL").select("doc_id", "cell", "block")
+    whole = met.join(open_.hint("merge"), ["doc_id", "cell", "block"], "left_semi").hint("merge").join(sketched, "doc_id").join(source(docs), "doc_id")
+    return sifted.where("a IS NOT NULL").select("a", "b").union(whole.groupBy("part").applyInPandas(_judge_cells, "a long, b long"))
+
+
+def _cell_pairs(pdf: pd.DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray, Forest]:
+    """Pairs of rows, sorted by cell and root, that their sketches do not rule out, and whether they leave them in doubt;
+    the classes of the rows, the place of each row's among them, and the forest of the classes that proven pairs join."""
     cell, root, key, route, block, within, size = (pdf[c].to_numpy() for c in ("cell", "root", "key", "route", "block", "within", "size"))
     sketches = np.frombuffer(b"".join(pdf["sketch"]), np.uint32).reshape(-1, BINS)
     keys, full = band_keys(sketches)
@@ -188,6 +194,25 @@ def _judge_cells(pdf: pd.DataFrame) -> pd.DataFrame:
     classes, of = np.unique(root, return_inverse=True)
     forest = Forest(len(classes))
     forest.union(of[a[~doubt]], of[b[~doubt]])
+    return a, b, doubt, classes, of, forest
+
+
+def _sift_cells(pdf: pd.DataFrame) -> pd.DataFrame:
+    """Ties (a, b) between classes that sketches prove, and the rows (doc_id, cell, block) that a pair in doubt has."""
+    pdf = pdf.sort_values(["cell", "root", "doc_id"], ignore_index=True)
+    a, b, doubt, classes, of, forest = _cell_pairs(pdf)
+    top = forest.roots()
+    doubt &= top[of[a]] != top[of[b]]
+    tied = np.flatnonzero(top != np.arange(len(classes)))
+    ties = pd.DataFrame({"a": classes[top[tied]], "b": classes[tied]}, dtype="Int64")
+    rows = pdf.loc[np.unique(np.r_[a[doubt], b[doubt]]), ["doc_id", "cell", "block"]].astype({"doc_id": "Int64", "cell": "Int64", "block": "Int32"})
+    return pd.concat([ties, rows], ignore_index=True)[["a", "b", "doc_id", "cell", "block"]]
+
+
+def _judge_cells(pdf: pd.DataFrame) -> pd.DataFrame:
+    """Ties (a, b) between classes that sketches or texts prove."""
+    pdf = pdf.sort_values(["cell", "root", "doc_id"], ignore_index=True)
+    a, b, doubt, classes, of, forest = _cell_pairs(pdf)
     sets: dict[int, np.ndarray] = {}
     parent = forest.roots().tolist()
 
