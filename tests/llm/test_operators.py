@@ -671,3 +671,21 @@ def test_null_ids(spark):
     assert got == {None: None, 3: None}
     assert NO_ID < 0
     assert simhash.simhash_dedup(d).count() == 2
+
+
+def test_records_and_minimizers():
+    told = np.zeros(4, repeats.VERDICT)
+    told["h"], told["e"] = [5, 6, 7, 8], [9, 9, 3, 9]  # three anchors share a context hash
+    records = repeats.Records(told)
+    h, e = np.array([6, 8, 7, 7, 5], np.uint64), np.array([9, 9, 3, 9, 9], np.uint64)
+    at = records.find(h, e)
+    assert (at >= 0).tolist() == [True, True, True, False, True]
+    assert (records.told["h"][at[at >= 0]] == h[at >= 0]).all()
+    assert (repeats.Records(told[:0]).find(h, e) == -1).all()
+    x = np.random.default_rng(3).integers(0, 1 << 20, 2 * repeats.TILE + 77).astype(np.uint64)
+    for n in (27, repeats.TILE, repeats.TILE + 5, len(x)):
+        runs = np.lib.stride_tricks.sliding_window_view(x[:n], 27)
+        least, want = runs.min(axis=1), set()
+        for j in range(27):
+            want |= set((np.flatnonzero(runs[:, j] == least) + j).tolist())
+        assert repeats._minimizers(x[:n], 27).tolist() == sorted(want)
