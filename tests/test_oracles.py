@@ -54,6 +54,13 @@ def test_scan_is_pruned(spark, sf):
     assert "PushedFilters: [" in plan and "value" not in plan.split("ReadSchema")[1]
 
 
+def test_lateral_ranks_carry_their_order(spark, sf):
+    """A sort before the shuffle does not order the rows behind it: the window must name the order itself."""
+    plan = QUERIES["op_join_lateral"](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    windows = [line for line in plan.splitlines() if "row_number()" in line and "Window [" in line]
+    assert windows and all("o_totalprice" in line and "o_orderkey" in line for line in windows)
+
+
 def test_user_functions(spark):
     from boundspark.functions.scalar import register_all
 
