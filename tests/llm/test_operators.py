@@ -143,6 +143,20 @@ def test_sharding_splits_a_repeated_record(spark, monkeypatch):
     assert sharding.bucket_count(10**11) == sharding.MAX_BUCKETS and sharding.bucket_count(0) == 1
 
 
+def test_sharding_moves_whole_texts(docs, spark, sf, tmp_path):
+    """Shards hold the texts, each at its place; the query reads what it shows from written shards."""
+    rows = docs.union(docs.where("doc_id < 5")).union(docs.where("doc_id < 5"))
+    out = sharding.external_shuffle(rows, bucket_rows=7)
+    sharding.write_texts(out, f"file://{tmp_path}/texts")
+    back = spark.read.parquet(f"file://{tmp_path}/texts")
+    same(back.select("doc_id", "text").collect(), [tuple(r) for r in rows.select("doc_id", "text").collect()])
+    digests = sharding.read_texts(spark, f"file://{tmp_path}/texts")
+    same(digests.collect(), [tuple(r) for r in out.drop("text").collect()])
+    got = sharding.op5_external_shuffle(spark, sf)
+    files = got.inputFiles()
+    assert files and all("/shard=" in f for f in files)
+
+
 def test_write_shards(docs, tmp_path):
     d = docs.withColumnRenamed("bucket", "text_crc32_")
     sharding.write_shards(d, f"file://{tmp_path}/out", n_shards=4)
