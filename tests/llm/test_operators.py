@@ -674,6 +674,20 @@ def test_near_duplicates_among_unlike_neighbours(spark, block, monkeypatch):
     assert {x["node"]: x["root"] for x in got.collect()} == want
 
 
+def test_rows_of_a_hot_band_travel_a_bounded_number_of_times(spark, monkeypatch):
+    """Texts that share a passage and little else: rows sent to cells grow with the members of a band, not their square."""
+    monkeypatch.setattr(near_dedup, "BLOCK", 2)
+    staged, stage = [], near_dedup.stage
+    monkeypatch.setattr(near_dedup, "stage", lambda df: (staged.append(stage(df)), staged[-1])[1])
+    common = [f"c{k}" for k in range(60)]
+    texts = {i: common + [f"u{i}x{j}" for j in range(60)] for i in range(120)}
+    texts |= {1000 + i: [*texts[i], "tail"] for i in range(0, 120, 7)}
+    got = near_dedup.near_duplicates(spark.createDataFrame([(k, " ".join(v)) for k, v in texts.items()], "doc_id long, text string"))
+    assert {x["node"]: x["root"] for x in got.collect()} == {1000 + i: i for i in range(0, 120, 7)}
+    blocks = [df.agg({"blocks": "max"}).first()[0] for df in staged if "blocks" in df.columns]
+    assert blocks and blocks[0] is not None and 1 < blocks[0] <= 16
+
+
 def test_empty_tables(spark, empty):
     for fn in (exact_dedup.exact_dedup, sharding.external_shuffle, simhash.simhash_dedup, suffix_dedup.suffix_dedup, substring_dedup.substring_dedup, bpe.encode_decode, packing.pack, quality_rules.quality_rules, near_dedup.near_dedup, weak_label_classifier.quality_classifier):
         assert fn(empty).count() == 0, fn.__name__
