@@ -89,3 +89,56 @@ def test_an_archive_of_many_appends_decodes(spark, tmp_path):
     assert {r["series_id"] for r in K.decode_groups(A.containers_of(rows, one), MODEL).select("series_id").distinct().collect()} == {"s5", "s6"}
     plan = rows.where("high > 5").select("series_id", "high")._jdf.queryExecution().executedPlan().toString()
     assert "GreaterThan(high,5.0)" in plan
+
+
+def test_one_lane_in_plain_numbers_equals_the_lockstep():
+    """Few lanes are coded one by one, in blocks; one lane is forecast in plain numbers: bytes and indices are the same."""
+    from boundspark.operators import entropy as E
+    from boundspark.operators import loops as L
+
+    r = np.random.default_rng(2)
+    lanes = [r.laplace(0, s, n).round().astype(np.int64) for s in (0.3, 5, 4000) for n in (0, 1, 2, 3, 50, 51, 52, 200, 300, 301, 302, 303)]
+    assert len(lanes) > E.FEW_LANES
+    for few, many in zip(map(lambda k: E._encode_lane(k, None, 1), lanes), E.encode_lanes(lanes), strict=True):
+        assert few == many
+    x = (1000 + 200 * np.sin(np.arange(600) / 4) + r.normal(0, 20, 600)).round().astype(np.int64)[None]
+    step = np.array([12.0])
+    seed = L.lorenzo(x[:, :200], step, 1)[1]
+    one, whole = L.forecast_loop(x, step, seed, MODEL), L.forecast_loop(x, step, seed, MODEL, want_spread=True)
+    assert np.array_equal(one[0], whole[0]) and np.array_equal(one[1], whole[1])
+
+
+def test_a_long_series_is_dealt_by_coder_and_tolerance(spark, monkeypatch):
+    """A series of more than PIECE ticks reaches no task as one row, and its coders are tasks of their own."""
+    s = _series(spark, [400, 400, 90])
+    whole = K.study(s, "c", MODEL, c=60).drop("corpus")
+    monkeypatch.setattr(K, "PIECE", 128)
+    assert max(r["n"] for r in K.pieces(s, 4).selectExpr("size(xs) AS n").collect()) <= 128
+    parted = K.study(s, "c", MODEL, c=60).drop("corpus")
+    exact = ["series_id", "rho", "coder", "n", "bytes", "seed_bytes", "xz_bytes"]
+    rows = lambda df: sorted(map(tuple, df.select(*exact).collect()))
+    assert rows(parted) == rows(whole) and len(rows(whole)) == 3 * 3 * 7
+    plan = K.study(s, "c", MODEL, c=60)._jdf.queryExecution().executedPlan().toString()
+    assert "unit" in plan
+
+
+def test_lossless_kernels_hold_blocks_only():
+    """Memory of the lossless kernels does not follow the length of a series; their results do not follow the blocks."""
+    import tracemalloc
+
+    from boundspark.operators import entropy as E
+    from boundspark.operators import loops as L
+    from boundspark.operators.forecast import open_loop
+
+    x = np.cumsum(np.random.default_rng(3).integers(0, 100, 120_000))
+    lags = list(range(1, 257))
+    tracemalloc.start()
+    E.mixture_bits(L.open_loop_residuals(x, lags, L.fit_lags(x.astype(float), lags)))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 120 << 20  # the whole lag matrix alone has 235 MB
+    state, want = MODEL.start(x[None, :192].astype(float)), []
+    for t in range(192, 3000):
+        want.append(float(state.predict()[0]))
+        state.push(x[t : t + 1].astype(float))
+    assert np.array_equal(open_loop(MODEL, x[:3000], 192, 700), np.array(want))
