@@ -70,7 +70,7 @@ def test_user_functions(spark):
     assert spark.sql("SELECT count(*) AS n FROM multilevel_schedule(64)").first()["n"] == 64
 
 
-FROM_TABLES = ["anchor_grid", "coder_selftest", "container_split", "contamination_overlap", "context_ablation", "determinism_table", "determinism_ordered", "forecaster_variants", "gen_uniform", "hybrid_table", "leader_share"]
+FROM_TABLES = ["anchor_grid", "coder_selftest", "container_split", "contamination_overlap", "context_ablation", "determinism_table", "determinism_ordered", "forecaster_variants", "gen_uniform", "hybrid_table", "leader_share", "harness_defect"]
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
