@@ -142,3 +142,41 @@ def test_lossless_kernels_hold_blocks_only():
         want.append(float(state.predict()[0]))
         state.push(x[t : t + 1].astype(float))
     assert np.array_equal(open_loop(MODEL, x[:3000], 192, 700), np.array(want))
+
+
+def test_the_context_ablation_scores_every_context_that_fits(spark):
+    """Each series at each context shorter than it, the same last ticks scored for all, and bytes of whole archives."""
+    from boundspark.experiments import studies
+
+    s = _series(spark, [1100] * 3 + [300, 65, 64, 1])
+    got = {(r["series_id"], r["c"]): r for r in studies._ablation(spark, "", s, MODEL).collect()}
+    lengths = {"s0": 1100, "s1": 1100, "s2": 1100, "s3": 300, "s4": 65}
+    assert set(got) == {(k, c) for k, n in lengths.items() for c in (0, 64, 128, 256, 512, 1024) if c < n}
+    assert {(r["n"], r["scored"]) for r in got.values()} == {(1100, 76), (300, 44), (65, 1)}
+    for k, n in lengths.items():
+        x = np.array([[(int(k[1:]) + 3) * t % 17 for t in range(n)]])
+        tau = 0.05 * K.sigma(x)
+        assert got[k, 0]["total"] == 8 * studies._best_classic(x, 2 * tau)[0] / n
+        for c in (c for c in (64, 128, 256, 512, 1024) if c < n):
+            e, r = K.encode_group(x, tau, c, MODEL), got[k, c]
+            assert (r["seed"], r["total"]) == (8 * len(e["seed"][0]) / c, 8 * (len(e["seed"][0]) + len(e["body"][0])) / n)
+            assert r["body"] == 8 * len(studies.E.encode_lanes([e["k"][0][-r["scored"] :]])[0]) / r["scored"]
+
+
+def test_the_context_ablation_is_whole(spark, sf):
+    """Shipments and generated demand at all five contexts, events at those shorter than their 720 hours, with gains."""
+    from boundspark import catalog
+
+    rows = catalog.queries()["context_ablation"](spark, sf).collect()
+    seen = {}
+    for r in rows:
+        seen.setdefault((r["corpus"], r["n"], r["n_series"]), []).append(r)
+    table = lambda name: (name, *S.CATALOG[name](spark, sf).selectExpr("count(DISTINCT t)", "count(DISTINCT series_id)").first())
+    whole = [table("ship_nation_daily"), ("gen_demand", 4300, 16), ("gen_demand", 43800, 16)]
+    assert set(seen) == {*whole, table("events_weighted_hourly")}
+    for key, part in seen.items():
+        part.sort(key=lambda r: r["c"])
+        assert [r["c"] for r in part] == [64, 128, 256, 512, 1024][: 5 if key in whole else 4]
+        assert {r["scored"] for r in part} == {key[1] - part[-1]["c"]} and part[-1]["body_delta_pct"] == 0
+        for r in part:
+            assert abs(r["gain_pct"] - 100 * (1 - r["codec_bpv"] / r["classic_bpv"])) < 1e-3
